@@ -21,10 +21,10 @@ from pyspark.sql import functions as F
 
 def input_bytes(df: DataFrame) -> int:
     """Spark's own estimate of what the plan reads."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue())
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
-def bucket_count(df: DataFrame, per_bucket: int = 8 << 20, least: int = 24) -> int:
+def bucket_count(df: DataFrame, per_bucket: int = 4 << 20, least: int = 24) -> int:
     """Buckets in proportion to the input."""
     size = input_bytes(df)
     return max(least, min(1 << 20, math.ceil(size / per_bucket))) if size < 1 << 60 else 4096
@@ -60,11 +60,21 @@ def deal(records: np.ndarray, key: np.ndarray, buckets: int) -> Iterator[pa.Reco
     sent, records = to[order], records[order]
     at = np.append(np.flatnonzero(np.append(True, sent[1:] != sent[:-1])), len(sent))
     yield pa.RecordBatch.from_arrays(
-        [pa.array(sent[at[:-1]]), pa.array([records[i:j].tobytes() for i, j in zip(at[:-1], at[1:])], pa.binary())],
+        [pa.array(sent[at[:-1]]), pa.array([packed(records[i:j]) for i, j in zip(at[:-1], at[1:])], pa.binary())],
         schema=_BLOCK_ARROW,
     )
 
 
+def packed(records: np.ndarray) -> bytes:
+    """Bytes of records, transposed so that equal bytes lie together for the shuffle's codec."""
+    return records.view(np.uint8).reshape(len(records), records.dtype.itemsize).T.tobytes()
+
+
+def unpacked(block, dtype: np.dtype) -> np.ndarray:
+    cells = np.frombuffer(block, np.uint8).reshape(dtype.itemsize, -1)
+    return np.ascontiguousarray(cells.T).view(dtype).ravel()
+
+
 def per_bucket(
     blocks: DataFrame, dtype: np.dtype, fold: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str, buckets: int
 ) -> DataFrame:
@@ -78,7 +88,7 @@ def per_bucket(
                 if b != at and at is not None:
                     yield from fold(np.concatenate(held.pop(at)))
                 at = b
-                held.setdefault(b, []).append(np.frombuffer(block.as_buffer(), dtype=dtype))
+                held.setdefault(b, []).append(unpacked(block.as_buffer(), dtype))
         if at is not None:
             yield from fold(np.concatenate(held.pop(at)))
 
@@ -88,8 +98,8 @@ def per_bucket(
     )
 
 
-def reply_batches(doc: np.ndarray, tag: np.ndarray, payload: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """One (doc_key, doc_tag, block) row per document of records sorted by document."""
+def reply_batches(doc: np.ndarray, tag: np.ndarray, payload: np.ndarray, kind: int = 0) -> Iterator[pa.RecordBatch]:
+    """One (doc_key, doc_tag, kind, block) row per document of records sorted by document."""
     if not len(doc):
         return
     new = np.append(True, (doc[1:] != doc[:-1]) | (tag[1:] != tag[:-1]))
@@ -100,14 +110,15 @@ def reply_batches(doc: np.ndarray, tag: np.ndarray, payload: np.ndarray) -> Iter
             [
                 pa.array(doc[at[lo:hi]]),
                 pa.array(tag[at[lo:hi]]),
+                pa.array(np.full(hi - lo, kind, np.int32)),
                 pa.array([payload[i:j].tobytes() for i, j in zip(at[lo:hi], at[lo + 1 : hi + 1])], pa.binary()),
             ],
             schema=REPLY_ARROW,
         )
 
 
-REPLY_SCHEMA = "doc_key long, doc_tag long, block binary"
-REPLY_ARROW = pa.schema([("doc_key", pa.int64()), ("doc_tag", pa.int64()), ("block", pa.binary())])
+REPLY_SCHEMA = "doc_key long, doc_tag int, kind int, block binary"
+REPLY_ARROW = pa.schema([("doc_key", pa.int64()), ("doc_tag", pa.int32()), ("kind", pa.int32()), ("block", pa.binary())])
 
 
 def gathered(replies: DataFrame) -> DataFrame:
@@ -123,7 +134,7 @@ def keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     return docs.select(
         F.coalesce(F.col(id_col).cast("long"), F.lit(-(2**63))).alias("doc_key"),
-        F.xxhash64(text).alias("doc_tag"),
+        F.hash(text).alias("doc_tag"),
         text.alias("text"),
     )
 
