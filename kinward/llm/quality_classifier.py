@@ -1,6 +1,6 @@
 """Quality classifier by co-training of two views, for quality and for toxicity.
 
-One view is the text (hashed words, word endings and a few densities), the other the page's
+One view is the text (hashed words, beginnings and endings of words, and a few densities), the other the page's
 metadata (source, language, length). Both are logistic models fitted on a bounded sample of
 labelled rows. For some rounds each view scores a bounded pool of unlabelled rows and hands those
 it is sure of, with its own verdict, to the other. In the end each view is calibrated on held-out
@@ -24,11 +24,13 @@ from pyspark.sql import functions as F
 
 from kinward.llm import textscan as ts
 
-WORD_BITS, END_BITS = 13, 10
-TEXT_DIM = (1 << WORD_BITS) + (1 << END_BITS) + 8
+#: (bits of the hash space, bytes of the word it sees: whole, beginnings, ending) of each family of text features.
+FAMILIES = ((14, None), (13, 7), (12, 6), (12, 5), (10, -3))
+DENSE = 8
+TEXT_DIM = sum(1 << bits for bits, _ in FAMILIES) + DENSE
 META_DIM = 256
-LABELLED, POOL = 6000, 3000
-ROUNDS, SURE, SHARE = 3, 0.97, 0.1
+LABELLED, POOL = 5000, 2000
+ROUNDS, SURE, SHARE = 2, 0.97, 0.1
 
 _KIND = np.zeros(256, np.uint8)  # 1 symbol, 2 upper case, 3 digit
 _KIND[[ord(c) for c in "#*$%&|<>{}[]=+~^_@!\\/"]] = 1
@@ -59,23 +61,28 @@ class Rows:
 
 
 def text_rows(buf: np.ndarray, off: np.ndarray) -> Rows:
-    """Features of texts: damped counts of hashed words and endings, scaled to length one, and densities."""
+    """Features of texts: damped counts of hashed words and parts of words, and densities."""
     n = len(off) - 1
     sums = ts.prefix_sums(ts.byte_codes(buf))
     s, e, doc = ts.word_spans(buf, off)
-    word = (ts.span_hash(sums, s, e) & np.uint64((1 << WORD_BITS) - 1)).astype(np.int64)
-    end = (ts.span_hash(sums, np.maximum(s, e - 3), e) & np.uint64((1 << END_BITS) - 1)).astype(np.int64)
-    keys, count = np.unique(
-        np.concatenate([doc * TEXT_DIM + word, doc * TEXT_DIM + (1 << WORD_BITS) + end]), return_counts=True
-    )
+    parts, base = [], 0
+    for bits, reach in FAMILIES:
+        if reach is None:
+            a, b, use = s, e, slice(None)
+        elif reach < 0:
+            a, b, use = np.maximum(s, e + reach), e, slice(None)
+        else:
+            use = e - s > reach
+            a, b = s[use], s[use] + reach
+        parts.append(doc[use] * TEXT_DIM + base + (ts.span_hash(sums, a, b) & np.uint64((1 << bits) - 1)).astype(np.int64))
+        base += 1 << bits
+    keys, count = np.unique(np.concatenate(parts), return_counts=True)
     row, col = keys // TEXT_DIM, keys % TEXT_DIM
     val = np.log1p(count)
-    norm = np.sqrt(np.bincount(row, weights=val * val, minlength=n))
-    val = 8 * val / norm[row]
     kinds = [np.append(0, np.cumsum(_KIND[buf] == k))[off] for k in (1, 2, 3)]
     size = np.maximum(np.diff(off), 1)
     words = np.bincount(doc, minlength=n)
-    distinct = np.bincount(row[col < (1 << WORD_BITS)], minlength=n)
+    distinct = np.bincount(row[col < (1 << FAMILIES[0][0])], minlength=n)
     dense = np.stack(
         [
             *[np.minimum(10 * np.diff(k) / size, 5) for k in kinds],
@@ -87,8 +94,8 @@ def text_rows(buf: np.ndarray, off: np.ndarray) -> Rows:
         ],
         axis=1,
     )
-    all_row = np.concatenate([row, np.repeat(np.arange(n), 8)])
-    all_col = np.concatenate([col, np.tile(np.arange(TEXT_DIM - 8, TEXT_DIM), n)])
+    all_row = np.concatenate([row, np.repeat(np.arange(n), DENSE)])
+    all_col = np.concatenate([col, np.tile(np.arange(TEXT_DIM - DENSE, TEXT_DIM), n)])
     order = np.argsort(all_row, kind="stable")
     return Rows(
         np.searchsorted(all_row[order], np.arange(n + 1)), all_col[order].astype(np.int32), np.concatenate([val, dense.ravel()])[order]
@@ -114,7 +121,7 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -40, 40)))
 
 
-def fit(rows: Rows, y: np.ndarray, dim: int, steps: int = 120, decay: float = 2e-4) -> np.ndarray:
+def fit(rows: Rows, y: np.ndarray, dim: int, steps: int = 120, decay: float = 2e-3) -> np.ndarray:
     """Logistic weights (the last is the constant) by accelerated gradient steps."""
     n = len(y)
     w, v, moment = np.zeros(dim + 1), np.zeros(dim + 1), np.zeros(dim + 1)
@@ -129,6 +136,19 @@ def fit(rows: Rows, y: np.ndarray, dim: int, steps: int = 120, decay: float = 2e
     return w
 
 
+def fit_text(rows: Rows, y: np.ndarray) -> np.ndarray:
+    """Weights of the text view, each feature scaled by how its presence differs between the classes."""
+    sparse = rows.col < TEXT_DIM - DENSE
+    of = np.repeat(np.arange(len(y)), np.diff(rows.at))[sparse]
+    yes = np.bincount(rows.col[sparse], weights=y[of], minlength=TEXT_DIM) + 1
+    no = np.bincount(rows.col[sparse], weights=1 - y[of], minlength=TEXT_DIM) + 1
+    ratio = np.log(yes / (y.sum() + 2)) - np.log(no / (len(y) - y.sum() + 2))
+    ratio[-DENSE:] = 1
+    w = fit(Rows(rows.at, rows.col, rows.val * ratio[rows.col]), y, TEXT_DIM, steps=70)
+    w[:-1] *= ratio
+    return w
+
+
 def logits(rows: Rows, w: np.ndarray) -> np.ndarray:
     return rows.dot(w[:-1]) + w[-1]
 
@@ -157,16 +177,16 @@ def co_train(text: Rows, meta: Rows, y: np.ndarray, pool_text: Rows, pool_meta:
     held = np.arange(n) % 5 == 4
     train = np.flatnonzero(~held)
     test = np.flatnonzero(held)
-    views = [(text, pool_text, TEXT_DIM), (meta, pool_meta, META_DIM)]
+    views = [(text, pool_text, fit_text), (meta, pool_meta, lambda x, z: fit(x, z, META_DIM))]
     given: list[dict[int, float]] = [{}, {}]  # pseudo-labels that each view was handed
     size = len(pool_text.at) - 1
     models = []
     for r in range(rounds + 1):
         models = []
-        for (rows, pool, dim), extra in zip(views, given):
+        for (rows, pool, learn), extra in zip(views, given):
             at = np.array(sorted(extra), np.int64)
             x = Rows.stack([rows.take(train), pool.take(at)]) if len(at) else rows.take(train)
-            models.append(fit(x, np.concatenate([y[train], [extra[i] for i in at.tolist()]]), dim))
+            models.append(learn(x, np.concatenate([y[train], [extra[i] for i in at.tolist()]])))
         if r == rounds or not size:
             break
         for me, other in ((0, 1), (1, 0)):
