@@ -6,10 +6,15 @@ level, and points above the weight are passed over. A slot keeps its earliest po
 documents agree in a slot with probability equal to their weighted Jaccard similarity. Processes are
 run up to a time that all slots will have been hit by, and longer where one has not.
 
-Signatures are banded; documents of equal multisets travel as one. Band groups are linked to their
-least member and from neighbour to neighbour, each link is verified on the whole multisets, and
-groups that stay in several components have their cross pairs of fitting sizes verified as well.
-Classes are the connected components of verified links.
+Signatures are banded; documents of equal multisets travel as one. Within a band group, documents
+whose short signatures agree well enough are joined to a spanning forest (searched breadth first, so
+a group of alike documents costs one comparison each); the forests' components over all bands are
+families. A family is verified on the whole multisets in blocks of bounded size, block against
+block, so that no pairs travel: pairs come in the order of their signatures' agreement, and those
+already in one class are passed over. Classes are the connected components of what was verified.
+
+What the signatures can miss: a pair at the similarity 0.8 shares no band with a probability of
+5e-5, and falls below either agreement bound (4.5 standard deviations down) with one below 1e-5.
 
 Cases: null and empty texts have no shingles and are classes of their own; texts under five words
 are one shingle; repeated rows fall in one class; rows of one id count as one node (their links
@@ -32,7 +37,7 @@ from kinward.llm.components import components
 
 WORDS, SIMILARITY = 5, 0.8
 SLOTS, BANDS, ROWS = 128, 25, 5
-FLUSH = 1_200_000
+FLUSH = 400_000  # shingles whose signatures are made at a time
 
 
 def shingles(buf: np.ndarray, off: np.ndarray, words: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -114,9 +119,9 @@ def node_of(id_col: str, text_col: str) -> Column:
     return F.coalesce(F.col(id_col).cast("long"), F.shiftrightunsigned(F.xxhash64(text), 2) + F.lit(-(2**63)))
 
 
-SIGNED = "node long, doc_id long, print1 long, print2 long, n int, bands binary"
+SIGNED = "node long, doc_id long, print1 long, print2 long, n int, bands binary, sig binary"
 _SIGNED = pa.schema(
-    [("node", pa.int64()), ("doc_id", pa.int64()), ("print1", pa.int64()), ("print2", pa.int64()), ("n", pa.int32()), ("bands", pa.binary())]
+    [("node", pa.int64()), ("doc_id", pa.int64()), ("print1", pa.int64()), ("print2", pa.int64()), ("n", pa.int32()), ("bands", pa.binary()), ("sig", pa.binary())]
 )
 
 
@@ -131,11 +136,14 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 at = np.searchsorted(of, np.arange(n + 1))
                 prints.append((sums[at[1:]] - sums[at[:-1]]).view(np.int64))
         size = np.bincount(of, weights=w, minlength=n).astype(np.int32)
-        keys = band_keys(signatures(of, h, w, n))
+        times = signatures(of, h, w, n)
+        keys = band_keys(times)
+        short = (ts.mix64(times.view(np.uint64)) & np.uint64(255)).astype(np.uint8)
+        sig = [x.tobytes() for x in short]
         bands = [keys[i].tobytes() if size[i] else None for i in range(n)]
         ids = pa.chunked_array([r[0] for r in rows]).combine_chunks(), pa.chunked_array([r[1] for r in rows]).combine_chunks()
         yield pa.RecordBatch.from_arrays(
-            [*ids, pa.array(prints[0]), pa.array(prints[1]), pa.array(size), pa.array(bands, pa.binary())], schema=_SIGNED
+            [*ids, pa.array(prints[0]), pa.array(prints[1]), pa.array(size), pa.array(bands, pa.binary()), pa.array(sig, pa.binary())], schema=_SIGNED
         )
 
     rows, held, n, most = [], ([], [], []), 0, 0
@@ -155,58 +163,75 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from flush(rows, *held, n)
 
 
-MEMBER = np.dtype([("key", "u8"), ("node", "i8"), ("n", "i4")])
-_FOUND = pa.schema([("kind", pa.int32()), ("key", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32())])
-FOUND = "kind int, key long, a long, b long, n int"
+MEMBER = np.dtype([("key", "u8"), ("node", "i8"), ("n", "i4"), ("bits", "u8", (4,))])
+
+
+def agreement_bound(bits: int, sigmas: float = 4.5) -> int:
+    """Slots that must agree, of SLOTS kept to some bits each."""
+    p = SIMILARITY + (1 - SIMILARITY) / (1 << bits)
+    return int(SLOTS * p - sigmas * np.sqrt(SLOTS * p * (1 - p)))
+
+
+TWO_BITS, EIGHT_BITS = agreement_bound(2), agreement_bound(8)
+_LOW = np.uint64(0x5555555555555555)
 
 
 def _deal_bands(reps: DataFrame, buckets: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys, _ = ts.as_bytes(batch.column(2))
+            sig, _ = ts.as_bytes(batch.column(3))
+            two = (sig & 3).reshape(-1, SLOTS // 4, 4)
+            packed = (two[:, :, 0] | two[:, :, 1] << 2 | two[:, :, 2] << 4 | two[:, :, 3] << 6).view(np.uint64)
             rec = np.empty(batch.num_rows * BANDS, MEMBER)
             rec["key"] = np.frombuffer(keys.tobytes(), np.uint64)
-            rec["node"] = np.repeat(batch.column(0).to_numpy(), BANDS)
-            rec["n"] = np.repeat(batch.column(1).to_numpy(), BANDS)
+            for name, i in (("node", 0), ("n", 1)):
+                rec[name] = np.repeat(batch.column(i).to_numpy(), BANDS)
+            rec["bits"] = np.repeat(packed, BANDS, axis=0)
             yield from ex.deal(rec, rec["key"], buckets)
 
-    return reps.select("node", "n", "bands").mapInArrow(run, ex.BLOCK_SCHEMA)
+    return reps.select("node", "n", "bands", "sig").mapInArrow(run, ex.BLOCK_SCHEMA)
 
 
-def _fits(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+def _fits(x, y):
     """Whether sizes allow the similarity at all."""
     return np.minimum(x, y) >= SIMILARITY * np.maximum(x, y) - 1e-9
 
 
+def _forest(node: np.ndarray, n: np.ndarray, bits: np.ndarray) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of the members that may be alike, breadth first."""
+    left = np.arange(len(node))
+    edges = []
+    while len(left) > 1:
+        queue, left = [int(left[0])], left[1:]
+        while queue and len(left):
+            i = queue.pop()
+            differ = bits[left] ^ bits[i]
+            agree = SLOTS - np.bitwise_count((differ | differ >> np.uint64(1)) & _LOW).sum(axis=1)
+            near = (agree >= TWO_BITS) & _fits(n[left], n[i])
+            found = left[near]
+            left = left[~near]
+            edges += [(int(node[i]), int(node[j])) for j in found]
+            queue += found.tolist()
+    return edges
+
+
+_EDGES = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+
 def _link_groups(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """Links of every band group to its least member and between neighbours; members of groups over three."""
+    """Forest edges of every band group of a bucket."""
     rec = rec[np.argsort(rec["key"], kind="stable")]
     at = ts.group_bounds(rec["key"])
     rec = rec[np.repeat(np.diff(at) > 1, np.diff(at))]
-    if not len(rec):
-        return
-    rec = rec[np.lexsort((rec["n"], rec["node"], rec["key"]))]
     at = ts.group_bounds(rec["key"])
-    size = np.diff(at)
-    head = np.repeat(at[:-1], size)
-    inner = np.flatnonzero(np.arange(len(rec)) != head)
-    a = np.concatenate([rec["node"][head[inner]], rec["node"][inner - 1]])
-    na = np.concatenate([rec["n"][head[inner]], rec["n"][inner - 1]])
-    b, nb = np.tile(rec["node"][inner], 2), np.tile(rec["n"][inner], 2)
-    ok = _fits(na, nb) & (a != b)
-    pair = np.unique(np.rec.fromarrays([np.minimum(a, b)[ok], np.maximum(a, b)[ok]], names="a,b"))
-    z = np.zeros(len(pair), np.int64)
-    yield pa.RecordBatch.from_arrays(
-        [pa.array(z.astype(np.int32)), pa.array(z), pa.array(pair["a"]), pa.array(pair["b"]), pa.array(z.astype(np.int32))], schema=_FOUND
-    )
-    rest = rec[np.repeat(size > 3, size)]
-    yield pa.RecordBatch.from_arrays(
-        [
-            pa.array(np.ones(len(rest), np.int32)), pa.array(rest["key"].copy().view(np.int64)),
-            pa.array(rest["node"].copy()), pa.array(rest["node"].copy()), pa.array(rest["n"].copy()),
-        ],
-        schema=_FOUND,
-    )
+    edges = set()
+    for i, j in zip(at[:-1].tolist(), at[1:].tolist()):
+        g = rec[i:j]
+        edges.update((min(e), max(e)) for e in _forest(g["node"], g["n"], g["bits"]) if e[0] != e[1])
+    if edges:
+        a, b = zip(*sorted(edges))
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_EDGES)
 
 
 def element_set(h: np.ndarray) -> bytes:
@@ -246,27 +271,48 @@ def _sets(rows: DataFrame, nodes: DataFrame) -> DataFrame:
     return rows.join(nodes, "node", "left_semi").select("node", "text").mapInArrow(run, "node long, elements binary")
 
 
-def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """Pairs whose multisets are similar enough."""
+BLOCK = 1024
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, mine = None, None
-        for batch in batches:
-            keep = []
-            for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3))):
-                y = y.as_py()
-                if y != last:
-                    last, mine = y, elements(y)
-                other = elements(x.as_py())
-                both = overlap(mine, other)
-                if both >= SIMILARITY * (len(mine) + len(other) - both) - 1e-9:
-                    keep.append(i)
-            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
-
-    left = sets.select(F.col("node").alias("a"), F.col("elements").alias("x"))
-    right = sets.select(F.col("node").alias("b"), F.col("elements").alias("y"))
-    joined = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y")
-    return joined.mapInArrow(run, "a long, b long")
+
+def _verified(family: pa.Table) -> pa.Table:
+    """Links of a family's block (or pair of blocks) that connect its classes."""
+    nodes, sides = family["node"].to_numpy(), family["side"].to_numpy()
+    n = family["n"].to_numpy()
+    sig = ts.as_bytes(family["sig"])[0].reshape(-1, SLOTS)
+    sets = [elements(x.as_py()) for x in family["elements"]]
+    root = list(range(len(nodes)))
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    rows, cols, agree = [], [], []
+    for i in range(len(nodes) - 1):  # a row of the agreement matrix at a time
+        rest = np.arange(i + 1, len(nodes))
+        if sides.any():
+            rest = rest[sides[rest] != sides[i]]
+        rest = rest[_fits(n[rest], n[i])]
+        same = (sig[rest] == sig[i]).sum(axis=1)
+        ok = same >= EIGHT_BITS
+        rows.append(np.full(int(ok.sum()), i))
+        cols.append(rest[ok])
+        agree.append(same[ok])
+    links = []
+    if rows:
+        rows, cols, agree = (np.concatenate(x) for x in (rows, cols, agree))
+        for k in np.argsort(-agree, kind="stable").tolist():
+            i, j = int(rows[k]), int(cols[k])
+            p, q = find(i), find(j)
+            if p == q:
+                continue
+            both = overlap(sets[i], sets[j])
+            if both >= SIMILARITY * (len(sets[i]) + len(sets[j]) - both) - 1e-9:
+                root[q] = p
+                links.append((int(nodes[i]), int(nodes[j])))
+    a, b = zip(*links) if links else ((), ())
+    return pa.Table.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_EDGES)
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -276,40 +322,30 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         F.col(id_col).cast("long").alias("doc_id"),
         F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"),
     )
-    buckets = ex.bucket_count(rows, 16 << 20)
+    buckets = ex.bucket_count(rows)
     signed = ex.cut(rows.mapInArrow(_sign, SIGNED))
     same = ["print1", "print2", "n"]
     reps = (
         signed.filter("n > 0")
         .groupBy(*same)
-        .agg(F.min(F.struct("node", "bands")).alias("r"))
-        .select(*same, F.col("r.node").alias("node"), F.col("r.bands").alias("bands"))
+        .agg(F.min(F.struct("node", "bands", "sig")).alias("r"))
+        .select(*same, *[F.col(f"r.{c}").alias(c) for c in ("node", "bands", "sig")])
     )
-    found = ex.cut(ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, FOUND, buckets))
-    pairs = ex.cut(found.filter("kind = 0").select("a", "b").distinct())
-    members = found.filter("kind = 1").select("key", F.col("a").alias("node"), "n")
-    ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node")))
-    sets = ex.cut(_sets(rows, ends.distinct()))
-    links = ex.cut(_verified(pairs, sets).distinct())
-    roots = ex.cut(components(links))
-    # the rest: groups that are not one component yet
-    placed = members.join(roots, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
-    sizes = placed.groupBy("key", "root").agg(F.count(F.lit(1)).alias("c"))
-    main = sizes.groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count(F.lit(1)).alias("parts"))
-    split = placed.join(main.filter("parts > 1").select("key", "main"), "key")
-    x = split.filter("root <> main").select("key", F.col("node").alias("p"), F.col("n").alias("np"), F.col("root").alias("rp"))
-    y = split.select("key", F.col("node").alias("q"), F.col("n").alias("nq"), F.col("root").alias("rq"))
-    fits = (F.least("np", "nq") * 10 >= F.greatest("np", "nq") * 8) & (F.col("rp") != F.col("rq"))
-    cross = (
-        x.join(y, "key").filter(fits).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
+    edges = ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long", buckets)
+    families = components(edges).withColumnRenamed("root", "family")
+    blocks = families.groupBy("family").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    placed = (
+        families.join(blocks, "family")
+        .withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+        .join(reps.select("node", "n", "sig"), "node")
     )
-    cross = ex.cut(cross.join(pairs, ["a", "b"], "left_anti"))
-    if not cross.isEmpty():
-        known = sets.select("node")
-        ends = cross.select(F.col("a").alias("node")).unionByName(cross.select(F.col("b").alias("node"))).distinct()
-        fresh = ends.join(known, "node", "left_anti")
-        more = sets if fresh.isEmpty() else ex.cut(sets.unionByName(_sets(rows, fresh)))
-        roots = components(links.unionByName(_verified(cross, more)))
+    sets = _sets(rows, families.select("node")).join(placed, "node")
+    # every block meets itself and every other one
+    dealt = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
+        "family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
+        F.when(F.col("mine") > F.col("other"), 1).otherwise(0).alias("side"), "node", "n", "sig", "elements",
+    )
+    roots = components(dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long"))
     of = reps.select(*same, F.col("node").alias("rep"))
     out = signed.select("node", "doc_id", *same).join(of, same, "left")
     out = out.join(roots.withColumnRenamed("node", "rep"), "rep", "left")
