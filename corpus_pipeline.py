@@ -38,13 +38,14 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that no benchmark item is found in."""
+    exchange.bound_batches(spark)  # the stage runs when it is written
     return decontaminate.keep_clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of every document left."""
-    path = vocabulary_path()
-    return byte_bpe.digests(byte_bpe.encode_documents(docs, path), path)
+    exchange.bound_batches(spark)
+    return byte_bpe.encode_and_digest(docs, vocabulary_path())
 
 
 STAGES = [

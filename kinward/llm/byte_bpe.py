@@ -144,7 +144,7 @@ def slice_starts(buf: np.ndarray, off: np.ndarray) -> np.ndarray:
 class Vocabulary:
     """Ranks of byte strings, merges with a bounded cache, and flat bytes for decoding."""
 
-    def __init__(self, path: str, cache_size: int = 400_000):
+    def __init__(self, path: str, cache_size: int = 150_000):
         with open(path, "rb") as f:
             pairs = [line.split() for line in f if line.strip()]
         self.ranks = {base64.b64decode(a): int(b) for a, b in pairs}
@@ -215,10 +215,10 @@ class Vocabulary:
         for name, i, j in zip(names, start[at].tolist(), end[at].tolist()):
             got = known.get(name)
             if got is None:
-                got = known[name] = self.merge(data[i:j])
+                got = known[name] = np.array(self.merge(data[i:j]), np.int32).tobytes()
             made.append(got)
-        count = np.array([len(x) for x in made], np.int64)
-        flat = np.array([i for x in made for i in x], np.int32)
+        count = np.array([len(x) for x in made], np.int64) // 4
+        flat = np.frombuffer(b"".join(made), np.int32)
         begin = np.cumsum(count) - count
         ids = flat[ts.ranges(begin[inverse], count[inverse])]
         total = np.append(0, np.cumsum(count[inverse]))
@@ -239,24 +239,29 @@ def vocabulary(path: str) -> Vocabulary:
     return Vocabulary(path)
 
 
+_ENCODED = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids", pa.list_(pa.int32()))])
+
+
+def _encoded(batches: Iterator[pa.RecordBatch], vocab: Vocabulary) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        buf, off = ts.as_bytes(batch.column(1))
+        for i, j in ts.pieces(buf, off):
+            ids, at = vocab.encode(buf[off[i] : off[j]], off[i : j + 1] - off[i])
+            lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(at)), lists], schema=_ENCODED)
+
+
+def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+
+
 def encode_documents(docs: DataFrame, vocab_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_tokens, ids): the ids of every whole text."""
-    arrow = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids", pa.list_(pa.int32()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocab = vocabulary(vocab_path)
-        for batch in batches:
-            buf, off = ts.as_bytes(batch.column(1))
-            for i, j in ts.pieces(buf, off):
-                ids, at = vocab.encode(buf[off[i] : off[j]], off[i : j + 1] - off[i])
-                lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(np.diff(at)), lists], schema=arrow
-                )
-
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, n_tokens long, ids array<int>"
-    )
+        yield from _encoded(batches, vocabulary(vocab_path))
+
+    return _texts(docs, id_col, text_col).mapInArrow(run, "doc_id long, n_tokens long, ids array<int>")
 
 
 def decode_documents(encoded: DataFrame, vocab_path: str) -> DataFrame:
@@ -275,8 +280,11 @@ def decode_documents(encoded: DataFrame, vocab_path: str) -> DataFrame:
     return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, data binary")
 
 
-def digests(encoded: DataFrame, vocab_path: str) -> DataFrame:
-    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of what ``encode_documents`` returned."""
+def encode_and_digest(docs: DataFrame, vocab_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of what encoding gives; the ids are decoded again.
+
+    One Python pass: the encoder's batches feed the digests without a way back through the JVM.
+    """
     import hashlib
 
     arrow = pa.schema(
@@ -286,7 +294,7 @@ def digests(encoded: DataFrame, vocab_path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocab = vocabulary(vocab_path)
         word = vocab.decimal.__getitem__
-        for batch in batches:
+        for batch in _encoded(batches, vocab):
             lists = batch.column(2)
             at, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
             said, read = [], []
@@ -296,6 +304,5 @@ def digests(encoded: DataFrame, vocab_path: str) -> DataFrame:
                 read.append(hashlib.sha256(vocab.decode(ids)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(said), pa.array(read)], schema=arrow)
 
-    return encoded.select("doc_id", "n_tokens", "ids").mapInArrow(
-        run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    )
+    schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
+    return _texts(docs, id_col, text_col).mapInArrow(run, schema)

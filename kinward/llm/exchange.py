@@ -12,6 +12,7 @@ import math
 import os
 import tempfile
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -47,6 +48,27 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+BATCH_KEY, BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", 1000
+
+
+def bound_batches(spark: SparkSession) -> str:
+    """Send whole texts to Python in batches of BATCH_ROWS at most; returns the setting before."""
+    before = spark.conf.get(BATCH_KEY)
+    if not 0 < int(before) <= BATCH_ROWS:
+        spark.conf.set(BATCH_KEY, str(BATCH_ROWS))
+    return before
+
+
+@contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """``bound_batches`` for what runs inside."""
+    before = bound_batches(spark)
+    try:
+        yield
+    finally:
+        spark.conf.set(BATCH_KEY, before)
+
+
 BLOCK_SCHEMA = "bucket int, block binary"
 _BLOCK_ARROW = pa.schema([("bucket", pa.int32()), ("block", pa.binary())])
 

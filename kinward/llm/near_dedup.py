@@ -37,7 +37,7 @@ from kinward.llm.components import components
 
 WORDS, SIMILARITY = 5, 0.8
 SLOTS, BANDS, ROWS = 128, 25, 5
-FLUSH = 400_000  # shingles whose signatures are made at a time
+FLUSH = 250_000  # shingles whose signatures are made at a time
 
 
 def shingles(buf: np.ndarray, off: np.ndarray, words: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -317,6 +317,11 @@ def _verified(family: pa.Table) -> pa.Table:
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(node, doc_id, class_id): one row per document; the class id is its least node."""
+    with ex.small_batches(docs.sparkSession):
+        return _classes(docs, id_col, text_col)
+
+
+def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     rows = docs.select(
         node_of(id_col, text_col).alias("node"),
         F.col(id_col).cast("long").alias("doc_id"),

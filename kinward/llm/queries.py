@@ -25,8 +25,7 @@ def vocabulary_path() -> str:
 
 
 def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = vocabulary_path()
-    return byte_bpe.digests(byte_bpe.encode_documents(_table(spark, sf_dir, "documents"), path), path)
+    return byte_bpe.encode_and_digest(_table(spark, sf_dir, "documents"), vocabulary_path())
 
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
