@@ -60,6 +60,8 @@ def anchors(score: np.ndarray, off: np.ndarray, width: int, zone: tuple[int, int
     least = sliding_least(ranked[zone[0] :], zone[1] - zone[0])
     lens = np.diff(off)
     long = np.flatnonzero(lens >= width)
+    if not len(long):
+        return none, none, none, none
     count = lens[long] - width + 1
     p = ts.ranges(off[long], count)
     doc = np.repeat(long, count)
