@@ -26,9 +26,11 @@ def input_bytes(df: DataFrame) -> int:
 
 
 def bucket_count(df: DataFrame, per_bucket: int = 4 << 20, least: int = 24) -> int:
-    """Buckets in proportion to the input."""
+    """Buckets in proportion to the input; where Spark knows no size, as many as its shuffles have."""
     size = input_bytes(df)
-    return max(least, min(1 << 20, math.ceil(size / per_bucket))) if size < 1 << 60 else 4096
+    if size > 1 << 52:
+        return max(least, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return max(least, math.ceil(size / per_bucket))
 
 
 def checkpoint_folder(spark: SparkSession) -> None:

@@ -54,7 +54,7 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def later_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_run: int = MIN_RUN) -> DataFrame:
-    """(kw_doc, kw_tag, starts): windows of lines whose content also starts earlier."""
+    """(kw_doc, kw_tag, kw_starts): windows of lines whose content also starts earlier."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     windows = (
         _keyed(docs, id_col, text_col)
@@ -71,7 +71,7 @@ def later_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
         .drop("n")
     )
     later = candidates.join(first, ["fp", "key"]).filter(F.struct("kw_doc", "kw_tag", "i") > F.col("first"))
-    return later.groupBy("kw_doc", "kw_tag").agg(F.collect_set("i").alias("starts"))
+    return later.groupBy("kw_doc", "kw_tag").agg(F.collect_set("i").alias("kw_starts"))
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_run: int = MIN_RUN) -> DataFrame:
@@ -81,7 +81,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     def reduced(lines: Column) -> Column:
         def of(marked: Column) -> Column:
-            seen = F.flatten(F.transform(F.col("starts"), lambda s: F.sequence(s, s + (min_run - 1))))
+            seen = F.flatten(F.transform(F.col("kw_starts"), lambda s: F.sequence(s, s + (min_run - 1))))
 
             def kept(gone: Column) -> Column:
                 inked = F.filter(marked, lambda x: x["ink"])
@@ -105,7 +105,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         return let(F.transform(lines, lambda x, i: F.struct(i.alias("pos"), has_ink(x).alias("ink"))), of)
 
     whole = F.struct(text.alias("text"), F.lit(0).cast("long").alias("removed"))
-    rows = rows.withColumn("kw_out", F.when(F.col("starts").isNull(), whole).otherwise(let(lines_of(text), reduced)))
+    rows = rows.withColumn("kw_out", F.when(F.col("kw_starts").isNull(), whole).otherwise(let(lines_of(text), reduced)))
     n_lines = F.size(F.filter(lines_of(text), has_ink)).cast("long")
     kept_text = F.when(F.col(text_col).isNull(), F.col(text_col)).otherwise(F.col("kw_out.text"))
     return rows.select(
