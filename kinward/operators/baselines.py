@@ -11,12 +11,12 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinward.functions import vectors as vx
 from kinward.functions.vectors import l2
-from kinward.operators import exact, proxy
+from kinward.operators import proxy
 from kinward.sources.shared import cut
 
 
@@ -133,10 +133,3 @@ def relative_neighbours(points: DataFrame, knn_all: DataFrame) -> DataFrame:
     to_b = d.select(F.col("src").alias("b"), F.col("dst").alias("c"), F.col("dist").alias("bc"))
     blocked = pair.join(to_a, "a").filter("ac < dist").join(to_b, ["b", "c"]).filter("bc < dist").select("a", "b").distinct()
     return pair.join(blocked, ["a", "b"], "left_anti").select("a", "b")
-
-
-def rank_by(keys: list[str], *order) -> Window:
-    return Window.partitionBy(*keys).orderBy(*order)
-
-
-__all__ = ["build_hop_graph", "exact", "filter_verify", "hop_candidates", "hop_rknn", "incremental_rknn", "local_elimination", "one_shot_rknn", "relative_neighbours"]
