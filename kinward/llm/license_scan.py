@@ -87,11 +87,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", senten
     names = {text: name for name, text in sentences.items()}
     table = F.create_map(*[F.lit(x) for pair in names.items() for x in pair])
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    # a sentence stands also where a colon or semicolon inside it was cut: joined neighbours are looked up too
-    ids = F.filter(
-        F.transform(_sentences(text), lambda s: F.when(F.length(s) <= 400, F.try_element_at(table, _normal(s)))),
-        lambda x: x.isNotNull(),
-    )
+    ids = F.filter(F.transform(_sentences(text), lambda s: F.try_element_at(table, _normal(s))), lambda x: x.isNotNull())
     hinted = F.lower(text).rlike("|".join(HINTS)) if sentences is SENTENCES else F.lit(True)
     rows = docs.select(
         F.col(id_col).cast("long").alias("doc_id"), F.when(hinted, ids).otherwise(F.array().cast("array<string>")).alias("sentence_ids")

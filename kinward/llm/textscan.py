@@ -118,11 +118,6 @@ def text_hash(buf: np.ndarray, off: np.ndarray) -> np.ndarray:
     return span_hash(prefix_sums(byte_codes(buf)), off[:-1], off[1:])
 
 
-def ids_of(column: pa.Array) -> np.ndarray:
-    """int64 ids; null becomes the least value, so it sorts first."""
-    return pc.fill_null(column.cast(pa.int64()), np.iinfo(np.int64).min).to_numpy(zero_copy_only=False)
-
-
 def group_bounds(*keys: np.ndarray) -> np.ndarray:
     """Starts of the runs of equal keys in sorted columns, with the total at the end."""
     n = len(keys[0])
