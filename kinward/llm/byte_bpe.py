@@ -144,7 +144,7 @@ def slice_starts(buf: np.ndarray, off: np.ndarray) -> np.ndarray:
 class Vocabulary:
     """Ranks of byte strings, merges with a bounded cache, and flat bytes for decoding."""
 
-    def __init__(self, path: str, cache_size: int = 150_000):
+    def __init__(self, path: str, cache_size: int = 500_000):
         with open(path, "rb") as f:
             pairs = [line.split() for line in f if line.strip()]
         self.ranks = {base64.b64decode(a): int(b) for a, b in pairs}
