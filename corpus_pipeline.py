@@ -21,8 +21,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without later copies of runs of lines; n_chars follows the text, emptied ones go."""
-    out = line_dedup.dedup_lines(docs)
+    """Documents without later copies of lines; n_chars follows the text, emptied ones go."""
+    out = line_dedup.dedup_lines(docs, min_run=1)
     left = F.col("text").rlike(r"[^\x20\x09-\x0D]") | (F.col("kw_removed") == 0)
     out = out.filter(F.coalesce(left, F.lit(True)))
     if "n_chars" in docs.columns:

@@ -6,7 +6,9 @@ drop out; windows around shared ones are joined by content, which extends a matc
 goes both ways, and lines in a window that also starts earlier are deleted.
 
 Earlier: smaller doc_id (null first; rows of one id by a hash of their text), or the same document
-and an earlier line. Cases: null text is empty (one blank line); blank lines stay and are passed
+and an earlier line. With ``min_run`` 1 every later copy of a line goes (``report_every``, the
+pipeline); ``MIN_RUN`` is what the SQL of op5_line_dedup states, and leaves shorter runs however
+long their lines are. Cases: null text is empty (one blank line); blank lines stay and are passed
 over; runs shorter than ``min_run`` stay; rows that repeat a whole document (id and text) count as
 one document; other columns are ignored; an empty table gives an empty result.
 """
@@ -126,6 +128,11 @@ def report(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
     )
 
 
+def report_every(docs: DataFrame) -> DataFrame:
+    """``report`` with every later copy of a line deleted."""
+    return report(docs, min_run=1)
+
+
 ORACLE = rf"""
 WITH l AS (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line,
     generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents),
@@ -140,3 +147,13 @@ SELECT doc_id, count(*) FILTER (WHERE ink) AS n_lines, count(*) FILTER (WHERE go
   sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE NOT gone), '')) AS kept_sha256
 FROM kept GROUP BY doc_id
 """
+
+ORACLE_EVERY = r"""
+WITH l AS (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line,
+    generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents),
+k AS (SELECT *, regexp_matches(line, '[^\x20\x09-\x0D]') AS ink FROM l),
+r AS (SELECT *, ink AND row_number() OVER (PARTITION BY line ORDER BY doc_id, pos) > 1 AS gone FROM k)
+SELECT doc_id, count(*) FILTER (WHERE ink) AS n_lines, count(*) FILTER (WHERE gone) AS n_removed,
+  sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE NOT gone), '')) AS kept_sha256
+FROM r GROUP BY doc_id
+"""

@@ -167,6 +167,26 @@ def test_line_dedup(rows, docs):
     assert want[19][1] == 4 and want[20][1] == 0
 
 
+def test_every_line_dedup(spark, rows, docs):
+    import corpus_pipeline
+
+    seen, want, left = set(), {}, {}
+    for i, t in rows:
+        lines = (t or "").split("\n")
+        gone = set()
+        for k, x in enumerate(lines):
+            if re.search(r"[^\x20\x09-\x0D]", x):
+                gone |= {k} if x in seen else set()
+                seen.add(x)
+        kept = "\n".join(x for k, x in enumerate(lines) if k not in gone)
+        want[i] = (len(gone), hashlib.sha256(kept.encode()).hexdigest())
+        if kept.strip(" \t\n\x0b\x0c\r") or not gone:
+            left[i] = t if t is None else kept
+    got = {r.doc_id: (r.n_removed, r.kept_sha256) for r in line_dedup.report_every(docs).collect()}
+    assert got == want and want[20][0] == 2
+    assert {r.doc_id: r.text for r in corpus_pipeline.lines(spark, docs, "").collect()} == left
+
+
 def test_quality_rules(spark, rows, docs):
     got = {r.doc_id: r for r in quality_rules.judge(docs).collect()}
     for i, t in rows:
