@@ -1,11 +1,16 @@
 """Licence scans by sentence rules, in Spark's own functions only.
 
-Texts are cut into sentences, each is normalised and looked up in a table of known licence
-sentences, and the sequence of identifiers is matched against ordered rules: a rule names a
-licence if its identifiers follow one another. A rule that lies wholly inside a longer rule's
-match is reported with it only if it also stands alone as a rule of its own.
+Texts are normalised and marked where a sentence may begin or end: after [.!?;:] before a space
+and at line ends. Known licence sentences are found between two marks; marks inside one are passed
+over, so hard wraps, comment signs, colons and abbreviations do not hide it, and of several that
+begin at a mark the longest counts. The sequence of identifiers is matched against ordered rules: a
+rule names a licence if its identifiers follow one another. A rule that lies wholly inside a longer
+rule's match is reported with it only if it also stands alone as a rule of its own.
 
-Cases: null and empty texts have no sentences; repeated rows are scanned each; other columns are
+The SQL of op7_license_scan knows SENTENCES only, each between neighbouring marks; the operator
+finds all of these and more, and the two agree where a table holds no other form.
+
+Cases: SPDX expressions of several licences are not taken apart; null and empty texts have no sentences; repeated rows are scanned each; other columns are
 ignored; an empty table gives an empty result.
 """
 
@@ -42,6 +47,61 @@ SENTENCES = {
     "mpl2_form": "this source code form is subject to the terms of the mozilla public license v 2 0",
     "rights": "all rights reserved",
 }
+
+def _gnu(name: str, version: str, subject: str) -> list[str]:
+    """The usual headers of the GNU licences."""
+    start = f"this {subject} is free software you can redistribute it and or modify it under the terms of the gnu {name}general public license"
+    fsf = "as published by the free software foundation"
+    ends = (
+        f"{fsf} either version {version} of the license or at your option any later version", f"{fsf} version {version} of the license",
+        f"{fsf} version {version}", f"version {version} as published by the free software foundation", f"version {version}",
+    )
+    return [f"{start} {end}" for end in ends]
+
+
+def _spdx(*names: str) -> list[str]:
+    return [f"spdx license identifier {name}" for name in names]
+
+
+def _gnu_spdx(name: str, *versions: str) -> list[str]:
+    return _spdx(*[f"{name} {v}{end}" for v in versions for end in ("", " only", " or later")])
+
+
+# Whole standard sentences that stand for the same identifiers.
+WHOLE = {
+    "mit_grant": [
+        "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files"
+        " the software to deal in the software without restriction including without limitation the rights to use copy modify merge"
+        " publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to"
+        " do so subject to the following conditions"
+    ],
+    "mit_notice": [
+        "the above copyright notice and this permission notice including the next paragraph shall be included in all copies or"
+        " substantial portions of the software"
+    ],
+    "as_is": [
+        "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of"
+        " merchantability fitness for a particular purpose and noninfringement"
+    ],
+    "bsd_redist": [
+        "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met"
+    ],
+    "bsd_spdx": _spdx("bsd 2 clause"),
+    "mpl2_form": _spdx("mpl 2 0"),
+    "gpl3_work": [x for subject in ("program", "file", "software") for x in _gnu("", "3", subject)],
+    "gpl2_work": [x for subject in ("program", "file", "software") for x in _gnu("", "2", subject)] + _gnu_spdx("gpl", "2 0"),
+    "gpl3_spdx": _spdx("gpl 3 0", "gpl 3 0 or later"),
+    "lgpl_under": [x for subject in ("library", "program") for v in ("2", "2 1", "3") for x in _gnu("lesser ", v, subject)]
+    + _gnu_spdx("lgpl", "2 0", "2 1", "3 0"),
+    "ccbync4_under": ["this work is licensed under a creative commons attribution noncommercial 4 0 international license", *_spdx("cc by nc 4 0")],
+    "ccby4_under": ["this work is licensed under a creative commons attribution 4 0 international license", *_spdx("cc by 4 0")],
+    "ccbysa4_under": ["this work is licensed under a creative commons attribution sharealike 4 0 international license", *_spdx("cc by sa 4 0")],
+    "cc0_mark": [
+        "the person who associated cc0 with this work has waived all copyright and related or neighboring rights to this work",
+        "to the extent possible under law the author has waived all copyright and related or neighboring rights to this work",
+        *_spdx("cc0 1 0"),
+    ],
+}
 # Ordered rules, longest first; a licence and the identifiers that must follow one another.
 RULES = (
     ("Apache-2.0", ("apache2_grant", "apache2_limit", "apache2_copy")),
@@ -73,22 +133,29 @@ RULES = (
 HINTS = ("licen", "rights", "permission", "warrant", "redistrib", "copyright", "apache", "software", "public license")
 
 
-def _normal(sentence: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(sentence), r"[^a-z0-9]+", " "))
+def _marked(text: Column) -> Column:
+    """Words joined by one space, with a bar wherever a sentence may begin or end."""
+    cut = F.regexp_replace(F.concat(F.lit("\n"), text, F.lit("\n")), r"[.!?;:][\x20\x09\x0D]+", "\n")
+    return F.regexp_replace(F.regexp_replace(F.lower(cut), r"[^a-z0-9\n]+", " "), r" ?\n[ \n]*", "|")
 
 
-def _sentences(text: Column) -> Column:
-    return F.split(F.regexp_replace(text, r"([.!?;:])[\x20\x09\x0D]+", "$1\n"), "\n")
+def _known(text: Column, names: dict[str, str]) -> Column:
+    """Identifiers of the known sentences, in order."""
+    longest = sorted(names, key=lambda body: (-len(body.split()), body))
+    pattern = r"(?<=\|)(?:" + "|".join("[ |]".join(body.split()) for body in longest) + r")(?=\|)"
+    table = F.create_map(*[F.lit(x) for pair in names.items() for x in pair])
+    found = F.regexp_extract_all(_marked(text), F.lit(pattern), F.lit(0))
+    return F.transform(found, lambda s: F.element_at(table, F.translate(s, "|", " ")))
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sentences=None, rules=RULES) -> DataFrame:
     """(doc_id, n_known, sentence_ids, licenses): identifiers in order, licences by rule order."""
-    sentences = sentences or SENTENCES
-    names = {text: name for name, text in sentences.items()}
-    table = F.create_map(*[F.lit(x) for pair in names.items() for x in pair])
+    names = {text: name for name, text in (sentences or SENTENCES).items()}
+    if not sentences:
+        names |= {text: name for name, bodies in WHOLE.items() for text in bodies}
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    ids = F.filter(F.transform(_sentences(text), lambda s: F.try_element_at(table, _normal(s))), lambda x: x.isNotNull())
-    hinted = F.lower(text).rlike("|".join(HINTS)) if sentences is SENTENCES else F.lit(True)
+    ids = _known(text, names)
+    hinted = F.lit(True) if sentences else F.lower(text).rlike("|".join(HINTS))
     rows = docs.select(
         F.col(id_col).cast("long").alias("doc_id"), F.when(hinted, ids).otherwise(F.array().cast("array<string>")).alias("sentence_ids")
     )

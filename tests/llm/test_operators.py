@@ -213,6 +213,53 @@ def test_license_scan(spark):
     assert got[5] == (2, ["CC-BY-NC-4.0", "proprietary"])
 
 
+MIT = (
+    'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), '
+    "to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, "
+    "and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:\n\n"
+    "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.\n\n"
+    'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF '
+    "MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT."
+)
+BSD = (
+    "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:\n"
+    "1. Redistributions of source code must retain the above copyright notice."
+)
+MPL = "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one."
+GPL = (
+    "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the "
+    "Free Software Foundation, either version {} of the License, or (at your option) any later version.\n\nThis program is distributed in the hope."
+)
+APACHE = (
+    'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. '
+    "You may obtain a copy of the License at\n\n    http://www.apache.org/licenses/LICENSE-2.0"
+)
+
+
+def test_standard_licences_with_hard_wraps(spark):
+    import textwrap
+
+    whole = [(MIT, ["MIT"], 3), (BSD, ["BSD"], 1), (MPL, ["MPL-2.0"], 1), (GPL.format(3), ["GPL-3.0"], 1), (GPL.format(2), ["GPL-2.0"], 1), (APACHE, ["Apache-2.0"], 3)]
+    names = [("MIT", "MIT"), ("Apache-2.0", "Apache-2.0"), ("GPL-3.0-only", "GPL-3.0"), ("GPL-2.0-or-later", "GPL-2.0"), ("BSD-3-Clause", "BSD"), ("MPL-2.0", "MPL-2.0")]
+    data, want = [], {}
+    for text, licences, n in whole:
+        for width, sign in ((10**6, ""), (72, ""), (40, "# "), (30, " * ")):
+            wrapped = "\n".join(sign + line for part in text.split("\n") for line in textwrap.wrap(part, width) or [""])
+            want[len(data)] = (n, licences)
+            data.append((len(data), f"Copyright 2020 Some One\n\n{wrapped}"))
+    for name, licence in names:
+        for form in ("SPDX-License-Identifier: {}", "/* SPDX-License-Identifier: {} */\nint x;", "<!-- SPDX-License-Identifier: {} -->"):
+            want[len(data)] = (1, [licence])
+            data.append((len(data), form.format(name)))
+    for text in ("The permission to obtain a copy of this software was not granted.", MIT.replace("free of charge", "at a charge").split("\n")[0]):
+        want[len(data)] = (0, [])
+        data.append((len(data), text))
+    got = {r.doc_id: (r.n_known, list(r.licenses)) for r in license_scan.scan(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    assert got == want
+    known = [*license_scan.SENTENCES.values(), *[x for bodies in license_scan.WHOLE.values() for x in bodies]]
+    assert all(any(hint in x for hint in license_scan.HINTS) for x in known) and len(set(known)) == len(known)
+
+
 def test_chat_format(spark):
     rng = random.Random(3)
     bits = ["<|turn|>", "<|end|>", "[INST]", "[\\INST]", "</s>", "<\\\\|end|>", "<<SYS>>", "\\", "<", "text é", "\n", "<|"]
