@@ -7,6 +7,7 @@ dimension test, and relative-neighbourhood pruning.
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Callable
 
 import numpy as np
@@ -46,22 +47,23 @@ def local_elimination(near: DataFrame, points: DataFrame, k: int) -> DataFrame:
     return near.join(nearer, ["qid", "id"], "left").filter(F.coalesce("w", F.lit(0)) < k).select("qid", "id", "prank", "pdist")
 
 
-def _pull(frame: pd.DataFrame, k: int, t: float, lean: bool) -> pd.DataFrame:
-    """One query's sorted stream: survivors of witness counting, and which need no verification."""
+def _pull(frame: pd.DataFrame, k: int, t: float, lean: bool) -> tuple[pd.DataFrame, bool]:
+    """One query's sorted stream: survivors of witness counting, which need no verification, and whether the test stopped it."""
     frame = frame.sort_values(["pdist", "id"])
     ids, d, x = frame["id"].to_numpy(), frame["pdist"].to_numpy(), vx.matrix(frame["vec"])
     held, seen = [], 0
     witness, sure = np.zeros(len(ids), int), np.zeros(len(ids), bool)
-    bound = np.inf
+    bound, stopped = np.inf, False
     for v in range(len(ids)):
         if d[v] > bound:
+            stopped = True
             break
         seen += 1
         if held:
             h = np.array(held)
-            apart = np.sqrt(((x[h] - x[v]) ** 2).sum(axis=1))
-            witness[h] += apart < d[h]
-            witness[v] = int((apart < d[v]).sum())
+            apart = np.sqrt(((x[:v] - x[v]) ** 2).sum(axis=1))
+            witness[h] += apart[h] < d[h]
+            witness[v] = int((apart < d[v]).sum())  # pruned ones count too, or acceptance would be unsound
             ok = (witness[h] < k) & (d[v] >= 2 * d[h])
             sure[h[ok]] = True
         if not lean or witness[v] < k:
@@ -71,15 +73,44 @@ def _pull(frame: pd.DataFrame, k: int, t: float, lean: bool) -> pd.DataFrame:
             if ratio > 0:
                 bound = min(bound, d[v] / ratio)
     kept = [v for v in held if witness[v] < k]
-    return pd.DataFrame({"qid": frame["qid"].iloc[0], "id": ids[kept], "pdist": d[kept], "sure": sure[kept]}) if kept else pd.DataFrame(
-        {"qid": pd.Series(dtype="int64"), "id": pd.Series(dtype="int64"), "pdist": pd.Series(dtype=float), "sure": pd.Series(dtype=bool)}
-    )
+    return pd.DataFrame({"id": ids[kept], "pdist": d[kept], "sure": sure[kept]}), stopped
+
+
+def _pulled(stream: DataFrame, k: int, t: float, lean: bool) -> DataFrame:
+    """(qid, stopped, id, pdist, sure): every query's survivors; a row without id where there is none."""
+
+    def one(frame: pd.DataFrame) -> pd.DataFrame:
+        kept, stopped = _pull(frame, k, t, lean)
+        qid = frame["qid"].iloc[0]
+        if not len(kept):
+            return pd.DataFrame({"qid": [qid], "stopped": [stopped], "id": pd.array([None], "Int64"), "pdist": [0.0], "sure": [False]})
+        return kept.assign(qid=qid, stopped=stopped)[["qid", "stopped", "id", "pdist", "sure"]]
+
+    return stream.groupBy("qid").applyInPandas(one, "qid long, stopped boolean, id long, pdist double, sure boolean")
+
+
+GROWTH = 4  # a query that was not stopped starts anew with so many times the neighbours
 
 
 def incremental_rknn(queries: DataFrame, points: DataFrame, k: int, t: float = 4.0, max_pull: int = 200, lean: bool = True) -> DataFrame:
-    """(qid, id, dist): neighbours are pulled in order, pruned by witnesses, and stopped by a dimension test."""
-    stream = proxy.flat_proxies(queries, points, max_pull).join(points.select("id", "vec"), "id")
-    kept = cut(stream.groupBy("qid").applyInPandas(lambda f: _pull(f, k, t, lean), "qid long, id long, pdist double, sure boolean"))
+    """(qid, id, dist): neighbours are pulled in order, pruned by witnesses, and stopped by a dimension test.
+
+    ``max_pull`` neighbours are pulled at first; queries that the test has not stopped by then pull
+    ever more, until it stops them or the members end.
+    """
+    members, done, left, pull = points.count(), [], queries, max_pull
+    while True:
+        stream = proxy.flat_proxies(left, points, pull).join(points.select("id", "vec"), "id")
+        kept = cut(_pulled(stream, k, t, lean))
+        if pull >= members:
+            done.append(kept)
+            break
+        done.append(kept.filter("stopped"))
+        left = cut(left.join(kept.filter("NOT stopped").select("qid").distinct(), "qid", "left_semi"))
+        if left.isEmpty():
+            break
+        pull *= GROWTH
+    kept = functools.reduce(DataFrame.unionByName, done).filter("id IS NOT NULL").select("qid", "id", "pdist", "sure")
     sure = kept.filter("sure").select("qid", "id", F.col("pdist").alias("dist"))
     rest = as_candidates(kept.filter("NOT sure"))
     return sure.unionByName(proxy.online_radius_rknn(rest, queries, points, k))

@@ -155,6 +155,15 @@ def test_invariants(cloud):
     assert all(a["recall"] <= b["recall"] for a, b in zip(log, log[1:])) and log[-1]["recall"] >= 0.99
 
 
+def test_incremental_pulls_until_the_test_stops_it(cloud):
+    points, queries = cloud
+    radii = exact.k_radii(exact.ranked_graph_exact(points, 5)).cache()
+    truth = pairs(exact.exact_rknn(queries, points, radii, 5))
+    assert pairs(baselines.incremental_rknn(queries, points, 5, 50.0, 8)) == truth
+    whole = pairs(baselines.incremental_rknn(queries, points, 5, 2.0, 120))
+    assert pairs(baselines.incremental_rknn(queries, points, 5, 2.0, 3)) == whole
+
+
 def test_index_round_trip(spark, cloud, tmp_path):
     points, queries = cloud
     index = HybridIndex.build(points, str(tmp_path / "index"), 30, 8, 40, 4)
