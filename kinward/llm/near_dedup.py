@@ -17,9 +17,10 @@ What the signatures can miss: a pair at the similarity 0.8 shares no band with a
 5e-5, and falls below either agreement bound (4.5 standard deviations down) with one below 1e-5.
 
 Cases: null and empty texts have no shingles and are classes of their own; texts under five words
-are one shingle; repeated rows fall in one class; rows of one id count as one node (their links
-join); null ids are told apart by their text; ties go to the least id; other columns are ignored by
-``classes`` and passed on by ``keep_one``; an empty table gives an empty result.
+are one shingle; repeated rows fall in one class; unlike texts of one id are nodes of their own, so
+two classes may bear one number in ``report`` (``first`` of ``classes`` tells them apart); null ids
+are told apart by their text; ties go to the least id; other columns are ignored by ``classes`` and
+passed on by ``keep_one``, one row of every class; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -114,9 +115,13 @@ def band_keys(sig: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> np.ndarr
 
 
 def node_of(id_col: str, text_col: str) -> Column:
+    """A hash of id and text; of the text alone where the id is null."""
+    return F.xxhash64(F.col(id_col).cast("long"), F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+
+
+def _number() -> Column:
     """The id; a null id is replaced by one from the far negative range, made of the text."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return F.coalesce(F.col(id_col).cast("long"), F.shiftrightunsigned(F.xxhash64(text), 2) + F.lit(-(2**63)))
+    return F.coalesce(F.col("doc_id"), F.shiftrightunsigned("node", 2) + F.lit(-(2**63)))
 
 
 SIGNED = "node long, doc_id long, print1 long, print2 long, n int, bands binary, sig binary"
@@ -316,7 +321,7 @@ def _verified(family: pa.Table) -> pa.Table:
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(node, doc_id, class_id): one row per document; the class id is its least node."""
+    """(node, doc_id, class_id, first): one row per document; the least id of its class and that one's node."""
     with ex.small_batches(docs.sparkSession):
         return _classes(docs, id_col, text_col)
 
@@ -330,11 +335,12 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     buckets = ex.bucket_count(rows)
     signed = ex.cut(rows.mapInArrow(_sign, SIGNED))
     same = ["print1", "print2", "n"]
+    low = F.struct(_number().alias("number"), F.col("node").alias("node"))
     reps = (
         signed.filter("n > 0")
         .groupBy(*same)
-        .agg(F.min(F.struct("node", "bands", "sig")).alias("r"))
-        .select(*same, *[F.col(f"r.{c}").alias(c) for c in ("node", "bands", "sig")])
+        .agg(F.min(F.struct("node", "bands", "sig")).alias("r"), F.min(low).alias("low"))
+        .select(*same, *[F.col(f"r.{c}").alias(c) for c in ("node", "bands", "sig")], "low")
     )
     edges = ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long", buckets)
     families = components(edges).withColumnRenamed("root", "family")
@@ -351,16 +357,19 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         F.when(F.col("mine") > F.col("other"), 1).otherwise(0).alias("side"), "node", "n", "sig", "elements",
     )
     roots = components(dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long"))
-    of = reps.select(*same, F.col("node").alias("rep"))
+    of = reps.select(*same, F.col("node").alias("rep"), "low")
+    roots = roots.withColumnRenamed("node", "rep")
+    least = of.join(roots, "rep").groupBy("root").agg(F.min("low").alias("least"))
     out = signed.select("node", "doc_id", *same).join(of, same, "left")
-    out = out.join(roots.withColumnRenamed("node", "rep"), "rep", "left")
-    return out.select("node", "doc_id", F.coalesce("root", "rep", "node").alias("class_id"))
+    out = out.join(roots.join(least, "root").select("rep", "least"), "rep", "left")
+    out = out.withColumn("of", F.coalesce("least", "low", low))
+    return out.select("node", "doc_id", F.col("of.number").alias("class_id"), F.col("of.node").alias("first"))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The document of least id of every class, with all its columns."""
-    table = classes(docs, id_col, text_col).groupBy("node").agg(F.min("class_id").alias("class_id"), F.count(F.lit(1)).alias("c"))
-    stay = table.filter("node = class_id").select(F.col("node").alias("kw_node"), F.col("c").alias("kw_c"))
+    table = classes(docs, id_col, text_col).groupBy("node").agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("c"))
+    stay = table.filter("node = first").select(F.col("node").alias("kw_node"), F.col("c").alias("kw_c"))
     out = docs.withColumn("kw_node", node_of(id_col, text_col)).join(stay, "kw_node")
     once = out.filter("kw_c = 1").unionByName(out.filter("kw_c > 1").dropDuplicates(["kw_node"]))
     return once.select(*[F.col(f"`{c}`") for c in docs.columns])

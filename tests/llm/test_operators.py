@@ -310,6 +310,14 @@ def test_near_dedup(spark, rows, docs):
     assert stay == sorted(set(got.values()))
 
 
+def test_near_dedup_of_ids_with_unlike_texts(spark):
+    rng = random.Random(31)
+    a, b, c = (words(rng, 60, 3000) for _ in range(3))
+    data = [(5, b), (10, a), (10, b), (10, a), (12, c), (11, c + " end"), (7, "one text"), (7, "another text")]
+    stay = sorted((r.doc_id, r.text) for r in near_dedup.keep_one(spark.createDataFrame(data, "doc_id long, text string")).collect())
+    assert stay == sorted([(5, b), (10, a), (11, c + " end"), (7, "one text"), (7, "another text")])
+
+
 def test_near_dedup_signature_is_unbiased():
     import numpy as np
 
