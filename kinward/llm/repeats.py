@@ -5,9 +5,10 @@ inside itself from its own content alone, so equal windows name equal anchors at
 An anchor's key is a hash of symbols that every window naming it holds, and its context is what
 those windows cover together.
 
-Round 1 deals (key, context hash, place) to buckets of keys. Places with equal contexts are settled
-there; a key with several contexts asks the first place of each. Round 2 deals what was asked for,
-and compares contexts exactly. Answers go back to the documents as runs of window starts.
+Round 1 deals (key, context hashes, place) to buckets of keys. Places whose contexts agree in both
+61-bit hashes (two independent bases, 122 bits: for 10^14 windows a chance under 10^-8 of any false
+match) are settled there; a key with several contexts asks the first place of each. Round 2 deals
+what was asked for, and compares contexts. Answers go back to the documents as runs of window starts.
 Consecutive anchors with equal contexts (periodic text) travel as one record with a count and stride.
 """
 
@@ -25,7 +26,7 @@ from kinward.llm import textscan as ts
 
 FULL, ASK = 0, 1
 PLACE = np.dtype(
-    [("key", "u8"), ("ctx", "u8"), ("doc", "i8"), ("tag", "i4"), ("pos", "i4"), ("left", "i4"), ("many", "i4"), ("n", "i4")]
+    [("key", "u8"), ("ctx", "u8"), ("ctx2", "u8"), ("doc", "i8"), ("tag", "i4"), ("pos", "i4"), ("left", "i4"), ("many", "i4"), ("n", "i4")]
 )
 #: Window starts lo..lo+many-1, n times, ``many`` apart.
 RUN = np.dtype([("lo", "i4"), ("many", "i4"), ("n", "i4")])
@@ -72,17 +73,20 @@ def anchors(score: np.ndarray, off: np.ndarray, width: int, zone: tuple[int, int
 
 
 def places(key, at, lo, many, doc, sums, off, ids, tags, width) -> np.ndarray:
-    """Round-1 records; neighbours in a document with equal contexts become one."""
-    ctx = ts.span_hash(sums, lo, lo + many + width - 1)
+    """Round-1 records; a run of neighbours with equal contexts is named once, with its length.
+
+    ``sums`` are the prefix sums of the codes under both bases.
+    """
+    ctx, ctx2 = (ts.span_hash(sums[w], lo, lo + many + width - 1, w) for w in (0, 1))
     same = np.zeros(len(at), bool)
     same[1:] = (
-        (doc[1:] == doc[:-1]) & (key[1:] == key[:-1]) & (ctx[1:] == ctx[:-1]) & (many[1:] == many[:-1])
+        (doc[1:] == doc[:-1]) & (key[1:] == key[:-1]) & (ctx[1:] == ctx[:-1]) & (ctx2[1:] == ctx2[:-1]) & (many[1:] == many[:-1])
         & (at[1:] - lo[1:] == at[:-1] - lo[:-1])
     )
     cut = np.flatnonzero(~same)
     out = np.empty(len(cut), PLACE)
     d = doc[cut]
-    out["key"], out["ctx"], out["doc"], out["tag"] = key[cut], ctx[cut], ids[d], tags[d]
+    out["key"], out["ctx"], out["ctx2"], out["doc"], out["tag"] = key[cut], ctx[cut], ctx2[cut], ids[d], tags[d]
     out["pos"], out["left"], out["many"] = at[cut] - off[d], (at - lo)[cut], many[cut]
     out["n"] = np.diff(np.append(cut, len(at)))
     return out
@@ -96,11 +100,11 @@ def settle(rec: np.ndarray, earlier: bool) -> Iterator[pa.RecordBatch]:
     rec = rec[~alone]
     if not len(rec):
         return
-    rec = rec[np.lexsort([rec[c] for c in ("n", "pos", "tag", "doc", "many", "left", "ctx", "key")])]
+    rec = rec[np.lexsort([rec[c] for c in ("n", "pos", "tag", "doc", "many", "left", "ctx2", "ctx", "key")])]
     twin = np.zeros(len(rec), bool)  # of a row that is stored again
     twin[1:] = rec[1:] == rec[:-1]
     rec = rec[~twin]
-    at = ts.group_bounds(rec["key"], rec["ctx"], rec["left"], rec["many"])
+    at = ts.group_bounds(rec["key"], rec["ctx"], rec["ctx2"], rec["left"], rec["many"])
     size = np.diff(at)
     first = rec[at[:-1]]
     total = np.add.reduceat(rec["n"].astype(np.int64), at[:-1])

@@ -6,8 +6,8 @@ fingerprints of what they stand for, which makes them global without a shuffle.
 lose one symbol at either end of a window; two rounds on a window of 20 words leave its middle
 (words 3 to 16) with the same interior symbols everywhere. The least of these, with the words
 around it that every such window holds, is what occurrences share. Runs of one symbol are named
-last (key, count), since a run named early could reach out of a window. Shared symbols are then
-verified by the words of every window.
+last (key, count), since a run named early could reach out of a window. Windows around shared
+symbols are then verified by two independent 61-bit hashes of their words.
 
 A word goes if a window that covers it also starts earlier: smaller doc_id (null first; rows of one
 id by a hash of their text), or the same document and an earlier word. Cases: null text has no
@@ -59,14 +59,15 @@ def compress(codes: np.ndarray, off: np.ndarray, rounds: int = ROUNDS) -> tuple[
 
 
 def word_codes(buf: np.ndarray, off: np.ndarray):
-    """Word spans, 64-bit codes, and word offsets of the documents."""
+    """64-bit codes of the words under either base, and word offsets of the documents."""
     s, e, doc = ts.word_spans(buf, off)
-    codes = ts.span_hash(ts.prefix_sums(ts.byte_codes(buf)), s, e)
-    return s, e, codes, np.searchsorted(doc, np.arange(len(off)))
+    letters = ts.byte_codes(buf)
+    codes = [ts.span_hash(ts.prefix_sums(letters, w), s, e, w) for w in (0, 1)]
+    return codes, np.searchsorted(doc, np.arange(len(off)))
 
 
 def scan(buf, off, ids, tags) -> np.ndarray:
-    _, _, codes, woff = word_codes(buf, off)
+    (codes, others), woff = word_codes(buf, off)
     if len(codes) < WINDOW:
         return np.zeros(0, rp.PLACE)
     start, name = compress(codes, woff)
@@ -75,19 +76,19 @@ def scan(buf, off, ids, tags) -> np.ndarray:
     edge, widest = reach(ROUNDS), 1 << ROUNDS
     zone = (edge, WINDOW - edge - widest + 1)
     at, lo, many, doc = rp.anchors(score, woff, WINDOW, zone)
-    sums = ts.prefix_sums(codes)
-    key = ts.span_hash(sums, at - zone[0], at + WINDOW - zone[1] + 1)
+    sums = ts.prefix_sums(codes), ts.prefix_sums(others, 1)
+    key = ts.span_hash(sums[0], at - zone[0], at + WINDOW - zone[1] + 1)
     return rp.places(key, at, lo, many, doc, sums, woff, ids, tags, WINDOW)
 
 
-CLAIM = np.dtype([("hash", "u8"), ("key", "u8"), ("doc", "i8"), ("tag", "i4"), ("start", "i4")])
+CLAIM = np.dtype([("hash", "u8"), ("hash2", "u8"), ("doc", "i8"), ("tag", "i4"), ("start", "i4")])
 
 
 def _later(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
     """Round-2 bucket: of equal windows all but the first go."""
-    rec = rec[np.lexsort([rec[c] for c in ("start", "tag", "doc", "key", "hash")])]
+    rec = rec[np.lexsort([rec[c] for c in ("start", "tag", "doc", "hash2", "hash")])]
     same = np.zeros(len(rec), bool)
-    same[1:] = (rec["hash"][1:] == rec["hash"][:-1]) & (rec["key"][1:] == rec["key"][:-1])
+    same[1:] = (rec["hash"][1:] == rec["hash"][:-1]) & (rec["hash2"][1:] == rec["hash2"][:-1])
     same[1:] &= (rec["doc"][1:] != rec["doc"][:-1]) | (rec["tag"][1:] != rec["tag"][:-1]) | (rec["start"][1:] != rec["start"][:-1]) | same[:-1]
     gone = rec[same]
     gone = gone[np.lexsort([gone[c] for c in ("start", "tag", "doc")])]
@@ -105,15 +106,15 @@ def _answer(asked: DataFrame, buckets: int) -> DataFrame:
             ids, tags, cells = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(3)
             made = []
             for i, j in ts.pieces(buf, off):
-                _, _, codes, woff = word_codes(buf[off[i] : off[j]], off[i : j + 1] - off[i])
-                sums = ts.prefix_sums(codes)
+                codes, woff = word_codes(buf[off[i] : off[j]], off[i : j + 1] - off[i])
                 qs = [rp.joined_blocks(cells[k].as_py(), rp.QUESTION) for k in range(i, j)]
                 of = np.repeat(np.arange(i, j), [len(q) for q in qs])
                 q = np.concatenate(qs)
                 many = q["many"].astype(np.int64)
                 begin = ts.ranges(woff[of - i] + q["pos"] - q["left"], many)
                 rec = np.empty(len(begin), CLAIM)
-                rec["hash"], rec["key"] = ts.span_hash(sums, begin, begin + WINDOW), np.repeat(q["key"], many)
+                for w, name in enumerate(("hash", "hash2")):
+                    rec[name] = ts.span_hash(ts.prefix_sums(codes[w], w), begin, begin + WINDOW, w)
                 who = np.repeat(of, many)
                 rec["doc"], rec["tag"], rec["start"] = ids[who], tags[who], begin - woff[who - i]
                 made.append(rec)

@@ -34,10 +34,11 @@ GRAM = 100
 def scan(buf, off, ids, tags) -> np.ndarray:
     if len(buf) < WIDTH:
         return np.zeros(0, rp.PLACE)
-    sums = ts.prefix_sums(ts.byte_codes(buf))
+    codes = ts.byte_codes(buf)
+    sums = ts.prefix_sums(codes), ts.prefix_sums(codes, 1)
     p = np.arange(len(buf) - GRAM + 1)
     gram = np.full(len(buf), np.iinfo(np.uint64).max, np.uint64)
-    gram[: len(p)] = ts.span_hash(sums, p, p + GRAM)
+    gram[: len(p)] = ts.span_hash(sums[0], p, p + GRAM)
     at, lo, many, doc = rp.anchors(gram, off, WIDTH, (0, WIDTH - GRAM + 1))
     return rp.places(gram[at], at, lo, many, doc, sums, off, ids, tags, WIDTH)
 
@@ -104,11 +105,11 @@ def _shared(rows: np.ndarray, reach: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return best, lcp
 
 
-def segments(contexts: list[np.ndarray], left: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int, np.ndarray]]]:
+def segments(contexts: list[np.ndarray], left: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int, list[bytes]]]]:
     """Cut aligned contexts where any two part.
 
     Gives the cut columns (from the anchor) and for every context the range of segments that it may
-    share and their content codes.
+    share and their bytes.
     """
     right = np.array([len(c) for c in contexts]) - left
     a, b = int(left.max()), int(right.max())
@@ -127,39 +128,34 @@ def segments(contexts: list[np.ndarray], left: np.ndarray) -> tuple[np.ndarray,
     coded = []
     lo, hi = np.searchsorted(cuts, -near), np.searchsorted(cuts, far)
     for i, c in enumerate(contexts):
-        sums = ts.prefix_sums(ts.byte_codes(c[left[i] - near[i] : left[i] + far[i]]))
-        x = cuts[lo[i] : hi[i] + 1] + near[i]
-        coded.append((int(lo[i]), int(hi[i]), ts.span_hash(sums, x[:-1], x[1:]) if len(x) > 1 else np.zeros(0, np.uint64)))
+        x, data = (cuts[lo[i] : hi[i] + 1] + left[i]).tolist(), c.tobytes()
+        coded.append((int(lo[i]), int(hi[i]), [data[a:b] for a, b in zip(x, x[1:])]))
     return cuts, coded
 
 
 def match_runs(groups: list[tuple[list[np.ndarray], np.ndarray]]) -> list[tuple[int, int, int, int]]:
     """(group, context, column, length): longest matches of at least WIDTH from each cut column.
 
-    One suffix array over the segment symbols of all groups; a symbol holds group, column and content,
-    so contexts match at the same column of the same group only.
+    One suffix array over the segment symbols of all groups. A symbol names group, column and bytes:
+    contexts of two keys, or of two columns, may be the same place of a document, which is no repeat.
     """
-    names, owner, column, spans = [], [], [], []
+    names: dict[tuple[int, int, bytes], int] = {}
+    coded_as, owner, column, spans = [], [], [], []
     for gi, (contexts, left) in enumerate(groups):
         cuts, coded = segments(contexts, left)
-        for ci, (lo, hi, codes) in enumerate(coded):
+        for ci, (lo, hi, bodies) in enumerate(coded):
             if hi <= lo:
                 continue
-            k = np.arange(lo, hi)
-            with np.errstate(over="ignore"):
-                tagged = ts.mix64(codes + ts.mix64(k.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(gi)))
-            names.append(tagged)
+            coded_as += [names.setdefault((gi, k, body), len(names)) for k, body in enumerate(bodies, lo)]
             owner.append((gi, ci))
             column.append(cuts[lo : hi + 1])
             spans.append(hi - lo)
     if not names:
         return []
-    _, rank = np.unique(np.concatenate(names), return_inverse=True)
-    rank = rank + len(names) + 1
     text, home = [], []
     at = 0
     for i, n in enumerate(spans):  # a separator of its own after every context
-        text += rank[at : at + n].tolist()
+        text += [x + len(spans) + 1 for x in coded_as[at : at + n]]
         text.append(i + 1)
         home += [(i, k) for k in range(n)]
         home.append((i, -1))

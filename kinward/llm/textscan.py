@@ -1,7 +1,9 @@
 """Vectorised scans over Arrow text columns: bytes, words, 64-bit content hashes.
 
 Every scan works on a flat byte buffer with document offsets, so a batch of documents costs a
-fixed number of numpy passes. ``pieces`` bounds how many bytes are held at a time (one document
+fixed number of numpy passes. Hashes are polynomials modulo the prime 2^61 - 1 (a power of two as
+the modulus lets parity words of 1024 letters collide at any base); where a hash decides a result,
+a second base gives another one, independent of the first. ``pieces`` bounds how many bytes are held at a time (one document
 is never cut; a longer one makes a piece of its own).
 """
 
@@ -28,39 +30,96 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-_BYTE_CODE = mix64(np.arange(1, 257, dtype=U64) * U64(0x9E3779B97F4A7C15)) | U64(1)
-_BASE = 0xD1342543DE82EF95
-_BASE_INV = pow(_BASE, -1, 1 << 64)
-_powers: dict[str, np.ndarray] = {}
+PRIME = (1 << 61) - 1
+_P, _LOW31, _LOW30 = U64(PRIME), U64((1 << 31) - 1), U64((1 << 30) - 1)
 
+#: Bases of the two content hashes, random numbers below PRIME.
+BASES = (0x0E5F8A3C91D2B647, 0x17C4D06B3EA98F51)
 
-def _power(n: int, inverse: bool = False) -> np.ndarray:
-    """base**0 .. base**(n-1) modulo 2**64, or of the inverse; grown and kept."""
-    key = "inv" if inverse else "pow"
-    have = _powers.get(key)
+
+def _fold(x: np.ndarray) -> np.ndarray:
+    """Any uint64 to its residue; in place."""
+    high = x >> U64(61)
+    x &= _P
+    x += high
+    np.subtract(x, _P, out=x, where=x >= _P)
+    return x
+
+
+STEP = 1 << 14  # entries at a time, so that what a product needs stays in cache
+
+
+def mul_mod(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """x * y modulo PRIME, for residues."""
+    if len(x) <= STEP:
+        return _product(x, y)
+    out = np.empty(len(x), U64)
+    for lo in range(0, len(x), STEP):
+        out[lo : lo + STEP] = _product(x[lo : lo + STEP], y if y.ndim == 0 else y[lo : lo + STEP])
+    return out
+
+
+def _product(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Limbs of 31 bits keep every term within 64."""
+    x0, x1, y0, y1 = x & _LOW31, x >> U64(31), y & _LOW31, y >> U64(31)
+    mid = x1 * y0
+    mid += x0 * y1
+    x1 *= y1
+    x1 <<= U64(1)
+    x0 *= y0
+    x1 += x0
+    x1 += mid >> U64(30)
+    mid &= _LOW30
+    mid <<= U64(31)
+    x1 += mid
+    return _fold(x1)
+
+
+_BYTE_CODE = _fold(mix64(np.arange(1, 257, dtype=U64) * U64(0x9E3779B97F4A7C15)))
+_powers: dict[tuple[int, bool], np.ndarray] = {}
+
+
+def _power(n: int, which: int, inverse: bool = False) -> np.ndarray:
+    """base**0 .. base**(n-1) modulo PRIME, or of the inverse; grown by doubling and kept."""
+    have = _powers.get((which, inverse))
     if have is None or len(have) < n:
-        steps = np.full(max(n, PIECE_BYTES + 1), _BASE_INV if inverse else _BASE, dtype=U64)
-        steps[0] = 1
-        with np.errstate(over="ignore"):
-            have = np.cumprod(steps, dtype=U64)
+        base = pow(BASES[which], -1, PRIME) if inverse else BASES[which]
+        have = np.ones(1, U64) if have is None else have
+        most = max(n, PIECE_BYTES + 1)
+        while len(have) < most:
+            step = np.array(pow(base, len(have), PRIME), U64)
+            have = np.concatenate([have, mul_mod(have[: most - len(have)], step)])
         if n <= 8 * PIECE_BYTES:
-            _powers[key] = have
+            _powers[which, inverse] = have
     return have[:n]
 
 
-def prefix_sums(codes: np.ndarray) -> np.ndarray:
-    """Prefix sums whose differences give position-free hashes of any span; codes are uint64."""
+def prefix_sums(codes: np.ndarray, which: int = 0) -> np.ndarray:
+    """Prefix sums modulo PRIME whose differences give position-free hashes of any span."""
     out = np.zeros(len(codes) + 1, dtype=U64)
-    with np.errstate(over="ignore"):
-        np.cumsum(codes * _power(len(codes)), out=out[1:], dtype=U64)
+    power, two31 = _power(len(codes), which), np.array(1 << 31, U64)
+    for lo in range(0, len(codes), STEP):  # sums of limbs cannot overflow within a step
+        hi = min(lo + STEP, len(codes))
+        terms = _product(_fold(codes[lo:hi].astype(U64, copy=True)), power[lo:hi])
+        total = _product(np.cumsum(terms >> U64(31)), two31)
+        total += np.cumsum(terms & _LOW31)
+        total += out[lo]
+        out[lo + 1 : hi + 1] = _fold(total)
     return out
 
 
-def span_hash(sums: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+def span_hash(sums: np.ndarray, start: np.ndarray, end: np.ndarray, which: int = 0) -> np.ndarray:
     """64-bit hash of the codes in [start, end) for every pair, length included."""
-    with np.errstate(over="ignore"):
-        raw = (sums[end] - sums[start]) * _power(len(sums), True)[start]
-        return mix64(raw + (end - start).astype(U64) * U64(0x9E3779B97F4A7C15))
+    power = _power(len(sums), which, True)
+    out = np.empty(len(start), U64)
+    for lo in range(0, len(start), STEP):
+        a, b = start[lo : lo + STEP], end[lo : lo + STEP]
+        raw = sums[b]
+        raw += _P - sums[a]
+        raw = _product(_fold(raw), power[a])
+        raw += (b - a).astype(U64) * U64(0x9E3779B97F4A7C15)
+        out[lo : lo + STEP] = mix64(raw)
+    return out
 
 
 def byte_codes(buf: np.ndarray) -> np.ndarray:

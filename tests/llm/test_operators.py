@@ -409,3 +409,19 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     buf, off = ts.as_bytes(pa.array(clean))
     assert [got[i] for i in range(12)] == [int(x) for x in __import__("numpy").diff(vocab.encode(buf, off)[1])]
     assert frame.filter(F.col("doc_id") == 20).count() == 1
+
+
+def test_parity_words_do_not_collide(spark):
+    """Two unlike words of 2048 letters whose polynomial hashes agree modulo any power of two."""
+    odd = [bin(i).count("1") & 1 for i in range(2048)]
+    one, two = "".join("ab"[k] for k in odd), "".join("ba"[k] for k in odd)
+    lead = " ".join(f"w{i}" for i in range(10))
+    data = [(1, f"{lead} {one} {lead}"), (2, f"{lead} {two} {lead}"), (3, one), (4, two)]
+    frame = spark.createDataFrame(data, "doc_id long, text string")
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.report(frame).collect()}
+    assert got == substring_dedup.brute_force(data) and got[2][1] == 0
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.report(frame).collect()}
+    assert got == suffix_dedup.brute_force(data)
+    assert {r.doc_id: r.class_id for r in near_dedup.report(frame).collect()} == {1: 1, 2: 2, 3: 3, 4: 4}
+    bench = spark.createDataFrame([(1, one)], "item_id long, text string")
+    assert {r.doc_id for r in decontaminate.judge(frame, bench).filter("contaminated").collect()} == {1, 3}
