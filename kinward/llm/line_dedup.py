@@ -1,9 +1,15 @@
 """Line dedup by winnowing over line hashes, in Spark's own functions only.
 
-Lines with ink form a sequence of hashes. In every window of ``min_run`` lines the least hash is a
-fingerprint, so two runs of at least that length share one. Fingerprints found at one place only
-drop out; windows around shared ones are joined by content, which extends a match as far as it
-goes both ways, and lines in a window that also starts earlier are deleted.
+Lines with ink form a sequence of hashes. Every window of ``min_run`` lines selects its least hash
+(the leftmost among equals) as fingerprint, and a position selected by several windows is one row,
+so two runs of at least that length share a fingerprint by guarantee. Fingerprints at one position
+only drop out; the positions of the others are joined, and at each the match is extended line by
+line both ways through the windows that chose it: equal windows choose at equal offsets, so a
+window is a match if it is met at an earlier position of its fingerprint. Matched lines are deleted.
+
+A common fingerprint is no hot task: its positions fold to the first and the last one before they
+are shuffled, the positions to look up are dealt by a plain join that adaptive execution may split,
+and windows meet under their content (two 64-bit hashes), not under the fingerprint.
 
 Earlier: smaller doc_id (null first; rows of one id by a hash of their text), or the same document
 and an earlier line. With ``min_run`` 1 every later copy of a line goes (``report_every``, the
@@ -18,6 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kinward.llm.exchange import cut
 from kinward.llm.native import has_ink, let, lines_of
 
 MIN_RUN = 3
@@ -25,27 +32,44 @@ LOWEST = -(2**63)
 
 
 def _inked(text: Column) -> Column:
-    """(pos, h) of every line with ink."""
-    marked = F.transform(
-        lines_of(text), lambda line, i: F.struct(i.alias("pos"), F.xxhash64(line).alias("h"), has_ink(line).alias("ink"))
-    )
-    return F.filter(marked, lambda x: x["ink"])
+    """The two hashes (h, h2) of every line with ink."""
+    inked = F.filter(lines_of(text), has_ink)
+    return F.transform(inked, lambda line: F.struct(F.xxhash64(line).alias("h"), F.xxhash64(F.lit("second"), line).alias("h2")))
+
+
+def _windows(lines: Column, width: int) -> Column:
+    """(i, pos, fp, key, key2): every window of lines, what it selects, and its content."""
+
+    def one(i: Column) -> Column:
+        held = [F.get(lines, i + k) for k in range(width)]
+        ranked = [F.struct(x["h"].alias("h"), F.lit(k).alias("k")) for k, x in enumerate(held)]
+        least = F.least(*ranked) if width > 1 else ranked[0]
+        return F.struct(
+            i.alias("i"), (i + least["k"]).alias("pos"), least["h"].alias("fp"),
+            F.xxhash64(*[x["h"] for x in held]).alias("key"), F.xxhash64(*[x["h2"] for x in held]).alias("key2"),
+        )
+
+    none = F.array().cast("array<struct<i:int,pos:int,fp:bigint,key:bigint,key2:bigint>>")
+    return F.when(F.size(lines) >= width, F.transform(F.sequence(F.lit(0), F.size(lines) - width), one)).otherwise(none)
 
 
-def _windows(text: Column, width: int) -> Column:
-    """(i, fp, key): start, least hash and content hash of every window of lines."""
+def _selected(text: Column, width: int) -> Column:
+    """(fp, pos, windows): every position that some window selects, with the windows that do."""
 
-    def of(lines: Column) -> Column:
-        def one(i: Column) -> Column:
-            h = [F.get(lines, i + k)["h"] for k in range(width)]
-            least = F.least(*h) if width > 1 else h[0]
-            return F.struct(i.alias("i"), least.alias("fp"), F.xxhash64(*h).alias("key"))
+    def of(wins: Column) -> Column:
+        def place(w: Column, j: Column) -> Column:
+            near = F.array(*[F.get(wins, j + k) for k in range(width)])  # selections never step back
+            mine = F.filter(near, lambda x: x["pos"] == w["pos"])
+            return F.struct(
+                w["fp"].alias("fp"), w["pos"].alias("pos"), w["i"].alias("i"),
+                F.transform(mine, lambda x: F.struct(x["i"].alias("i"), x["key"].alias("key"), x["key2"].alias("key2"))).alias("windows"),
+            )
 
-        return F.when(F.size(lines) >= width, F.transform(F.sequence(F.lit(0), F.size(lines) - width), one)).otherwise(
-            F.array().cast("array<struct<i:int,fp:bigint,key:bigint>>")
-        )
+        begins = lambda p, j: (j == 0) | (F.get(wins, F.greatest(j - 1, F.lit(0)))["pos"] != p["pos"])
+        heads = F.transform(wins, lambda w, j: F.struct(begins(w, j).alias("head"), place(w, j).alias("p")))
+        return F.transform(F.filter(heads, lambda x: x["head"]), lambda x: x["p"])
 
-    return let(_inked(text), of)
+    return let(let(_inked(text), lambda lines: _windows(lines, width)), of)
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -55,24 +79,25 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     )
 
 
+def positions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_run: int = MIN_RUN) -> DataFrame:
+    """(kw_doc, kw_tag, fp, pos, windows): one row per selected position."""
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    rows = _keyed(docs, id_col, text_col).select("kw_doc", "kw_tag", F.explode(_selected(text, min_run)).alias("p"))
+    return rows.select("kw_doc", "kw_tag", "p.fp", "p.pos", "p.windows")
+
+
 def later_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_run: int = MIN_RUN) -> DataFrame:
     """(kw_doc, kw_tag, kw_starts): windows of lines whose content also starts earlier."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    windows = (
-        _keyed(docs, id_col, text_col)
-        .select("kw_doc", "kw_tag", F.explode(_windows(text, min_run)).alias("w"))
-        .select("kw_doc", "kw_tag", "w.i", "w.fp", "w.key")
-    )
-    # counts of a fingerprint's places fold before the shuffle, however common it is
-    shared = windows.groupBy("fp").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("fp")
-    candidates = windows.join(shared, "fp", "left_semi")
-    first = (
-        candidates.groupBy("fp", "key")
-        .agg(F.min(F.struct("kw_doc", "kw_tag", "i")).alias("first"), F.count(F.lit(1)).alias("n"))
-        .filter("n > 1")
-        .drop("n")
-    )
-    later = candidates.join(first, ["fp", "key"]).filter(F.struct("kw_doc", "kw_tag", "i") > F.col("first"))
+    found = positions(docs, id_col, text_col, min_run)
+    at = F.struct("kw_doc", "kw_tag", "pos")
+    # a fingerprint's positions fold before the shuffle, however common it is
+    shared = cut(found.groupBy("fp").agg(F.min(at).alias("a"), F.max(at).alias("b")).filter("a <> b").select("fp"))
+    met = found.join(shared.hint("merge"), "fp", "left_semi").select("kw_doc", "kw_tag", F.explode("windows").alias("w"))
+    met = cut(met.select("kw_doc", "kw_tag", "w.i", "w.key", "w.key2"))
+    place = F.struct("kw_doc", "kw_tag", "i")
+    span = met.groupBy("key", "key2").agg(F.min(place).alias("first"), F.max(place).alias("last"))
+    first = cut(span.filter("first <> last").drop("last"))
+    later = met.join(first, ["key", "key2"]).filter(place > F.col("first"))
     return later.groupBy("kw_doc", "kw_tag").agg(F.collect_set("i").alias("kw_starts"))
 
 

@@ -425,3 +425,16 @@ def test_parity_words_do_not_collide(spark):
     assert {r.doc_id: r.class_id for r in near_dedup.report(frame).collect()} == {1: 1, 2: 2, 3: 3, 4: 4}
     bench = spark.createDataFrame([(1, one)], "item_id long, text string")
     assert {r.doc_id for r in decontaminate.judge(frame, bench).filter("contaminated").collect()} == {1, 3}
+
+
+def test_winnowing_selects_minima_only(spark):
+    rng = random.Random(17)
+    text = "\n".join(f"line {rng.randrange(10**9)}" for _ in range(600))
+    docs = spark.createDataFrame([(1, text), (2, "x\n" + text), (3, "a\nb")], "doc_id long, text string")
+    got = line_dedup.positions(docs).collect()
+    n = sum(r.kw_doc == 1 for r in got)
+    assert 250 < n < 350  # 2 / (3 + 1) of the windows
+    assert sum(len(r.windows) for r in got if r.kw_doc == 1) == 598
+    assert all(r.windows[0].i <= r.pos < r.windows[0].i + 3 for r in got)
+    assert not any(r.kw_doc == 3 for r in got)
+    assert line_dedup.dedup_lines(docs).filter("doc_id = 2").first().kw_removed == 600
