@@ -1,8 +1,10 @@
 """Quality rules as a short-circuit cascade, in Spark's own functions only.
 
-A bounded sample tells each rule's running time and the share that it rejects; rules run in order
-of rejection per cost, and a document leaves at the first rule that rejects it. The order moves
-the cost only: a document is kept if it passes every rule, whatever the order.
+A bounded hash sample tells what each rule costs (nanoseconds a row, the measures that it reads
+included) and the share that it rejects; rules run in order of rejection per cost, and a document
+leaves at the first rule that rejects it. ``keep_passing`` computes a measure when a rule first
+asks for it and nothing after the first rejection. The order moves the cost only: a document is
+kept if it passes every rule, whatever the order.
 
 Cases: null text counts as empty (no words, so it fails the base rule); repeated rows get the same
 verdict each; ties between rules keep their listed order; other columns are ignored, or passed
@@ -18,7 +20,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from kinward.llm.native import GAP, has_ink, let, lines_of, words_of
+from kinward.llm.native import GAP, SPACES, has_ink, let, lines_of, words_of
 
 WINDOW = 8
 MIN_WORDS, REPEAT_PERCENT = 20, 30
@@ -27,10 +29,11 @@ SYMBOLS = r"[#*$%&|<>]"
 
 @dataclass(frozen=True)
 class Rule:
-    """``rejects`` takes the text and the base measures (a struct) and tells whether the document goes."""
+    """``rejects`` takes the text and a mapping of measures by name (those in ``reads``), and tells whether the document goes."""
 
     name: str
-    rejects: Callable[[Column, Column], Column]
+    reads: tuple[str, ...]
+    rejects: Callable[[Column, Column | dict[str, Column]], Column]
 
 
 def _share_above(part: Column, whole: Column, percent: int) -> Column:
@@ -38,13 +41,16 @@ def _share_above(part: Column, whole: Column, percent: int) -> Column:
 
 
 RULES = (
-    Rule("symbols", lambda t, q: _share_above(q["n_symbols"], q["n_words"], 10)),
-    Rule("repeated_lines", lambda t, q: _share_above(q["n_dup_lines"], q["n_lines"], 30)),
-    Rule("word_length", lambda t, q: (q["word_chars"] < q["n_words"] * 2) | (q["word_chars"] > q["n_words"] * 15)),
-    Rule("shouting", lambda t, q: _share_above(F.regexp_count(t, F.lit(r"\p{Lu}")).cast("long"), q["word_chars"], 40)),
-    Rule("bullets", lambda t, q: _share_above(F.regexp_count(t, F.lit(r"(?m)^[\x20\x09]*[-•]")).cast("long"), q["n_lines"], 90) & (q["n_lines"] > 5)),
-    Rule("filler", lambda t, q: F.lower(t).contains("lorem ipsum")),
+    Rule("few_words", ("n_words",), lambda t, q: q["n_words"] < MIN_WORDS),
+    Rule("repeated_words", ("n_words", "n_repeat_words"), lambda t, q: _share_above(q["n_repeat_words"], q["n_words"], REPEAT_PERCENT)),
+    Rule("symbols", ("n_symbols", "n_words"), lambda t, q: _share_above(q["n_symbols"], q["n_words"], 10)),
+    Rule("repeated_lines", ("n_lines", "n_dup_lines"), lambda t, q: _share_above(q["n_dup_lines"], q["n_lines"], 30)),
+    Rule("word_length", ("n_words", "word_chars"), lambda t, q: (q["word_chars"] < q["n_words"] * 2) | (q["word_chars"] > q["n_words"] * 15)),
+    Rule("shouting", ("n_upper", "word_chars"), lambda t, q: _share_above(q["n_upper"], q["word_chars"], 40)),
+    Rule("bullets", ("n_bullets", "n_lines"), lambda t, q: _share_above(q["n_bullets"], q["n_lines"], 90) & (q["n_lines"] > 5)),
+    Rule("filler", (), lambda t, q: F.lower(t).contains("lorem ipsum")),
 )
+BASE = ("few_words", "repeated_words")
 
 
 def repeat_words(hashes: Column, n: Column) -> Column:
@@ -79,24 +85,45 @@ def repeat_words(hashes: Column, n: Column) -> Column:
     return F.when(n < WINDOW, F.lit(0).cast("long")).otherwise(let(windows, marked))
 
 
+def _n_words(t: Column) -> Column:
+    """Words, without listing them: the runs of space inside the trimmed text, and one."""
+    return let(F.btrim(t, F.lit(SPACES)), lambda x: F.when(x == "", F.lit(0)).otherwise(F.regexp_count(x, F.lit(GAP)) + 1)).cast("long")
+
+
+def _inked_lines(t: Column) -> Column:
+    return F.filter(lines_of(t), has_ink)
+
+
+#: Every measure as a function of the text alone.
+MEASURES: dict[str, Callable[[Column], Column]] = {
+    "n_words": _n_words,
+    "word_chars": lambda t: F.length(F.regexp_replace(t, GAP, "")).cast("long"),
+    "n_symbols": lambda t: F.regexp_count(t, F.lit(SYMBOLS)).cast("long"),
+    "n_dup_lines": lambda t: let(_inked_lines(t), lambda x: (F.size(x) - F.size(F.array_distinct(x))).cast("long")),
+    "n_lines": lambda t: F.size(_inked_lines(t)).cast("long"),
+    "n_repeat_words": lambda t: let(F.transform(words_of(t), lambda x: F.xxhash64(x)), lambda h: repeat_words(h, F.size(h))),
+    "n_upper": lambda t: F.regexp_count(t, F.lit(r"\p{Lu}")).cast("long"),
+    "n_bullets": lambda t: F.regexp_count(t, F.lit(r"(?m)^[\x20\x09]*[-•]")).cast("long"),
+}
+CONTRACT = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
+
+
 def measures(text: Column) -> Column:
-    """The base measures of a text as one struct."""
+    """All measures of a text as one struct; words and lines are listed once."""
     text = F.coalesce(text.cast("string"), F.lit(""))
 
     def of_words(w: Column) -> Column:
-        return let(
-            F.transform(w, lambda x: F.xxhash64(x)),
-            lambda h: F.struct(
+        def of_lines(x: Column) -> Column:
+            return F.struct(
                 F.size(w).cast("long").alias("n_words"),
                 F.length(F.array_join(w, "")).cast("long").alias("word_chars"),
-                repeat_words(h, F.size(h)).alias("n_repeat_words"),
-                F.regexp_count(text, F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
-                let(
-                    F.filter(lines_of(text), has_ink),
-                    lambda x: F.struct(F.size(x).alias("n"), (F.size(x) - F.size(F.array_distinct(x))).alias("dup")),
-                ).alias("lines"),
-            ),
-        )
+                MEASURES["n_symbols"](text).alias("n_symbols"),
+                (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
+                let(F.transform(w, lambda v: F.xxhash64(v)), lambda h: repeat_words(h, F.size(h))).alias("n_repeat_words"),
+                F.size(x).cast("long").alias("n_lines"),
+            )
+
+        return let(_inked_lines(text), of_lines)
 
     return let(words_of(text), of_words)
 
@@ -105,69 +132,87 @@ def base_failed(q: Column) -> Column:
     return (q["n_words"] < MIN_WORDS) | (q["n_repeat_words"] * 100 > q["n_words"] * REPEAT_PERCENT)
 
 
-def _measured(docs: DataFrame, text_col: str, name: str) -> DataFrame:
-    raw = f"{name}_raw"
-    return (
-        docs.withColumn(raw, measures(F.col(text_col)))
-        .withColumn(
-            name,
-            F.struct(
-                F.col(f"{raw}.n_words"), F.col(f"{raw}.word_chars"), F.col(f"{raw}.n_symbols"), F.col(f"{raw}.n_repeat_words"),
-                F.col(f"{raw}.lines.n").cast("long").alias("n_lines"), F.col(f"{raw}.lines.dup").cast("long").alias("n_dup_lines"),
-            ),
-        )
-        .drop(raw)
-    )
+def _text(text_col: str) -> Column:
+    return F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+
+
+def _nanoseconds(sample: DataFrame, value: Column, n: int, bare: float) -> float:
+    """What a row of the sample costs beyond ``bare``: the lesser of two passes over it."""
+    took = []
+    for _ in range(2):
+        began = time.perf_counter_ns()
+        sample.agg(F.bit_xor(F.xxhash64(value))).first()
+        took.append(time.perf_counter_ns() - began)
+    return max(min(took) / n - bare, 1.0)
+
 
+def order_rules(docs: DataFrame, text_col: str = "text", rules=RULES, sample_rows: int = 1000) -> list[Rule]:
+    """Rules by share rejected per nanosecond, from about ``sample_rows`` documents drawn by a hash of their text.
 
-def order_rules(docs: DataFrame, text_col: str = "text", rules=RULES, sample_rows: int = 200) -> list[Rule]:
-    """Rules by share rejected per second, from ``sample_rows`` documents at most."""
-    rows = docs.select(F.col(text_col).cast("string").alias("text")).take(sample_rows)
-    if not rows:
+    Costs of measures are counted for the first rule of the order that reads them: the best rule is
+    placed, its measures become free, and the rest is ranked anew.
+    """
+    total = docs.count()
+    if not total:
         return list(rules)
-    sample = _measured(docs.sparkSession.createDataFrame([(r[0] or "",) for r in rows], "text string"), "text", "q").cache()
+    drawn = docs.select(_text(text_col).alias("text"))
+    if total > sample_rows:
+        drawn = drawn.filter(F.pmod(F.xxhash64("text"), F.lit(1 << 30)) < F.lit(max(1, (sample_rows << 30) // total)))
+    sample = drawn.limit(4 * sample_rows).cache()  # copies of one text fall in or out together
     try:
-        sample.count()
-        worth = []
-        for rule in rules:
-            began = time.perf_counter()
-            hits = sample.agg(F.count_if(F.coalesce(rule.rejects(F.col("text"), F.col("q")), F.lit(False)))).first()[0]
-            worth.append(hits / len(rows) / max(time.perf_counter() - began, 1e-6))
+        n = sample.count()
+        if not n:
+            return list(rules)
+        t = F.col("text")
+        every = {name: f(t) for name, f in MEASURES.items()}
+        hits = sample.select(*[F.count_if(F.coalesce(r.rejects(t, every), F.lit(False))).alias(r.name) for r in rules]).first()
+        bare = _nanoseconds(sample, F.length(t), n, 0.0)
+        cost = {name: _nanoseconds(sample, every[name], n, bare) for name in sorted({m for r in rules for m in r.reads})}
+        own = {r.name: 1.0 if r.reads else _nanoseconds(sample, r.rejects(t, every), n, bare) for r in rules}
     finally:
         sample.unpersist()
-    return [rules[i] for i in sorted(range(len(rules)), key=lambda i: (-worth[i], i))]
+    left, known, ordered = list(rules), set(), []
+    while left:
+        price = {r.name: own[r.name] + sum(cost[m] for m in r.reads if m not in known) for r in left}
+        best = max(left, key=lambda r: hits[r.name] / n / price[r.name])  # the first of equals
+        ordered.append(best)
+        known |= set(best.reads)
+        left.remove(best)
+    return ordered
+
+
+def cascade(text: Column, q, rules) -> Column:
+    """Name of the first rule that rejects, or null; later rules, and measures only they read, are not evaluated."""
+    chain = None
+    for rule in rules:
+        chain = (F if chain is None else chain).when(rule.rejects(text, q), F.lit(rule.name))
+    return F.lit(None).cast("string") if chain is None else chain
 
 
-def cascade(text: Column, q: Column, rules) -> Column:
-    """Name of the first rule that rejects, or null; later rules are not evaluated."""
-    chain = F.when(base_failed(q), F.lit("base"))
-    for rule in rules:
-        chain = chain.when(rule.rejects(text, q), F.lit(rule.name))
-    return chain
+def _extra(text: Column) -> dict[str, Column]:
+    """Measures that the contract's struct lacks, computed where a rule asks."""
+    return {name: f(text) for name, f in MEASURES.items() if name not in CONTRACT}
 
 
-def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules=RULES, sample_rows: int = 200) -> DataFrame:
+def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules=RULES, sample_rows: int = 1000) -> DataFrame:
     """One row per document: its measures, the first rule that rejects it, and whether it stays."""
     ordered = order_rules(docs, text_col, rules, sample_rows)
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = _measured(docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text")), "text", "q")
-    rows = rows.withColumn("failed_rule", cascade(F.col("text"), F.col("q"), ordered))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), _text(text_col).alias("text"))
+    rows = rows.withColumn("q", measures(F.col("text")))
+    q = {name: F.col(f"q.{name}") for name in CONTRACT} | _extra(F.col("text"))
+    rows = rows.withColumn("failed_rule", cascade(F.col("text"), q, ordered))
     return rows.select(
-        "doc_id",
-        *[F.col(f"q.{c}") for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")],
-        base_failed(F.col("q")).alias("base_failed"),
-        F.col("failed_rule").isNull().alias("kept"),
-        "failed_rule",
-    )
+        "doc_id", *[F.col(f"q.{c}") for c in CONTRACT], base_failed(F.col("q")).alias("base_failed"),
+        F.col("failed_rule").isNull().alias("kept"), "failed_rule",
+    )
 
 
-def keep_passing(docs: DataFrame, text_col: str = "text", rules=RULES, sample_rows: int = 200) -> DataFrame:
+def keep_passing(docs: DataFrame, text_col: str = "text", rules=RULES, sample_rows: int = 1000) -> DataFrame:
     """The documents that pass, with all their columns."""
     ordered = order_rules(docs, text_col, rules, sample_rows)
-    name = "kinward_quality"
-    rows = _measured(docs, text_col, name)
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return rows.filter(cascade(text, F.col(name), ordered).isNull()).select(*[F.col(f"`{c}`") for c in docs.columns])
+    text = _text(text_col)
+    first = cascade(text, {name: f(text) for name, f in MEASURES.items()}, ordered)
+    return docs.filter(first.isNull()).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 ORACLE = rf"""
