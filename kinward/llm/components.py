@@ -17,13 +17,14 @@ def _state(edges: DataFrame) -> tuple:
     return tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, root) of every node with an edge; the root is the least node. Edges are (a, b)."""
+def components(edges: DataFrame) -> DataFrame:
+    """(node, root) of every node with an edge; the root is the least node. Edges are (a, b).
+
+    Rounds go on until the stars stand still, however many that takes.
+    """
     stars = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     state = _state(stars)
-    for _ in range(max_rounds):
-        if not state[0]:
-            break
+    while state[0]:
         both = stars.unionByName(stars.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
         large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))

@@ -9,9 +9,11 @@ run up to a time that all slots will have been hit by, and longer where one has
 Signatures are banded; documents of equal multisets travel as one. Within a band group, documents
 whose short signatures agree well enough are joined to a spanning forest (searched breadth first, so
 a group of alike documents costs one comparison each); the forests' components over all bands are
-families. A family is verified on the whole multisets in blocks of bounded size, block against
-block, so that no pairs travel: pairs come in the order of their signatures' agreement, and those
-already in one class are passed over. Classes are the connected components of what was verified.
+families. The forest's own edges are verified first, on the whole multisets; where they hold, a
+family is one class and no more is compared, however large it is. Of the other families, what lies
+outside the largest class is compared with all members in blocks of bounded size, so that no pairs
+travel: pairs come in the order of their signatures' agreement, and those already in one class are
+passed over. Classes are the connected components of all that was verified.
 
 What the signatures can miss: a pair at the similarity 0.8 shares no band with a probability of
 5e-5, and falls below either agreement bound (4.5 standard deviations down) with one below 1e-5.
@@ -204,8 +206,8 @@ def _fits(x, y):
 
 
 def _forest(node: np.ndarray, n: np.ndarray, bits: np.ndarray) -> list[tuple[int, int]]:
-    """Edges of a spanning forest of the members that may be alike, breadth first."""
-    left = np.arange(len(node))
+    """Edges of a spanning forest of the members that may be alike, from the least node on: bands give the same stars."""
+    left = np.argsort(node, kind="stable")
     edges = []
     while len(left) > 1:
         queue, left = [int(left[0])], left[1:]
@@ -281,11 +283,14 @@ BLOCK = 1024
 
 def _verified(family: pa.Table) -> pa.Table:
     """Links of a family's block (or pair of blocks) that connect its classes."""
-    nodes, sides = family["node"].to_numpy(), family["side"].to_numpy()
+    nodes, sides, known = family["node"].to_numpy(), family["side"].to_numpy(), family["known"].to_numpy()
     n = family["n"].to_numpy()
     sig = ts.as_bytes(family["sig"])[0].reshape(-1, SLOTS)
     sets = [elements(x.as_py()) for x in family["elements"]]
-    root = list(range(len(nodes)))
+    _, root = np.unique(known, return_inverse=True)
+    first = np.zeros(len(nodes), np.int64)
+    first[root[::-1]] = np.arange(len(nodes))[::-1]
+    root = first[root].tolist()  # members of a class that is known already
 
     def find(x: int) -> int:
         while root[x] != x:
@@ -298,6 +303,7 @@ def _verified(family: pa.Table) -> pa.Table:
         rest = np.arange(i + 1, len(nodes))
         if sides.any():
             rest = rest[sides[rest] != sides[i]]
+        rest = rest[known[rest] != known[i]]
         rest = rest[_fits(n[rest], n[i])]
         same = (sig[rest] == sig[i]).sum(axis=1)
         ok = same >= EIGHT_BITS
@@ -320,6 +326,23 @@ def _verified(family: pa.Table) -> pa.Table:
     return pa.Table.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_EDGES)
 
 
+def _verified_edges(edges: DataFrame, sets: DataFrame) -> DataFrame:
+    """The forest's edges whose documents are alike in full. A node's set is sent once for each of its edges."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3)):
+                x, y = elements(x.as_py()), elements(y.as_py())
+                both = overlap(x, y)
+                keep.append(both >= SIMILARITY * (len(x) + len(y) - both) - 1e-9)
+            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    a = sets.select(F.col("node").alias("a"), F.col("elements").alias("ea"))
+    b = sets.select(F.col("node").alias("b"), F.col("elements").alias("eb"))
+    return edges.join(a.hint("merge"), "a").join(b.hint("merge"), "b").select("a", "b", "ea", "eb").mapInArrow(run, "a long, b long")
+
+
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(node, doc_id, class_id, first): one row per document; the least id of its class and that one's node."""
     with ex.small_batches(docs.sparkSession):
@@ -336,27 +359,17 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     signed = ex.cut(rows.mapInArrow(_sign, SIGNED))
     same = ["print1", "print2", "n"]
     low = F.struct(_number().alias("number"), F.col("node").alias("node"))
-    reps = (
+    reps = ex.cut(
         signed.filter("n > 0")
         .groupBy(*same)
         .agg(F.min(F.struct("node", "bands", "sig")).alias("r"), F.min(low).alias("low"))
         .select(*same, *[F.col(f"r.{c}").alias(c) for c in ("node", "bands", "sig")], "low")
     )
-    edges = ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long", buckets)
+    edges = ex.cut(ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long", buckets).distinct())
     families = components(edges).withColumnRenamed("root", "family")
-    blocks = families.groupBy("family").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
-    placed = (
-        families.join(blocks, "family")
-        .withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-        .join(reps.select("node", "n", "sig"), "node")
-    )
-    sets = _sets(rows, families.select("node")).join(placed, "node")
-    # every block meets itself and every other one
-    dealt = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
-        F.when(F.col("mine") > F.col("other"), 1).otherwise(0).alias("side"), "node", "n", "sig", "elements",
-    )
-    roots = components(dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long"))
+    sets = ex.cut(_sets(rows, families.select("node")).dropDuplicates(["node"]))
+    alike = ex.cut(_verified_edges(edges, sets))
+    roots = components(alike.unionByName(_rest(families, alike, sets, reps)))
     of = reps.select(*same, F.col("node").alias("rep"), "low")
     roots = roots.withColumnRenamed("node", "rep")
     least = of.join(roots, "rep").groupBy("root").agg(F.min("low").alias("least"))
@@ -366,6 +379,29 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return out.select("node", "doc_id", F.col("of.number").alias("class_id"), F.col("of.node").alias("first"))
 
 
+def _rest(families: DataFrame, alike: DataFrame, sets: DataFrame, reps: DataFrame) -> DataFrame:
+    """Links that the forest's edges did not give: members outside a family's largest class against all of it."""
+    members = families.join(components(alike), "node", "left").withColumn("known", F.coalesce("root", "node")).drop("root")
+    size = members.groupBy("family", "known").agg(F.count(F.lit(1)).alias("c"))
+    whole = size.groupBy("family").agg(F.max(F.struct("c", "known")).alias("top"), F.sum("c").alias("all"), F.count(F.lit(1)).alias("classes"))
+    parted = whole.filter("classes > 1").select(
+        "family", F.col("top.known").alias("bulk"), F.ceil(F.col("top.c") / BLOCK).cast("int").alias("nb"),
+        F.ceil((F.col("all") - F.col("top.c")) / BLOCK).cast("int").alias("nr"),
+    )
+    placed = members.join(parted, "family").withColumn("inner", F.col("known") == F.col("bulk"))
+    placed = placed.withColumn("mine", F.pmod(F.xxhash64("node"), F.when(F.col("inner"), F.col("nb")).otherwise(F.col("nr"))).cast("int"))
+    # blocks of the rest meet each other (numbers from 0) and the blocks of the bulk (numbers from nr)
+    rest = F.sequence(F.lit(0), F.col("nr") - 1)
+    others = F.when(F.col("inner"), rest).otherwise(F.concat(rest, F.sequence(F.col("nr"), F.col("nr") + F.col("nb") - 1)))
+    placed = placed.withColumn("mine", F.when(F.col("inner"), F.col("mine") + F.col("nr")).otherwise(F.col("mine")))
+    full = placed.join(reps.select("node", "n", "sig"), "node").join(sets, "node")
+    dealt = full.withColumn("other", F.explode(others)).select(
+        "family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
+        F.when(F.col("mine") > F.col("other"), 1).otherwise(0).alias("side"), "node", "known", "n", "sig", "elements",
+    )
+    return dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long")
+
+
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The document of least id of every class, with all its columns."""
     table = classes(docs, id_col, text_col).groupBy("node").agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("c"))

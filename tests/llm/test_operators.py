@@ -424,7 +424,7 @@ def test_parity_words_do_not_collide(spark):
     assert got == suffix_dedup.brute_force(data)
     assert {r.doc_id: r.class_id for r in near_dedup.report(frame).collect()} == {1: 1, 2: 2, 3: 3, 4: 4}
     bench = spark.createDataFrame([(1, one)], "item_id long, text string")
-    assert {r.doc_id for r in decontaminate.judge(frame, bench).filter("contaminated").collect()} == {1, 3}
+    assert {r.doc_id for r in decontaminate.judge(frame, bench, least_tokens=1).filter("contaminated").collect()} == {1, 3}
 
 
 def test_winnowing_selects_minima_only(spark):
@@ -438,3 +438,44 @@ def test_winnowing_selects_minima_only(spark):
     assert all(r.windows[0].i <= r.pos < r.windows[0].i + 3 for r in got)
     assert not any(r.kw_doc == 3 for r in got)
     assert line_dedup.dedup_lines(docs).filter("doc_id = 2").first().kw_removed == 600
+
+
+def test_near_dedup_of_a_large_family(spark, monkeypatch):
+    """Families in several blocks, some held by the forest alone and some parted into classes."""
+    monkeypatch.setattr(near_dedup, "BLOCK", 16)
+    rng = random.Random(41)
+    base, data = words(rng, 120, 9000).split(), []
+    for i in range(150):  # drifts away, so that ends of the chain are unlike
+        x = list(base)
+        for k in range(i // 12):
+            x[k * 9] = f"drift{k}"
+        x[rng.randrange(len(x))] = f"n{i}"
+        data.append((i, " ".join(x)))
+    frame = spark.createDataFrame(data, "doc_id long, text string")
+    assert {r.doc_id: r.class_id for r in near_dedup.report(frame).collect()} == near_dedup.brute_force(data)
+
+
+def test_decontamination_by_blocks(spark):
+    """A benchmark of many blocks gives what one block gives, and brute-force tiling gives the same verdicts."""
+    rng = random.Random(16)
+    items = [(i, words(rng, rng.randrange(1, 40), 60)) for i in range(40)] + [(3, None), (None, "some item of no id at all")]
+    data = []
+    for i in range(120):
+        parts = [words(rng, rng.randrange(0, 20), 60)]
+        for _ in range(rng.randrange(0, 3)):
+            w = rng.choice(items)[1] or ""
+            cut = rng.randrange(0, 5)
+            parts += [" ".join(w.split()[cut:]), words(rng, rng.randrange(0, 4), 60)]
+        rng.shuffle(parts)
+        data.append((i, " ".join(parts)))
+    data += [(5, data[5][1]), (None, "some item of no id at all"), (7, None)]
+    docs, bench = spark.createDataFrame(data, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    key = lambda r: (r.doc_id is None, r.doc_id, r.contaminated, tuple(x or -1 for x in r.item_ids), round(r.coverage, 6))
+    one = sorted(map(key, decontaminate.judge(docs, bench).collect()), key=str)
+    many = sorted(map(key, decontaminate.judge(docs, bench, block_bytes=200).collect()), key=str)
+    assert [r[:3] + r[4:] for r in one] == [r[:3] + r[4:] for r in many]
+    assert [sorted(r[3]) for r in one] == [sorted(r[3]) for r in many]
+    want = decontaminate.brute_force(data, items)
+    assert sorted(((r[1], r[2], sorted(r[3]), r[4]) for r in one), key=str) == sorted(want, key=str)
+    assert any(r[2] for r in one) and not all(r[2] for r in one)
+    assert decontaminate.keep_clean(docs, bench, block_bytes=200).count() == sum(not r[2] for r in one)
