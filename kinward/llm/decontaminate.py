@@ -5,9 +5,12 @@ Each document and item that share a seed are tiled: the longest match of unmarke
 again and again, down to the seed length, so passages count whatever their order. A document is
 contaminated by an item if the tiles cover enough of it.
 
-Tokens are runs of letters and digits, case folded. The benchmark is collected only in blocks of a
-checked size. Cases: null texts have no tokens; items under ``seed`` tokens are matched whole;
-empty items match nothing; repeated documents are judged each, repeated items count each; ties go
+Tokens are runs of letters and digits, case folded. The driver holds one block of the benchmark at a
+time (``block_bytes``): a benchmark of one block travels with the scan of the documents, a larger
+one takes a scan a block, whose hits are checkpointed and brought together by document.
+
+Cases: null texts have no tokens; items under ``seed`` tokens are matched whole, those under
+``least_tokens`` (default 2, so that one common word contaminates nothing) match nothing; repeated documents are judged each, repeated items count each; ties go
 to the smaller position; other columns are ignored; an empty benchmark leaves all documents clean.
 """
 
@@ -24,8 +27,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinward.llm import textscan as ts
+from kinward.llm.exchange import cut
 
-SEED, COVER = 4, 0.5
+SEED, COVER, LEAST_TOKENS = 4, 0.5, 2
 BLOCK_BYTES = 8 << 20
 
 #: Bytes that separate tokens: ASCII but letters and digits.
@@ -49,13 +53,13 @@ def _grams(codes: np.ndarray, off: np.ndarray, k: int) -> tuple[np.ndarray, np.n
 class Benchmark:
     """Seeds of a block of benchmark items, sorted by hash."""
 
-    def __init__(self, items: list[tuple[int, str]], seed: int = SEED):
+    def __init__(self, items: list[tuple[int, str]], seed: int = SEED, least_tokens: int = LEAST_TOKENS):
         self.ids = [i for i, _ in items]
         self.codes, self.off = tokens(pa.array([t or "" for _, t in items], pa.large_string()))
         self.size = np.diff(self.off)
         self.seed = seed
         self.seeds: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
-        for k in sorted({min(seed, int(n)) for n in self.size if n}):
+        for k in sorted({min(seed, int(n)) for n in self.size if n >= max(1, least_tokens)}):
             p, h = _grams(self.codes, self.off, k)
             item = np.searchsorted(self.off, p, "right") - 1
             use = self.size[item] >= seed if k == seed else self.size[item] == k
@@ -117,14 +121,19 @@ class Benchmark:
                 yield d, it, self.tiles(k, codes[off[d] : off[d + 1]], it, p[each[i:j]] - off[d], to[row[i:j]])
 
 
-def _blocks(benchmark: DataFrame, id_col: str, text_col: str) -> Iterator[list[tuple[int, str]]]:
-    """The items, collected in blocks of at most about BLOCK_BYTES."""
-    items = benchmark.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
-    total = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    n = max(1, math.ceil(total / BLOCK_BYTES))
-    for b in range(n):
-        part = items if n == 1 else items.filter(F.pmod(F.xxhash64("id", "t"), F.lit(n)) == b)
-        yield [(r.id, r.t) for r in part.sort("id", "t").collect()]
+def _items(benchmark: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return benchmark.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
+
+
+def _block_count(items: DataFrame, block_bytes: int) -> int:
+    total = items.agg(F.sum(F.octet_length("t").cast("long") + 16)).first()[0] or 0
+    return max(1, math.ceil(total / block_bytes))
+
+
+def _block(items: DataFrame, b: int, n: int) -> list[tuple[int, str]]:
+    """One of n blocks of the items, dealt by content."""
+    part = items if n == 1 else items.filter(F.pmod(F.xxhash64("id", "t"), F.lit(n)) == b)
+    return [(r.id, r.t) for r in part.sort("id", "t").collect()]
 
 
 VERDICT = "doc_id long, contaminated boolean, item_ids array<bigint>, coverage double"
@@ -133,22 +142,53 @@ VERDICT = "doc_id long, contaminated boolean, item_ids array<bigint>, coverage d
 def judge(
     docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id",
     item_text_col: str = "text", seed: int = SEED, cover: float = COVER, pass_columns: bool = False,
+    least_tokens: int = LEAST_TOKENS, block_bytes: int = BLOCK_BYTES,
 ) -> DataFrame:
     """One row per document: whether an item is covered, which items, and the best coverage.
 
     ``pass_columns`` puts the rows' own columns first and the verdict's behind, prefixed by kw_.
     """
+    items = _items(benchmark, item_col, item_text_col)
+    n = _block_count(items, block_bytes)
+    limits = (seed, cover, least_tokens)
+    if n == 1:
+        return _scan(docs, _block(items, 0, 1), id_col, text_col, *limits, pass_columns)
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    rows = docs.withColumn("kw_doc", F.col(id_col).cast("long")).withColumn("kw_tag", F.xxhash64(text))
+    texts = rows.select("kw_doc", "kw_tag", text.alias("kw_body"))
+    hits = None
+    for b in range(n):
+        found = _scan(texts, _block(items, b, n), "kw_doc", "kw_body", *limits, True).filter("kw_coverage > 0")
+        found = cut(found.select("kw_doc", "kw_tag", "kw_item_ids", "kw_coverage").dropDuplicates(["kw_doc", "kw_tag"]))
+        hits = found if hits is None else hits.unionByName(found)
+    hits = hits.groupBy("kw_doc", "kw_tag").agg(
+        F.sort_array(F.flatten(F.collect_list("kw_item_ids"))).alias("item_ids"), F.max("kw_coverage").alias("coverage")
+    )
+    same = (F.col("r.kw_tag") == F.col("h.kw_tag")) & F.col("r.kw_doc").eqNullSafe(F.col("h.kw_doc"))
+    out = rows.alias("r").join(hits.alias("h"), same, "left")
+    own = [F.col(f"r.`{c}`") for c in docs.columns] if pass_columns else [F.col("r.kw_doc").alias("doc_id")]
+    prefix = "kw_" if pass_columns else ""
+    ids = F.coalesce("h.item_ids", F.array().cast("array<bigint>"))
+    return out.select(
+        *own, (F.size(ids) > 0).alias(f"{prefix}contaminated"), ids.alias(f"{prefix}item_ids"),
+        F.coalesce("h.coverage", F.lit(0.0)).alias(f"{prefix}coverage"),
+    )
+
+
+def _scan(
+    docs: DataFrame, block: list[tuple[int, str]], id_col: str, text_col: str, seed: int, cover: float, least_tokens: int, pass_columns: bool
+) -> DataFrame:
+    """``judge`` against one block of items, which goes with the tasks."""
     arrow = pa.schema(
         [("contaminated", pa.bool_()), ("item_ids", pa.list_(pa.int64())), ("coverage", pa.float64())]
     )
-    blocks = [x for x in _blocks(benchmark, item_col, item_text_col) if x]
     text = F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("kw_text")
     own = [F.col(f"`{c}`") for c in docs.columns] if pass_columns else [F.col(id_col).cast("long").alias("doc_id")]
     rows = docs.select(*own, text)
     kept = rows.schema.fields[:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = [Benchmark(items, seed) for items in blocks]
+        b = Benchmark(block, seed, least_tokens)
         for batch in batches:
             last = batch.num_columns - 1
             _, sizes = ts.as_bytes(batch.column(last))
@@ -157,13 +197,12 @@ def judge(
                 codes, off = tokens(part.column(last))
                 found: list[list[int]] = [[] for _ in range(j - i)]
                 best = [0.0] * (j - i)
-                for b in known:
-                    for d, it, n in b.judge(codes, off):
-                        share = n / int(b.size[it])
-                        best[d] = max(best[d], share)
-                        if share >= cover:
-                            found[d].append(b.ids[it])
-                made = [pa.array([bool(x) for x in found]), pa.array([sorted(x) for x in found], pa.list_(pa.int64())), pa.array(best)]
+                for d, it, n in b.judge(codes, off):
+                    share = n / int(b.size[it])
+                    best[d] = max(best[d], share)
+                    if share >= cover:
+                        found[d].append(b.ids[it])
+                made = [pa.array([bool(x) for x in found]), pa.array([sorted(x, key=lambda v: (v is not None, v or 0)) for x in found], pa.list_(pa.int64())), pa.array(best)]
                 fields = [part.schema.field(x) for x in range(last)]
                 names = ["kw_" + f.name for f in arrow] if pass_columns else arrow.names
                 yield pa.RecordBatch.from_arrays(
@@ -196,3 +235,38 @@ def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     return judge(docs, benchmark).select(
         "doc_id", "contaminated", F.array_join(F.col("item_ids").cast("array<string>"), ",").alias("item_ids"), F.round("coverage", 6).alias("coverage")
     )
+
+
+def brute_force(docs: list[tuple], items: list[tuple], seed: int = SEED, cover: float = COVER, least_tokens: int = LEAST_TOKENS) -> list[tuple]:
+    """(id, contaminated, items, coverage) by tiling every document with every item, all matches searched anew for each tile."""
+    import re
+
+    split = lambda t: re.findall(r"[^\x00-\x2f\x3a-\x40\x5b-\x60\x7b-\x7f]+", (t or "").lower())
+    out = []
+    for doc, text in docs:
+        d, hits, best = split(text), [], 0.0
+        for item, body in items:
+            m = split(body)
+            if len(m) < max(1, least_tokens):
+                continue
+            least, free_d, free_m = min(seed, len(m)), [True] * len(d), [True] * len(m)
+            while True:
+                longest = (0, 0, 0)
+                for a in range(len(d)):
+                    for b in range(len(m)):
+                        n = 0
+                        while a + n < len(d) and b + n < len(m) and d[a + n] == m[b + n] and free_d[a + n] and free_m[b + n]:
+                            n += 1
+                        if n > longest[0]:
+                            longest = (n, a, b)
+                n, a, b = longest
+                if n < least:
+                    break
+                free_d[a : a + n] = [False] * n
+                free_m[b : b + n] = [False] * n
+            share = free_m.count(False) / len(m)
+            best = max(best, share)
+            if share >= cover:
+                hits.append(-1 if item is None else item or -1)
+        out.append((doc, bool(hits), sorted(hits), round(best, 6)))
+    return out
