@@ -2,14 +2,17 @@
 
 One view is the text (hashed words, beginnings and endings of words, and a few densities), the other the page's
 metadata (source, language, length). Both are logistic models fitted on a bounded sample of
-labelled rows. For some rounds each view scores a bounded pool of unlabelled rows and hands those
-it is sure of, with its own verdict, to the other. In the end each view is calibrated on held-out
-labelled rows and the two are combined there; the result scores every document in one pass.
+labelled rows. For some rounds Spark scores every unlabelled document by each view and the ones a
+view is surest of, with its verdict, go to the other view. In the end each view is calibrated on
+labelled rows kept from the fit and the two are combined there; a last part of the labelled rows
+measures the result (``held_out``), which scores every document in one pass.
 
-Bounds (parameters): ``labelled`` and ``pool`` rows are the only ones that reach the driver.
+Bounds (parameters): at most ``labelled`` labelled rows, and ``handed`` documents a round, view and
+target, reach the driver; these are all that is fitted.
 Cases: null text is empty, null metadata a value of its own; conflicting labels of one id count as
-bad quality and as toxic; without labels of both kinds the score is the share known (or one half);
-repeated rows are scored each; other columns are ignored; an empty table gives an empty result.
+bad quality and as toxic; with fewer than ``least_labels`` rows, or labels of one kind only, the
+score is the share known (or one half); repeated rows are scored each; other columns are ignored;
+an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,7 +22,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinward.llm import textscan as ts
@@ -29,8 +32,8 @@ FAMILIES = ((14, None), (13, 7), (12, 6), (12, 5), (10, -3))
 DENSE = 8
 TEXT_DIM = sum(1 << bits for bits, _ in FAMILIES) + DENSE
 META_DIM = 256
-LABELLED, POOL = 5000, 2000
-ROUNDS, SURE, SHARE = 2, 0.97, 0.1
+LABELLED, HANDED, LEAST_LABELS = 5000, 200, 20
+ROUNDS, SURE = 2, 0.97
 
 _KIND = np.zeros(256, np.uint8)  # 1 symbol, 2 upper case, 3 digit
 _KIND[[ord(c) for c in "#*$%&|<>{}[]=+~^_@!\\/"]] = 1
@@ -164,46 +167,36 @@ class CoTrained:
     meta: np.ndarray
     blend: np.ndarray  # of calibrated text and metadata logits, constant last
     calibration: tuple[np.ndarray, np.ndarray]
-    held_out: float  # accuracy of the blend on held-out rows
+    held_out: float  # accuracy of the blend on rows that neither fit nor calibration has seen
 
-    def score(self, text: Rows, meta: Rows) -> np.ndarray:
+    def views(self, text: Rows, meta: Rows) -> tuple[np.ndarray, np.ndarray]:
+        """Calibrated logits of either view."""
         a, b = (logits(_dense([logits(r, w)]), c) for r, w, c in ((text, self.text, self.calibration[0]), (meta, self.meta, self.calibration[1])))
+        return a, b
+
+    def score(self, text: Rows, meta: Rows) -> np.ndarray:
+        a, b = self.views(text, meta)
         return _sigmoid(self.blend[0] * a + self.blend[1] * b + self.blend[2])
 
 
-def co_train(text: Rows, meta: Rows, y: np.ndarray, pool_text: Rows, pool_meta: Rows, rounds: int = ROUNDS) -> CoTrained:
-    """Both views, exchanging pseudo-labels of the pool; a fifth of the labelled rows is held out."""
-    n = len(y)
-    held = np.arange(n) % 5 == 4
-    train = np.flatnonzero(~held)
-    test = np.flatnonzero(held)
-    views = [(text, pool_text, fit_text), (meta, pool_meta, lambda x, z: fit(x, z, META_DIM))]
-    given: list[dict[int, float]] = [{}, {}]  # pseudo-labels that each view was handed
-    size = len(pool_text.at) - 1
+#: Rows that a view was handed, with the verdict of the other.
+Given = list[tuple[Rows, Rows, float]]
+
+
+def fit_views(text: Rows, meta: Rows, y: np.ndarray, given: tuple[Given, Given] = ([], [])) -> CoTrained:
+    """Both views on seven tenths of the labelled rows and what each was handed; two tenths calibrate and blend, one tests."""
+    n = np.arange(len(y)) % 10
+    train, fold, test = np.flatnonzero(~np.isin(n, (3, 4, 9))), np.flatnonzero(np.isin(n, (4, 9))), np.flatnonzero(n == 3)
     models = []
-    for r in range(rounds + 1):
-        models = []
-        for (rows, pool, learn), extra in zip(views, given):
-            at = np.array(sorted(extra), np.int64)
-            x = Rows.stack([rows.take(train), pool.take(at)]) if len(at) else rows.take(train)
-            models.append(learn(x, np.concatenate([y[train], [extra[i] for i in at.tolist()]])))
-        if r == rounds or not size:
-            break
-        for me, other in ((0, 1), (1, 0)):
-            rows, pool, _ = views[me]
-            calibrated = fit(_dense([logits(rows.take(test), models[me])]), y[test], 1)
-            p = _sigmoid(logits(_dense([logits(pool, models[me])]), calibrated))
-            for side in (1.0, 0.0):
-                sure = p if side else 1 - p
-                share = float(y.mean() if side else 1 - y.mean())
-                best = np.argsort(-sure, kind="stable")[: int(SHARE * share * size) + 1]
-                given[other].update({int(i): side for i in best if sure[i] >= SURE})
-    a, b = (logits(rows.take(test), w) for (rows, _, _), w in zip(views, models))
-    cal = fit(_dense([a]), y[test], 1), fit(_dense([b]), y[test], 1)
-    both = _dense([logits(_dense([a]), cal[0]), logits(_dense([b]), cal[1])])
-    blend = fit(both, y[test], 2, steps=300)
-    right = float(((logits(both, blend) > 0) == (y[test] > 0.5)).mean())
-    return CoTrained(models[0], models[1], blend, cal, right)
+    for rows, extra, which, learn in ((text, given[0], 0, fit_text), (meta, given[1], 1, lambda x, z: fit(x, z, META_DIM))):
+        x = Rows.stack([rows.take(train), *[g[which] for g in extra]])
+        models.append(learn(x, np.concatenate([y[train], [g[2] for g in extra]])))
+    a, b = (logits(rows.take(fold), w) for rows, w in ((text, models[0]), (meta, models[1])))
+    cal = fit(_dense([a]), y[fold], 1), fit(_dense([b]), y[fold], 1)
+    blend = fit(_dense([logits(_dense([a]), cal[0]), logits(_dense([b]), cal[1])]), y[fold], 2, steps=300)
+    out = CoTrained(models[0], models[1], blend, cal, 0.0)
+    out.held_out = float(((out.score(text.take(test), meta.take(test)) > 0.5) == (y[test] > 0.5)).mean()) if len(test) else float("nan")
+    return out
 
 
 def _columns(docs: DataFrame, id_col: str) -> DataFrame:
@@ -255,33 +248,93 @@ def _gather(rows: list) -> tuple[Rows, Rows]:
     return text, Rows(np.arange(len(rows) + 1) * 3, meta, np.ones(len(meta)))
 
 
+def _confident(rows: DataFrame, models: dict[str, CoTrained | float], most: dict[str, int]) -> DataFrame:
+    """(slot, p, doc_id): of all unlabelled rows, those that a view is surest of, ``most[slot]`` a slot.
+
+    A slot names target, view and verdict. Every task sends on its best rows of each slot only.
+    """
+    arrow = pa.schema([("slot", pa.string()), ("p", pa.float64()), ("doc_id", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best: dict[str, tuple[np.ndarray, np.ndarray]] = {}
+        for batch in batches:
+            buf, off = ts.as_bytes(batch.column(1))
+            whole, ids = meta_rows(batch.column(2), batch.column(3), batch.column(4)), batch.column(0).to_numpy()
+            for i, j in ts.pieces(buf, off):
+                text, meta = text_rows(buf[off[i] : off[j]], off[i : j + 1] - off[i]), whole.take(np.arange(i, j))
+                for target, model in models.items():
+                    if not isinstance(model, CoTrained):
+                        continue
+                    for view, z in zip(("text", "meta"), model.views(text, meta)):
+                        for side, sure in (("yes", _sigmoid(z)), ("no", _sigmoid(-z))):
+                            slot = f"{target} {view} {side}"
+                            at = np.flatnonzero(sure >= SURE)
+                            have = best.get(slot, (np.zeros(0), np.zeros(0, np.int64)))
+                            p, d = np.append(have[0], sure[at]), np.append(have[1], ids[i:j][at])
+                            order = np.lexsort((ts.mix64(d.view(np.uint64)), -p))[: most[slot]]
+                            best[slot] = p[order], d[order]
+        for slot, (p, d) in best.items():
+            if len(p):
+                yield pa.RecordBatch.from_arrays([pa.array([slot] * len(p)), pa.array(p), pa.array(d)], schema=arrow)
+
+    found = rows.mapInArrow(run, "slot string, p double, doc_id long").dropDuplicates(["slot", "doc_id"])
+    limit = F.create_map(*[F.lit(x) for pair in most.items() for x in pair])
+    rank = F.row_number().over(Window.partitionBy("slot").orderBy(F.desc("p"), F.xxhash64("doc_id"), "doc_id"))
+    return found.withColumn("r", rank).filter(F.col("r") <= max(most.values())).filter(F.col("r") <= limit[F.col("slot")]).drop("r")
+
+
 def train(
-    docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", labelled: int = LABELLED, pool: int = POOL
-) -> dict[str, CoTrained | float]:
-    """A model for each of quality and toxic, or the known share where one class has no rows."""
+    docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", labelled: int = LABELLED, handed: int = HANDED, rounds: int = ROUNDS,
+    least_labels: int = LEAST_LABELS,
+) -> dict[str, CoTrained | float]:
+    """A model for each of quality and toxic, or the known share where labels are few or of one kind."""
     lab = labels.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(
         F.min(F.col("quality").cast("double")).alias("y1"), F.max(F.col("toxic").cast("double")).alias("y2")
     ).filter("doc_id IS NOT NULL")
+    lab = lab.filter(F.col("y1").isNotNull() | F.col("y2").isNotNull())
     rows = _columns(docs, id_col)
-    ids = rows.select("doc_id").filter("doc_id IS NOT NULL").join(lab, "doc_id", "left")
-    known = F.col("y1").isNotNull() | F.col("y2").isNotNull()
-    # least hashes: a fixed sample, at most ``labelled`` and ``pool`` rows
-    some = ids.filter(known).orderBy(F.xxhash64("doc_id"), "doc_id").limit(labelled)
-    rest = ids.filter(~known).orderBy(F.xxhash64("doc_id"), "doc_id").limit(pool)
-    picked = some.unionByName(rest).dropDuplicates(["doc_id"])
-    sample = rows.join(F.broadcast(picked), "doc_id").select("doc_id", "y1", "y2", "text", "source", "lang", "n_chars")
-    got = sorted(_features(sample).collect(), key=lambda r: (hash(r.doc_id * 2654435761 % 4294967296), r.doc_id))
-    out: dict[str, CoTrained | float] = {}
-    free = [r for r in got if r.y1 is None and r.y2 is None]
-    pool_text, pool_meta = _gather(free)
-    for name, field in (("quality", "y1"), ("toxic", "y2")):
+    fields = ("doc_id", "y1", "y2", "text", "source", "lang", "n_chars")
+
+    def fetch(ids: DataFrame) -> list:
+        """Features of a bounded number of rows, one of each id."""
+        return _features(rows.join(F.broadcast(ids), "doc_id").select(*fields)).dropDuplicates(["doc_id"]).collect()
+
+    # least hashes: a fixed sample of the labelled rows that have a document
+    known = rows.select("doc_id").join(lab, "doc_id").dropDuplicates(["doc_id"])
+    got = fetch(known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(labelled))
+    got.sort(key=lambda r: (r.doc_id * 2654435761 % 4294967296, r.doc_id))
+    target = {"quality": "y1", "toxic": "y2"}
+    data, out = {}, {}
+    for name, field in target.items():
         use = [r for r in got if getattr(r, field) is not None]
         y = np.array([float(getattr(r, field) > 0.5) for r in use])
-        if len(y) < 20 or y.min() == y.max():
+        if len(y) < least_labels or y.min() == y.max():
             out[name] = float(y.mean()) if len(y) else 0.5
-            continue
-        text, meta = _gather(use)
-        out[name] = co_train(text, meta, y, pool_text, pool_meta)
+        else:
+            data[name] = (*_gather(use), y)
+            out[name] = fit_views(*data[name])
+    if not data:
+        return out
+    free = rows.join(F.broadcast(lab.select("doc_id")) if lab.count() <= labelled else lab.select("doc_id"), "doc_id", "left_anti")
+    free = free.filter("doc_id IS NOT NULL").select("doc_id", "text", "source", "lang", "n_chars")
+    given: dict[str, tuple[dict, dict]] = {name: ({}, {}) for name in data}
+    spark = docs.sparkSession
+    for _ in range(rounds):
+        most = {}
+        for name, (_, _, y) in data.items():
+            for side, share in (("yes", y.mean()), ("no", 1 - y.mean())):
+                most |= {f"{name} {view} {side}": int(handed * share) + 1 for view in ("text", "meta")}
+        sure = _confident(free, out, most).collect()
+        if not sure:
+            break
+        asked = spark.createDataFrame([(d, None, None) for d in sorted({r.doc_id for r in sure})], "doc_id long, y1 double, y2 double")
+        held = {r.doc_id: r for r in fetch(asked)}
+        for r in sorted(sure, key=lambda r: (r.slot, -r.p, r.doc_id)):
+            name, view, side = r.slot.split(" ")
+            other = given[name][1 if view == "text" else 0]  # what one view is sure of teaches the other
+            other.setdefault(r.doc_id, (*_gather([held[r.doc_id]]), 1.0 if side == "yes" else 0.0))
+        for name in data:
+            out[name] = fit_views(*data[name], tuple(list(g.values()) for g in given[name]))
     return out
 
 

@@ -479,3 +479,39 @@ def test_decontamination_by_blocks(spark):
     assert sorted(((r[1], r[2], sorted(r[3]), r[4]) for r in one), key=str) == sorted(want, key=str)
     assert any(r[2] for r in one) and not all(r[2] for r in one)
     assert decontaminate.keep_clean(docs, bench, block_bytes=200).count() == sum(not r[2] for r in one)
+
+
+def test_classifier_hands_over_and_scores(spark):
+    """Pseudo-labels come from all unlabelled rows, and the Spark scores equal scores computed here."""
+    import numpy as np
+    import pyarrow as pa
+
+    from kinward.llm import textscan as ts
+
+    rng = random.Random(27)
+    data = []
+    for i in range(900):
+        bad = rng.random() < 0.4
+        data.append((i, words(rng, 50, 200) + (" ###*** $$$" * 8 if bad else ""), "en", f"s{int(bad)}", 300))
+    labels = [(i, int("###" not in data[i][1]), int(i % 2)) for i in range(0, 900, 9)]
+    docs = spark.createDataFrame(data, DOCS).repartition(7)
+    models = quality_classifier.train(docs, spark.createDataFrame(labels, "doc_id long, quality int, toxic int"))
+    got = {r.doc_id: (r.quality, r.toxicity) for r in quality_classifier.score(docs, models).collect()}
+    text, meta = (pa.array([r[k] for r in data]) for k in (1, 3))
+    rows = quality_classifier.text_rows(*ts.as_bytes(text))
+    side = quality_classifier.meta_rows(meta, pa.array(["en"] * 900), pa.array([300] * 900, pa.int64()))
+    for k, name in enumerate(("quality", "toxic")):
+        want = models[name].score(rows, side) if isinstance(models[name], quality_classifier.CoTrained) else np.full(900, models[name])
+        assert np.allclose([got[i][k] for i in range(900)], want)
+    first = quality_classifier.train(docs, spark.createDataFrame(labels, "doc_id long, quality int, toxic int"), rounds=0)
+    assert not np.array_equal(first["quality"].meta, models["quality"].meta)  # the exchange acts
+    assert models["quality"].held_out >= 0.9
+    most = {f"quality {v} {s}": 5 for v in ("text", "meta") for s in ("yes", "no")}
+    sure = quality_classifier._confident(docs.select("doc_id", "text", "source", "lang", "n_chars"), {"quality": models["quality"]}, most).collect()
+    p = dict(zip(("text", "meta"), models["quality"].views(rows, side)))
+    for slot in most:
+        _, view, verdict = slot.split(" ")
+        z = p[view] if verdict == "yes" else -p[view]
+        best = np.sort(1 / (1 + np.exp(-z)))[::-1]
+        mine = sorted((r.p for r in sure if r.slot == slot), reverse=True)
+        assert np.allclose(mine, best[: len(mine)]) and len(mine) == min(5, int((best >= quality_classifier.SURE).sum()))
