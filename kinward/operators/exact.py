@@ -1,12 +1,16 @@
 """Exact neighbours, k-radii, reverse neighbours and the exact ranked graph.
 
-Queries reach the kernels in blocks of a checked size; points never leave their partitions. The
-all-pairs graph pairs blocks of points, so a task holds two blocks and emits K rows a point at most.
+Queries that fit one block of a checked size travel with the scan of the points, which then stay in
+their partitions; more of them are dealt into blocks as rows and meet blocks of points, so that the
+driver never holds more than one block. The all-pairs graph pairs blocks of points the same way:
+a task holds two blocks and emits K rows a point at most. It is the truth to measure against;
+its work is quadratic, and indexes are built by refinement instead.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -15,7 +19,7 @@ from pyspark.sql import functions as F
 
 from kinward.functions import vectors as vx
 
-QUERY_BLOCK = 50_000_000  # bytes of query vectors held by a task
+QUERY_BLOCK = 50_000_000  # bytes of vectors in a block
 POINT_BLOCK = 4096
 
 #: Relative difference that two ways of summing one distance may show; a query that is a member sits
@@ -25,42 +29,97 @@ ROUNDING = 1e-12
 KNN = "src long, rank int, dst long, dist double"
 
 
-def query_blocks(queries: DataFrame, extra: tuple[str, ...] = ()) -> Iterator[tuple[np.ndarray, ...]]:
-    """(ids, matrix, extra columns) of the queries, in blocks of QUERY_BLOCK bytes at most."""
-    size = queries.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("vec")).alias("d")).first()
-    if not size.n:
-        return
-    blocks = -(-size.n * max(1, size.d or 1) * 8 // QUERY_BLOCK)
-    for b in range(blocks):
-        part = queries if blocks == 1 else queries.filter(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b)
-        rows = part.select("qid", "vec", *extra).orderBy("qid").toPandas()
-        if len(rows):
-            yield (rows["qid"].to_numpy(), vx.matrix(rows["vec"]), *[rows[c] for c in extra])
+@dataclass
+class Block:
+    """Queries: ids, matrix, and further columns by name."""
+
+    qid: np.ndarray
+    q: np.ndarray
+    more: dict[str, np.ndarray]
+
+    @staticmethod
+    def of(rows: pd.DataFrame, extra: tuple[str, ...]) -> Block:
+        rows = rows.sort_values("qid")
+        return Block(rows["qid"].to_numpy(), vx.matrix(rows["vec"]), {c: rows[c].to_numpy() for c in extra})
+
+
+def against(
+    queries: DataFrame, points: DataFrame, kernel: Callable[[Block, pd.DataFrame], pd.DataFrame], schema: str, extra: tuple[str, ...] = (),
+    block_bytes: int | None = None,
+) -> DataFrame:
+    """What ``kernel`` gives for all queries against every part of the points. Queries: qid, vec and ``extra``."""
+    limit = block_bytes or QUERY_BLOCK
+    asked = queries.select("qid", "vec", *extra)
+    slots = F.size("vec").cast("long") + 2
+    for c in extra:
+        if dict(asked.dtypes)[c].startswith("array"):
+            slots = slots + F.size(c)
+    total = asked.agg(F.sum(slots * 8).alias("b")).first().b or 0
+    if not total:
+        return points.sparkSession.createDataFrame([], schema)
+    if total <= limit:
+        block = Block.of(asked.toPandas(), extra)  # of a checked size
 
+        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for f in frames:
+                if len(f):
+                    yield kernel(block, f)
+
+        return points.mapInPandas(run, schema)
+    held = points.agg(F.sum((F.size("vec").cast("long") + 2) * 8).alias("b")).first().b or 0
+    nq, np_ = -(-total // limit), max(1, -(-held // limit))
+    to = lambda df, key, mine, n, other, m: df.withColumn(mine, F.pmod(F.xxhash64(key), F.lit(n)).cast("int")).withColumn(
+        other, F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
+    )
+    left = to(asked, "qid", "kw_i", nq, "kw_j", np_).groupBy("kw_i", "kw_j")
+    right = to(points, "id", "kw_j", np_, "kw_i", nq).groupBy("kw_i", "kw_j")
+    names = [f.split()[0] for f in schema.split(", ")]
 
-def _union(frames: list[DataFrame], like: DataFrame, schema: str) -> DataFrame:
-    out = None
-    for f in frames:
-        out = f if out is None else out.unionByName(f)
-    return like.sparkSession.createDataFrame([], schema) if out is None else out
+    def meet(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        return kernel(Block.of(a, extra), b) if len(a) and len(b) else pd.DataFrame({c: [] for c in names})
 
+    return left.cogroup(right).applyInPandas(meet, schema)
 
-def exact_knn(queries: DataFrame, points: DataFrame, k: int, exclude_self: bool = False) -> DataFrame:
-    """(qid, rank, id, dist): the k nearest points of every query, ties by id."""
-    schema = "qid long, id long, dist double"
 
-    def one(qid: np.ndarray, q: np.ndarray) -> DataFrame:
-        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for f in frames:
-                ids = f["id"].to_numpy()
-                i, j, d = vx.nearest(qid, q, ids, vx.matrix(f["vec"]), k, exclude_self)
-                yield pd.DataFrame({"qid": qid[i], "id": ids[j], "dist": d})
+def exact_knn(queries: DataFrame, points: DataFrame, k: int, exclude_self: bool = False, block_bytes: int | None = None) -> DataFrame:
+    """(qid, rank, id, dist): the k nearest points of every query, ties by id."""
 
-        return points.select("id", "vec").mapInPandas(run, schema)
+    def near(block: Block, f: pd.DataFrame) -> pd.DataFrame:
+        ids, p, out = f["id"].to_numpy(), vx.matrix(f["vec"]), []
+        for lo in range(0, len(block.q), 1024):
+            i, j, d = vx.nearest(block.qid[lo : lo + 1024], block.q[lo : lo + 1024], ids, p, k, exclude_self)
+            out.append(pd.DataFrame({"qid": block.qid[lo + i], "id": ids[j], "dist": d}))
+        return pd.concat(out)
 
-    near = _union([one(qid, q) for qid, q in query_blocks(queries)], points, schema)
+    found = against(queries, points.select("id", "vec"), near, "qid long, id long, dist double", block_bytes=block_bytes)
     rank = F.row_number().over(Window.partitionBy("qid").orderBy("dist", "id"))
-    return near.withColumn("rank", rank).filter(F.col("rank") <= k).select("qid", "rank", "id", "dist")
+    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("qid", "rank", "id", "dist")
+
+
+def ranks_of(pairs: DataFrame, queries: DataFrame, points: DataFrame, block_bytes: int | None = None) -> DataFrame:
+    """(qid, id, rank): where each (qid, id, dist) stands in the query's own order, by counting the members before it."""
+    lists = pairs.groupBy("qid").agg(F.sort_array(F.collect_list(F.struct("dist", "id"))).alias("l"))
+    asked = queries.join(lists, "qid").select("qid", "vec", F.col("l.dist").alias("ds"), F.col("l.id").alias("os"))
+
+    def count(block: Block, f: pd.DataFrame) -> pd.DataFrame:
+        ids, p, out = f["id"].to_numpy(), vx.matrix(f["vec"]), []
+        room = vx.slack(block.q, p)
+        for i, qid in enumerate(block.qid):
+            d2 = vx.squared(block.q[i : i + 1], p)[0]
+            d2[ids == qid] = np.inf
+            ordered = np.sort(d2)
+            for d, o in zip(block.more["ds"][i], block.more["os"][i]):
+                width = room + d * d * 1e-9
+                n = int(np.searchsorted(ordered, d * d - width))
+                close = np.flatnonzero(np.abs(d2 - d * d) <= width)
+                if len(close):
+                    true = vx.direct(np.repeat(block.q[i : i + 1], len(close), axis=0), p[close])
+                    n += int(((true < d) | ((true == d) & (ids[close] < o))).sum())
+                out.append((qid, o, n))
+        return pd.DataFrame(out, columns=["qid", "id", "n"])
+
+    counted = against(asked, points.select("id", "vec"), count, "qid long, id long, n long", ("ds", "os"), block_bytes)
+    return counted.groupBy("qid", "id").agg((F.sum("n") + 1).cast("int").alias("rank"))
 
 
 def ranked_graph_exact(points: DataFrame, K: int) -> DataFrame:
@@ -102,27 +161,21 @@ def radius_at(radii: DataFrame, k: int) -> DataFrame:
     return radii.select("id", F.when(F.size("r") >= k, F.col("r")[k - 1]).otherwise(F.lit(float("inf"))).alias("radius"))
 
 
-def exact_rknn(queries: DataFrame, points: DataFrame, radii: DataFrame, k: int) -> DataFrame:
+def exact_rknn(queries: DataFrame, points: DataFrame, radii: DataFrame, k: int, block_bytes: int | None = None) -> DataFrame:
     """(qid, id, dist): points that count the query among their k nearest, by the definition."""
-    schema = "qid long, id long, dist double"
     scored = points.select("id", "vec").join(radius_at(radii, k), "id")
 
-    def one(qid: np.ndarray, q: np.ndarray) -> DataFrame:
-        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for f in frames:
-                if not len(f):
-                    continue
-                ids, r, p = f["id"].to_numpy(), f["radius"].to_numpy(), vx.matrix(f["vec"])
-                for lo in range(0, len(q), 1024):
-                    part = q[lo : lo + 1024]
-                    i, j = np.nonzero(vx.squared(part, p) <= (r * r)[None, :] * (1 + 1e-9) + vx.slack(part, p))
-                    d = vx.direct(part[i], p[j])
-                    ok = (d <= r[j] * (1 + ROUNDING)) & (qid[lo + i] != ids[j])
-                    yield pd.DataFrame({"qid": qid[lo + i][ok], "id": ids[j][ok], "dist": d[ok]})
-
-        return scored.mapInPandas(run, schema)
-
-    return _union([one(qid, q) for qid, q in query_blocks(queries)], points, schema)
+    def within(block: Block, f: pd.DataFrame) -> pd.DataFrame:
+        ids, r, p, out = f["id"].to_numpy(), f["radius"].to_numpy(), vx.matrix(f["vec"]), []
+        for lo in range(0, len(block.q), 1024):
+            qid, part = block.qid[lo : lo + 1024], block.q[lo : lo + 1024]
+            i, j = np.nonzero(vx.squared(part, p) <= (r * r)[None, :] * (1 + 1e-9) + vx.slack(part, p))
+            d = vx.direct(part[i], p[j])
+            ok = (d <= r[j] * (1 + ROUNDING)) & (qid[i] != ids[j])
+            out.append(pd.DataFrame({"qid": qid[i][ok], "id": ids[j][ok], "dist": d[ok]}))
+        return pd.concat(out)
+
+    return against(queries, scored, within, "qid long, id long, dist double", block_bytes=block_bytes)
 
 
 def rknn_of_member(rev: DataFrame, ids: DataFrame, k: int) -> DataFrame:

@@ -290,9 +290,7 @@ def _(spark, d):
     FROM {_truth(10)} t JOIN qd ON qd.qid = t.qid AND qd.id = t.id""")
 def _(spark, d):
     s = Set(spark, d, "t", 10)
-    # the rank of a true result: how many members lie before it, counted against the truth pairs
-    every = exact.exact_knn(s.queries, s.points, s.points.count(), True)
-    return measures.rank_profile(measures.neighbour_ranks(s.truth, every))
+    return measures.rank_profile(exact.ranks_of(s.truth, s.queries, s.points))
 
 
 @query("proxy_coverage", _cte("t", K) + f""", r AS (SELECT t.qid, t.id, min(qd.rank) FILTER (WHERE kn.rank <= 10) AS a, min(qd.rank) FILTER (WHERE kn.rank <= 50) AS b

@@ -190,3 +190,16 @@ def test_package_stands_without_the_operators():
     for p in root.glob("kinward/**/*.py"):
         if "llm" not in p.parts:
             assert not re.search(r"kinward\.llm|corpus_pipeline", p.read_text()), p
+
+
+def test_queries_in_many_blocks_give_the_same(cloud):
+    points, queries = cloud
+    radii = exact.k_radii(exact.ranked_graph_exact(points, 5)).cache()
+    one, many = (exact.exact_knn(queries, points, 7, block_bytes=b).collect() for b in (None, 200))
+    assert sorted(one) == sorted(many)
+    one, many = (exact.exact_rknn(queries, points, radii, 5, b) for b in (None, 200))
+    assert pairs(one) == pairs(many) and one.count()
+    every = exact.exact_knn(queries, points, 120)
+    want = {(r.qid, r.id): r["rank"] for r in one.select("qid", "id").join(every, ["qid", "id"]).collect()}
+    for b in (None, 300):
+        assert {(r.qid, r.id): r["rank"] for r in exact.ranks_of(one, queries, points, b).collect()} == want
