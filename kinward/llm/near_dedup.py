@@ -224,6 +224,7 @@ def _forest(node: np.ndarray, n: np.ndarray, bits: np.ndarray) -> list[tuple[int
 
 
 _EDGES = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+PART = 128  # edges of one node that travel together
 
 
 def _link_groups(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -232,13 +233,20 @@ def _link_groups(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
     at = ts.group_bounds(rec["key"])
     rec = rec[np.repeat(np.diff(at) > 1, np.diff(at))]
     at = ts.group_bounds(rec["key"])
-    edges = set()
+    edges: dict[tuple[int, int], int] = {}
     for i, j in zip(at[:-1].tolist(), at[1:].tolist()):
         g = rec[i:j]
-        edges.update((min(e), max(e)) for e in _forest(g["node"], g["n"], g["bits"]) if e[0] != e[1])
+        found = {(min(e), max(e)) for e in _forest(g["node"], g["n"], g["bits"]) if e[0] != e[1]}
+        degree: dict[int, int] = {}
+        for a, b in sorted(found):
+            nth = degree[a] = degree.get(a, -1) + 1
+            edges[a, b] = min(edges.get((a, b), nth // PART), nth // PART)
     if edges:
-        a, b = zip(*sorted(edges))
-        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_EDGES)
+        a, b = zip(*edges)
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(list(edges.values()), pa.int32())],
+            schema=_EDGES.append(pa.field("part", pa.int32())),
+        )
 
 
 def element_set(h: np.ndarray) -> bytes:
@@ -282,7 +290,7 @@ BLOCK = 1024
 
 
 def _verified(family: pa.Table) -> pa.Table:
-    """Links of a family's block (or pair of blocks) that connect its classes."""
+    """Links of a family's block (or pair of blocks) that connect its known classes."""
     nodes, sides, known = family["node"].to_numpy(), family["side"].to_numpy(), family["known"].to_numpy()
     n = family["n"].to_numpy()
     sig = ts.as_bytes(family["sig"])[0].reshape(-1, SLOTS)
@@ -321,13 +329,16 @@ def _verified(family: pa.Table) -> pa.Table:
             both = overlap(sets[i], sets[j])
             if both >= SIMILARITY * (len(sets[i]) + len(sets[j]) - both) - 1e-9:
                 root[q] = p
-                links.append((int(nodes[i]), int(nodes[j])))
+                links.append((int(known[i]), int(known[j])))
     a, b = zip(*links) if links else ((), ())
     return pa.Table.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_EDGES)
 
 
-def _verified_edges(edges: DataFrame, sets: DataFrame) -> DataFrame:
-    """The forest's edges whose documents are alike in full. A node's set is sent once for each of its edges."""
+def _tried(edges: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b, alike): whether the ends of the forest's edges are alike in full.
+
+    The edges of a common node lie in parts of bounded size, which is how often its set is sent on a side.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -336,11 +347,11 @@ def _verified_edges(edges: DataFrame, sets: DataFrame) -> DataFrame:
                 x, y = elements(x.as_py()), elements(y.as_py())
                 both = overlap(x, y)
                 keep.append(both >= SIMILARITY * (len(x) + len(y) - both) - 1e-9)
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keep, pa.bool_())], names=["a", "b", "alike"])
 
-    a = sets.select(F.col("node").alias("a"), F.col("elements").alias("ea"))
-    b = sets.select(F.col("node").alias("b"), F.col("elements").alias("eb"))
-    return edges.join(a.hint("merge"), "a").join(b.hint("merge"), "b").select("a", "b", "ea", "eb").mapInArrow(run, "a long, b long")
+    a = edges.select("a", "part").distinct().join(sets.select(F.col("node").alias("a"), F.col("elements").alias("ea")), "a")
+    b = edges.join(sets.select(F.col("node").alias("b"), F.col("elements").alias("eb")), "b")
+    return b.join(a, ["a", "part"]).select("a", "b", "ea", "eb").mapInArrow(run, "a long, b long, alike boolean")
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -365,11 +376,13 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         .agg(F.min(F.struct("node", "bands", "sig")).alias("r"), F.min(low).alias("low"))
         .select(*same, *[F.col(f"r.{c}").alias(c) for c in ("node", "bands", "sig")], "low")
     )
-    edges = ex.cut(ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long", buckets).distinct())
-    families = components(edges).withColumnRenamed("root", "family")
-    sets = ex.cut(_sets(rows, families.select("node")).dropDuplicates(["node"]))
-    alike = ex.cut(_verified_edges(edges, sets))
-    roots = components(alike.unionByName(_rest(families, alike, sets, reps)))
+    edges = ex.per_bucket(_deal_bands(reps, buckets), MEMBER, _link_groups, "a long, b long, part int", buckets)
+    edges = ex.cut(edges.groupBy("a", "b").agg(F.min("part").alias("part")))
+    nodes = edges.select(F.col("a").alias("node")).unionByName(edges.select(F.col("b").alias("node"))).distinct()
+    sets = ex.cut(_sets(rows, nodes).dropDuplicates(["node"]))
+    tried = ex.cut(_tried(edges, sets))
+    known = ex.cut(components(tried.filter("alike").select("a", "b")))
+    roots = _with_rest(nodes, known, tried.filter("NOT alike"), sets, reps)
     of = reps.select(*same, F.col("node").alias("rep"), "low")
     roots = roots.withColumnRenamed("node", "rep")
     least = of.join(roots, "rep").groupBy("root").agg(F.min("low").alias("least"))
@@ -379,18 +392,28 @@ def _classes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return out.select("node", "doc_id", F.col("of.number").alias("class_id"), F.col("of.node").alias("first"))
 
 
-def _rest(families: DataFrame, alike: DataFrame, sets: DataFrame, reps: DataFrame) -> DataFrame:
-    """Links that the forest's edges did not give: members outside a family's largest class against all of it."""
-    members = families.join(components(alike), "node", "left").withColumn("known", F.coalesce("root", "node")).drop("root")
+def _with_rest(nodes: DataFrame, known: DataFrame, failed: DataFrame, sets: DataFrame, reps: DataFrame) -> DataFrame:
+    """(node, root) of all classes: the known ones, joined by what else is alike in their families.
+
+    Edges that failed tie known classes into families; in each, members outside the largest class
+    meet all members, and links found join whole classes.
+    """
+    root = known.select(F.col("node").alias("x"), F.col("root").alias("r"))
+    ties = failed
+    for end in ("a", "b"):
+        ties = ties.join(root.withColumnRenamed("x", end).withColumnRenamed("r", f"r{end}"), end, "left")
+    ties = ties.select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b")).filter("a <> b").distinct()
+    families = components(ties).select(F.col("node").alias("known"), F.col("root").alias("family"))
+    members = nodes.join(known, "node", "left").select("node", F.coalesce("root", "node").alias("known")).join(families, "known")
     size = members.groupBy("family", "known").agg(F.count(F.lit(1)).alias("c"))
-    whole = size.groupBy("family").agg(F.max(F.struct("c", "known")).alias("top"), F.sum("c").alias("all"), F.count(F.lit(1)).alias("classes"))
-    parted = whole.filter("classes > 1").select(
+    whole = size.groupBy("family").agg(F.max(F.struct("c", "known")).alias("top"), F.sum("c").alias("all"))
+    parted = whole.select(
         "family", F.col("top.known").alias("bulk"), F.ceil(F.col("top.c") / BLOCK).cast("int").alias("nb"),
         F.ceil((F.col("all") - F.col("top.c")) / BLOCK).cast("int").alias("nr"),
     )
     placed = members.join(parted, "family").withColumn("inner", F.col("known") == F.col("bulk"))
     placed = placed.withColumn("mine", F.pmod(F.xxhash64("node"), F.when(F.col("inner"), F.col("nb")).otherwise(F.col("nr"))).cast("int"))
-    # blocks of the rest meet each other (numbers from 0) and the blocks of the bulk (numbers from nr)
+    # blocks of the rest (numbers from 0) meet each other and the blocks of the bulk (numbers from nr)
     rest = F.sequence(F.lit(0), F.col("nr") - 1)
     others = F.when(F.col("inner"), rest).otherwise(F.concat(rest, F.sequence(F.col("nr"), F.col("nr") + F.col("nb") - 1)))
     placed = placed.withColumn("mine", F.when(F.col("inner"), F.col("mine") + F.col("nr")).otherwise(F.col("mine")))
@@ -399,7 +422,10 @@ def _rest(families: DataFrame, alike: DataFrame, sets: DataFrame, reps: DataFram
         "family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
         F.when(F.col("mine") > F.col("other"), 1).otherwise(0).alias("side"), "node", "known", "n", "sig", "elements",
     )
-    return dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long")
+    links = dealt.groupBy("family", "i", "j").applyInArrow(_verified, "a long, b long")
+    joined = components(links).select(F.col("node").alias("known"), F.col("root").alias("top"))
+    every = known.unionByName(joined.select(F.col("known").alias("node"), F.col("known").alias("root"))).distinct()
+    return every.join(joined.withColumnRenamed("known", "root"), "root", "left").select("node", F.coalesce("top", "root").alias("root"))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
