@@ -1,4 +1,10 @@
-"""The hybrid index: nav graph, ranked graph, reverse postings and radii as Parquet views with a manifest."""
+"""The hybrid index: nav graph, ranked graph, reverse postings and radii as versioned Parquet views.
+
+Every view lies in folders by version. A version is visible once its manifest is written, so a
+batch that fails, or runs again, leaves readers with the version before. A row of knn, rev and
+radii is live if its owner's list has not been written since, a row of nav if its links have not;
+``compact`` writes the live rows as a new base.
+"""
 
 from __future__ import annotations
 
@@ -10,9 +16,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kinward.functions import vectors as vx
-from kinward.operators import exact, navigate, postings, proxy, ranked_graph
+from kinward.operators import exact, maintain, navigate, postings, proxy, ranked_graph
+from kinward.sources.shared import cut
 
 VIEWS = ("points", "nav", "knn", "rev", "radii")
+OWNER = {"knn": "src", "rev": "src", "radii": "id"}
+NAV_KEY = ["kind", "cell", "layer", "src"]
+
+#: Bytes of an entry of each view, without file format: a slot, a link, (id, rank, distance) twice, a distance.
+WIDTH = {"points": 8, "nav": 8, "knn": 20, "rev": 20, "radii": 8}
 
 
 @dataclass
@@ -21,13 +33,45 @@ class HybridIndex:
     path: str
     manifest: dict
 
+    def _rows(self, name: str) -> DataFrame:
+        rows = self.spark.read.parquet(f"{self.path}/{name}")
+        return rows.filter(F.col("version").between(self.manifest["base"], self.manifest["version"]))
+
     def view(self, name: str) -> DataFrame:
-        return self.spark.read.parquet(f"{self.path}/{name}")
+        """The live rows of a view."""
+        rows, base = self._rows(name), self.manifest["base"]
+        own = [c for c in rows.columns if c != "version"]
+        if name == "points" or self.manifest["version"] == base:
+            return rows.select(own)
+        key = NAV_KEY if name == "nav" else [OWNER[name]]
+        if name == "nav":  # a cell has one entry, wherever it lies
+            rows = rows.withColumn("kw_src", F.when(F.col("kind") == "entry", -1).otherwise(F.col("src")))
+            rows = rows.withColumn("kw_layer", F.when(F.col("kind") == "entry", -1).otherwise(F.col("layer")))
+            key = ["kind", "cell", "kw_layer", "kw_src"]
+            last = rows.filter(F.col("version") > base).groupBy(*key).agg(F.max("version").alias("kw_last"))
+        else:
+            touched = self._rows("touched")
+            last = touched.groupBy(F.col("src").alias(key[0])).agg(F.max("version").alias("kw_last"))
+        live = rows.join(last, key, "left").filter(F.col("version") == F.coalesce("kw_last", F.lit(base)))
+        return live.select(own)
 
     @property
     def centres(self) -> np.ndarray:
         return np.array(self.manifest["pivots"])
 
+    @property
+    def splits(self) -> np.ndarray:
+        return np.array(self.manifest["splits"], np.int32)
+
+    def _put(self, name: str, rows: DataFrame, version: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{self.path}/{name}/version={version}")
+
+    def _commit(self, **changes) -> HybridIndex:
+        manifest = self.manifest | changes
+        text = self.spark.createDataFrame([(json.dumps(manifest),)], "manifest string")
+        text.coalesce(1).write.mode("overwrite").text(f"{self.path}/manifest/version={manifest['version']}")
+        return HybridIndex(self.spark, self.path, manifest)
+
     @staticmethod
     def build(
         points: DataFrame, path: str, K: int = 100, M: int = 16, ef_c: int = 100, max_iters: int = 6, seed_mode: str = "nav",
@@ -38,46 +82,126 @@ class HybridIndex:
         dim = vx.checked(points)
         n = points.count()
         asked, K = K, max(1, min(K, n - 1))
-        points.select("id", "vec").write.mode("overwrite").parquet(f"{path}/points")
-        points = spark.read.parquet(f"{path}/points")
         _, centres = navigate.pivots(points, max(1, -(-n // cell_rows)))
-        navigate.build_nav(points, centres, M, ef_c, K).write.mode("overwrite").parquet(f"{path}/nav")
-        nav = spark.read.parquet(f"{path}/nav")
-        start = ranked_graph.seed_from_nav(navigate.seeds_of(nav), K) if seed_mode == "nav" else ranked_graph.seed_random(points, K)
+        splits = navigate.splits_of(points, centres, cell_rows)
+        index = HybridIndex(spark, path, {
+            "n": n, "dim": dim, "K": K, "K_asked": asked, "M": M, "ef_c": ef_c, "seed_mode": seed_mode, "version": 1, "base": 1,
+            "pivots": centres.tolist(), "splits": splits.tolist(), "batch": -1,
+        })
+        index._put("points", navigate.assign_cells(points, centres, splits), 1)
+        points = index.view("points")
+        index._put("nav", navigate.build_nav(points, centres, M, ef_c, K, splits), 1)
+        seeds = navigate.seeds_of(index.view("nav"))
+        if seed_mode != "nav":
+            start = ranked_graph.seed_random(points, K)
+        elif int(splits.sum()) == 1:
+            start = ranked_graph.seed_from_nav(seeds, K)
+        else:
+            start = ranked_graph.seed_mixed(points, seeds, K)
         knn, log = ranked_graph.refine(points, start, K, max_iters, sample=sample)
-        knn.write.mode("overwrite").parquet(f"{path}/knn")
-        knn = spark.read.parquet(f"{path}/knn")
-        postings.transpose(knn).write.mode("overwrite").parquet(f"{path}/rev")
-        exact.k_radii(knn).write.mode("overwrite").parquet(f"{path}/radii")
-        manifest = {
-            "n": n, "dim": dim, "K": K, "K_asked": asked, "M": M, "ef_c": ef_c, "seed_mode": seed_mode, "version": 1,
-            "rounds": log, "pivots": centres.tolist(),
-        }
-        spark.createDataFrame([(json.dumps(manifest),)], "manifest string").coalesce(1).write.mode("overwrite").text(f"{path}/manifest")
-        return HybridIndex(spark, path, manifest)
+        index._put("knn", knn, 1)
+        index._put("rev", postings.transpose(index.view("knn")), 1)
+        index._put("radii", exact.k_radii(index.view("knn")), 1)
+        return index._commit(rounds=log)
 
     @staticmethod
     def load(spark: SparkSession, path: str) -> HybridIndex:
-        return HybridIndex(spark, path, json.loads(spark.read.text(f"{path}/manifest").first()[0]))
+        """The newest version that was finished."""
+        rows = spark.read.text(f"{path}/manifest").orderBy(F.desc("version")).limit(1).select("value").first()
+        return HybridIndex(spark, path, json.loads(rows[0]))
+
+    def insert(self, new: DataFrame, m: int = 20, theta: int = 50, n_probe: int = 4, batch: int | None = None) -> HybridIndex:
+        """The index with a batch of points (id, vec): nav links, own lists from the insertion search, refreshed lists, postings, radii.
+
+        ``batch`` numbers the batches of a stream; one that was finished is passed over.
+        """
+        if batch is not None and batch <= self.manifest["batch"]:
+            return self
+        K, version = self.manifest["K"], self.manifest["version"] + 1
+        new = cut(new.select("id", "vec"))
+        added = new.count()
+        numbered = self.manifest["batch"] if batch is None else batch
+        if not added:
+            return self._commit(batch=numbered)
+        dim = vx.checked(new, "new points")
+        old = self.view("points")
+        if dim != self.manifest["dim"]:
+            raise ValueError(f"new points have {dim} slots, the index {self.manifest['dim']}")
+        if not old.join(new, "id", "left_semi").isEmpty():
+            raise ValueError("new points repeat ids of the index")
+        ef = max(self.manifest["ef_c"], K, m)
+        self._put("nav", navigate.nav_insert(self.view("nav"), old, new, self.centres, self.manifest["M"], ef, n_probe, self.splits), version)
+        met = navigate.seeds_of(self.spark.read.parquet(f"{self.path}/nav/version={version}"))
+        met = cut(met.filter("src <> dst").groupBy("src", "dst").agg(F.min("dist").alias("dist")))
+        fresh = new.select(F.col("id").alias("dst"))
+        both = met.unionByName(met.join(fresh, "dst", "left_semi").select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist")).distinct()
+        own = ranked_graph.top_k(both, K).select("src", "dst", "dist")
+        members = ranked_graph.top_k(met.join(fresh, "dst", "left_anti"), m)
+        near = members.select(F.col("src").alias("qid"), F.col("dst").alias("id"), F.col("rank").alias("prank"), F.col("dist").alias("pdist"))
+        knn, rev = self.view("knn"), self.view("rev")
+        hit = maintain.affected_approx(old, knn, rev, new, K, m, min(theta, K), near)
+        changed = cut(maintain.refreshed(knn, hit, own, K))
+        self._put("points", navigate.assign_cells(new, self.centres, self.splits), version)
+        self._put("touched", changed.select("src").distinct(), version)
+        self._put("knn", changed, version)
+        self._put("rev", postings.transpose(changed), version)
+        self._put("radii", exact.k_radii(changed), version)
+        return self._commit(version=version, n=self.manifest["n"] + added, batch=numbered)
+
+    def compact(self) -> HybridIndex:
+        """The live rows of all views as a new base; folders of older versions may be removed afterwards."""
+        version = self.manifest["version"] + 1
+        for name in VIEWS:
+            self._put(name, self.view(name), version)
+        return self._commit(version=version, base=version)
 
     def describe(self) -> DataFrame:
-        """(view, entries): what each view holds, in list entries."""
-        size = lambda name, e: self.view(name).agg(F.sum(e).cast("long").alias("entries")).select(F.lit(name).alias("view"), "entries")
+        """(view, entries, bytes, ratio): list entries, their bytes without file format, and (view + points) / points."""
+        size = lambda name, e: self.view(name).agg(F.coalesce(F.sum(e), F.lit(0)).cast("long").alias("entries")).select(F.lit(name).alias("view"), "entries")
         out = size("points", F.size("vec"))
         for name, e in (("nav", F.when(F.col("kind") == "edge", F.size("dsts")).otherwise(0)), ("knn", F.lit(1)), ("rev", F.lit(1)), ("radii", F.size("r"))):
             out = out.unionByName(size(name, e))
+        width = F.create_map(*[F.lit(x) for pair in WIDTH.items() for x in pair])
+        base = self.manifest["n"] * self.manifest["dim"] * WIDTH["points"]
+        out = out.withColumn("bytes", F.col("entries") * width[F.col("view")])
+        more = F.when(F.col("view") == "points", 0).otherwise(F.col("bytes"))
+        return out.withColumn("ratio", F.round((more + base) / base, 6))
+
+    def file_bytes(self) -> dict[str, int]:
+        """Bytes of every view's files, older versions included."""
+        sc = self.spark.sparkContext
+        out = {}
+        for name in VIEWS:
+            at = sc._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+            out[name] = int(at.getFileSystem(sc._jsc.hadoopConfiguration()).getContentSummary(at).getLength())
         return out
 
-    def proxies(self, queries: DataFrame, m: int, ef: int, nav: str = "hnsw", n_probe: int = 4) -> DataFrame:
+    def proxies(self, queries: DataFrame, m: int, ef: int, nav: str = "hnsw", n_probe: int = 4, width: int = 8) -> DataFrame:
+        """The m nearest members by the nav graph; ``flat`` by a scan, ``relational`` by joins over the ground links, ``nsg`` by a flat graph."""
+        points = self.view("points")
         if nav == "flat":
-            return proxy.flat_proxies(queries, self.view("points"), m)
-        return navigate.graph_search(self.view("nav"), self.view("points"), queries, self.centres, m, ef, n_probe)
-
-    def search(self, queries: DataFrame, opt: proxy.SearchOptions, nav: str = "hnsw", bounds: bool = True) -> DataFrame:
-        """(qid, id, dist): reverse neighbours of the queries."""
+            return proxy.flat_proxies(queries, points, m)
+        if nav == "nsg":
+            graph = cut(navigate.build_nsg(points, self.view("knn"), self.centres))
+            return navigate.graph_search(graph, points, queries, self.centres, m, ef, n_probe, splits=self.splits)
+        if nav == "relational":
+            links = self.view("knn").select("src", "dst").unionByName(self.view("rev").select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
+            entry = points.agg(F.min_by("id", F.xxhash64("id"))).first()[0]
+            found = navigate.beam_relational(links, points, queries, entry, m + 1, ef, width).filter("qid <> id")
+            by = F.row_number().over(navigate.Window.partitionBy("qid").orderBy("pdist", "id"))
+            return found.withColumn("prank", by).filter(F.col("prank") <= m)
+        if nav != "hnsw":
+            raise ValueError(f"no navigation called {nav}")
+        return navigate.graph_search(self.view("nav"), points, queries, self.centres, m, ef, n_probe, splits=self.splits)
+
+    def search(
+        self, queries: DataFrame, opt: proxy.SearchOptions, nav: str = "hnsw", bounds: bool = True, radii: DataFrame | None = None
+    ) -> DataFrame:
+        """(qid, id, dist): reverse neighbours of the queries; ``radii`` replace the stored ones (an ablation)."""
         opt.check(self.manifest["K"])
         near = self.proxies(queries, opt.m, opt.ef or max(2 * opt.m, 64), nav)
-        return proxy.proxy_rknn(queries, self.view("points"), self.view("rev"), self.view("radii"), opt, near, bounds)
+        held = self.view("radii") if radii is None else radii
+        return proxy.proxy_rknn(queries, self.view("points"), self.view("rev"), held, opt, near, bounds)
 
     def all_rknn(self, k: int) -> DataFrame:
         """Influence join: reverse neighbours of every member."""

@@ -1,8 +1,9 @@
 """Navigation: layered small-world graphs by cell, a flat-graph alternative, and searches on them.
 
 A cell is what one task builds: its points are inserted in hash order. Cells are the regions of
-pivots (a bounded hash sample); queries are routed to the nearest ones. Layers follow the usual
-exponential law of a hash, so levels agree on every run.
+pivots (a bounded hash sample); a region that holds more than a task should is split by a hash of
+the id, however alike its points are. Queries are routed to the nearest regions, in all their
+splits. Layers follow the usual exponential law of a hash, so levels agree on every run.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinward.functions import vectors as vx
@@ -24,12 +25,6 @@ MAX_PIVOTS = 65_536
 NAV = "kind string, cell int, layer int, src long, dsts array<long>, dists array<double>"
 
 
-def level_of(id_col: Column, m_l: float, seed: int = 1) -> Column:
-    """Layer of a point: floor(-ln(u) * m_l) of its hash."""
-    u = (F.shiftrightunsigned(F.xxhash64(id_col, F.lit(seed)), 11).cast("double") + 1) / float(1 << 53)
-    return F.floor(-F.log(u) * m_l).cast("int")
-
-
 def pivots(points: DataFrame, cells: int) -> tuple[np.ndarray, np.ndarray]:
     """Ids and vectors of the points of least hash, one a cell; bounded by MAX_PIVOTS."""
     if cells > MAX_PIVOTS:
@@ -38,27 +33,47 @@ def pivots(points: DataFrame, cells: int) -> tuple[np.ndarray, np.ndarray]:
     return rows["id"].to_numpy(), vx.matrix(rows["vec"])
 
 
-def assign_cells(points: DataFrame, centres: np.ndarray) -> DataFrame:
-    """``points`` with the cell of their nearest pivot."""
+def splits_of(points: DataFrame, centres: np.ndarray, cell_rows: int = CELL_ROWS) -> np.ndarray:
+    """Into how many cells every pivot's region is split, so that none holds much more than ``cell_rows``."""
+    counts = assign_cells(points, centres).groupBy("cell").count().collect()  # MAX_PIVOTS rows at most
+    out = np.ones(len(centres), np.int32)
+    for cell, n in counts:
+        out[cell] = max(1, -(-n // cell_rows))
+    return out
+
+
+def _mixed(ids: np.ndarray) -> np.ndarray:
+    x = ids.astype(np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return x ^ x >> np.uint64(29)
+
+
+def assign_cells(points: DataFrame, centres: np.ndarray, splits: np.ndarray | None = None) -> DataFrame:
+    """``points`` with the cell of their nearest pivot; split s of region c is cell c + s * len(centres)."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            cell = vx.squared(vx.matrix(f["vec"]), centres).argmin(axis=1) if len(f) else np.zeros(0)
+            cell = vx.squared(vx.matrix(f["vec"]), centres).argmin(axis=1) if len(f) else np.zeros(0, np.int64)
+            if splits is not None and len(f):
+                cell = cell + (_mixed(f["id"].to_numpy()) % splits[cell].astype(np.uint64)).astype(np.int64) * len(centres)
             yield f.assign(cell=cell.astype(np.int32))
 
     return points.select("id", "vec").mapInPandas(run, "id long, vec array<double>, cell int")
 
 
-def route(queries: DataFrame, centres: np.ndarray, n_probe: int) -> DataFrame:
-    """(qid, vec, cell): every query with its ``n_probe`` nearest cells."""
+def route(queries: DataFrame, centres: np.ndarray, n_probe: int, splits: np.ndarray | None = None) -> DataFrame:
+    """(qid, vec, cell): every query with its ``n_probe`` nearest regions, in all their splits."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             if not len(f):
                 continue
             near = np.argsort(vx.squared(vx.matrix(f["vec"]), centres), axis=1, kind="stable")[:, :n_probe]
-            at = np.repeat(np.arange(len(f)), near.shape[1])
-            yield pd.DataFrame({"qid": f["qid"].to_numpy()[at], "vec": f["vec"].to_numpy()[at], "cell": near.ravel().astype(np.int32)})
+            at, cell = np.repeat(np.arange(len(f)), near.shape[1]), near.ravel()
+            if splits is not None:
+                n = splits[cell]
+                step = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                at, cell = np.repeat(at, n), np.repeat(cell, n) + step * len(centres)
+            yield pd.DataFrame({"qid": f["qid"].to_numpy()[at], "vec": f["vec"].to_numpy()[at], "cell": cell.astype(np.int32)})
 
     return queries.select("qid", "vec").mapInPandas(run, "qid long, vec array<double>, cell int")
 
@@ -70,6 +85,7 @@ class Layers:
         self.x, self.M, self.ef_c = x, M, ef_c
         self.links: list[dict[int, list[int]]] = []
         self.entry = -1
+        self.changed: set[tuple[int, int]] = set()  # (layer, node) whose links were written
 
     def far(self, q: np.ndarray, nodes: list[int]) -> np.ndarray:
         d = self.x[nodes] - q
@@ -130,6 +146,7 @@ class Layers:
     def insert(self, v: int, level: int) -> list[tuple[float, int]]:
         """Add row v; what its search of the ground layer met."""
         q = self.x[v]
+        self.changed.update((layer, v) for layer in range(level + 1))
         if self.entry < 0:
             self.links = [{v: []} for _ in range(level + 1)]
             self.entry = v
@@ -143,6 +160,7 @@ class Layers:
             room = self.M if layer else 2 * self.M
             links = self.links[layer]
             links[v] = self.pick(found, self.M)
+            self.changed.update((layer, u) for u in links[v])
             for u in links[v]:
                 links[u].append(v)
                 if len(links[u]) > room:
@@ -170,7 +188,7 @@ def build_layers(ids: np.ndarray, x: np.ndarray, M: int, ef_c: int) -> tuple[Lay
     return g, met
 
 
-def build_nav(points: DataFrame, centres: np.ndarray, M: int = 16, ef_c: int = 100, K: int = 100) -> DataFrame:
+def build_nav(points: DataFrame, centres: np.ndarray, M: int = 16, ef_c: int = 100, K: int = 100, splits: np.ndarray | None = None) -> DataFrame:
     """Rows of kind 'edge' (layered links) and 'seed' (what insertion met), one task a cell."""
 
     def build(frame: pd.DataFrame) -> pd.DataFrame:
@@ -183,7 +201,72 @@ def build_nav(points: DataFrame, centres: np.ndarray, M: int = 16, ef_c: int = 1
         rows += [("seed", cell, 0, ids[v], [int(ids[u]) for _, u in m[:K]], [d for d, _ in m[:K]]) for v, m in enumerate(met) if m]
         return pd.DataFrame(rows, columns=["kind", "cell", "layer", "src", "dsts", "dists"])
 
-    return assign_cells(points, centres).groupBy("cell").applyInPandas(build, NAV)
+    return _in_cells(points, centres, splits).groupBy("cell").applyInPandas(build, NAV)
+
+
+def _in_cells(points: DataFrame, centres: np.ndarray, splits: np.ndarray | None = None) -> DataFrame:
+    """Points with their cell: the stored one, or assigned now."""
+    return points.select("id", "vec", "cell") if "cell" in points.columns else assign_cells(points, centres, splits)
+
+
+def restored(g: pd.DataFrame, M: int = 16, ef_c: int = 100) -> tuple[np.ndarray, Layers]:
+    """Ids and graph of a cell from its rows (kind, layer, src, dsts, vec)."""
+    ground = g[(g["kind"] == "edge") & (g["layer"] == 0)].sort_values("src")
+    ids = ground["src"].to_numpy()
+    layers = Layers(vx.matrix(ground["vec"]), M, ef_c)
+    at = {int(v): i for i, v in enumerate(ids)}
+    edges = g[g["kind"] == "edge"]
+    layers.links = [{} for _ in range(int(edges["layer"].max()) + 1)]
+    for layer, src, dsts in zip(edges["layer"], edges["src"], edges["dsts"]):
+        layers.links[layer][at[int(src)]] = [at[int(d)] for d in dsts]
+    layers.entry = at[int(g[g["kind"] == "entry"]["src"].iloc[0])]
+    return ids, layers
+
+
+def nav_insert(
+    nav: DataFrame, points: DataFrame, new: DataFrame, centres: np.ndarray, M: int = 16, ef_c: int = 100, n_probe: int = 4,
+    splits: np.ndarray | None = None,
+) -> DataFrame:
+    """Rows of NAV that inserting the new points writes: changed links, entries, and what the searches met as seeds.
+
+    Only cells that arrivals fall into, or look into, are read. A new point is linked in its own cell
+    and also searched for in the other probed cells, so its list may cross borders.
+    """
+    home = _in_cells(new, centres, splits).select(F.col("id").alias("qid"), F.col("cell").alias("home"))
+    asked = route(new.select(F.col("id").alias("qid"), "vec"), centres, n_probe, splits).join(home, "qid")
+    asked = asked.unionByName(  # the own cell, should the routing not name it
+        _in_cells(new, centres, splits).select(F.col("id").alias("qid"), "vec", "cell", F.col("cell").alias("home"))
+    ).dropDuplicates(["qid", "cell"])
+    held = _in_cells(points, centres, splits).select("cell", F.col("id").alias("src"), "vec")
+    probed = asked.select("cell").distinct()
+    graph = nav.filter("kind <> 'seed'").select("cell", "kind", "layer", "src", "dsts").join(probed, "cell", "left_semi").join(held, ["cell", "src"])
+
+    def grow(key, q: pd.DataFrame, g: pd.DataFrame) -> pd.DataFrame:
+        if not len(q):
+            return pd.DataFrame({c: [] for c in ("kind", "cell", "layer", "src", "dsts", "dists")})
+        cell = int(key[0])
+        q = q.sort_values("qid")
+        x, mine = vx.matrix(q["vec"]), (q["home"] == cell).to_numpy()
+        fresh = q["qid"].to_numpy()
+        if len(g):
+            ids, layers = restored(g, M, ef_c)
+        else:
+            ids, layers = np.zeros(0, np.int64), Layers(np.zeros((0, x.shape[1])), M, ef_c)
+        entry = (len(layers.links), layers.entry)
+        seeds = []
+        if len(ids):
+            seeds += [(fresh[i], layers.nearest(x[i], ef_c, ef_c)) for i in np.flatnonzero(~mine)]
+        base = len(ids)
+        layers.x, ids = np.concatenate([layers.x, x[mine]]), np.concatenate([ids, fresh[mine]])
+        for i, (qid, level) in enumerate(zip(fresh[mine], _levels(fresh[mine], M))):
+            seeds.append((qid, layers.insert(base + i, int(level))))
+        rows = [("edge", cell, layer, ids[v], ids[layers.links[layer][v]].tolist() if layers.links[layer][v] else [], []) for layer, v in sorted(layers.changed)]
+        if layers.entry >= 0 and (len(layers.links), layers.entry) != entry:
+            rows.append(("entry", cell, len(layers.links) - 1, ids[layers.entry], [], []))
+        rows += [("seed", cell, 0, qid, [int(ids[u]) for _, u in met], [d for d, _ in met]) for qid, met in seeds if met]
+        return pd.DataFrame(rows, columns=["kind", "cell", "layer", "src", "dsts", "dists"])
+
+    return asked.groupBy("cell").cogroup(graph.groupBy("cell")).applyInPandas(grow, NAV)
 
 
 def seeds_of(nav: DataFrame) -> DataFrame:
@@ -246,27 +329,24 @@ def build_nsg(points: DataFrame, knn: DataFrame, centres: np.ndarray, R: int = 3
 
 def graph_search(
     nav: DataFrame, points: DataFrame, queries: DataFrame, centres: np.ndarray, m: int, ef: int, n_probe: int = 4, beam: str = "classic",
-    drop_self: bool = True,
+    drop_self: bool = True, splits: np.ndarray | None = None,
 ) -> DataFrame:
-    """(qid, id, prank, pdist): the m nearest found by a beam in each probed cell, merged."""
+    """(qid, id, prank, pdist): the m nearest found by a beam in each probed cell, merged.
+
+    Points that carry their ``cell`` are not assigned anew, and only probed cells are read.
+    """
     if ef < m:
         raise ValueError("ef must be at least m")
-    held = assign_cells(points, centres).select("cell", F.col("id").alias("src"), "vec")
+    asked = route(queries, centres, n_probe, splits)
+    probed = asked.select("cell").distinct()
+    held = _in_cells(points, centres, splits).join(probed, "cell", "left_semi").select("cell", F.col("id").alias("src"), "vec")
     graph = nav.filter("kind <> 'seed'").select("cell", "kind", "layer", "src", "dsts").join(held, ["cell", "src"])
     want = m + (1 if drop_self else 0)
 
     def find(key, q: pd.DataFrame, g: pd.DataFrame) -> pd.DataFrame:
         if not len(g) or not len(q):
             return pd.DataFrame({"qid": [], "id": [], "pdist": []})
-        ground = g[(g["kind"] == "edge") & (g["layer"] == 0)].sort_values("src")
-        ids, x = ground["src"].to_numpy(), vx.matrix(ground["vec"])
-        at = {int(v): i for i, v in enumerate(ids)}
-        layers = Layers(x)
-        layers.links = [{} for _ in range(int(g["layer"].max()) + 1)]
-        edges = g[g["kind"] == "edge"]
-        for layer, src, dsts in zip(edges["layer"], edges["src"], edges["dsts"]):
-            layers.links[layer][at[int(src)]] = [at[int(d)] for d in dsts]
-        layers.entry = at[int(g[g["kind"] == "entry"]["src"].iloc[0])]
+        ids, layers = restored(g)
         rows = [
             (qid, int(ids[v]), d)
             for qid, vec in zip(q["qid"], q["vec"])
@@ -274,7 +354,6 @@ def graph_search(
         ]
         return pd.DataFrame(rows, columns=["qid", "id", "pdist"])
 
-    asked = route(queries, centres, n_probe)
     found = asked.groupBy("cell").cogroup(graph.groupBy("cell")).applyInPandas(find, "qid long, id long, pdist double")
     if drop_self:
         found = found.filter("qid <> id")
@@ -282,15 +361,18 @@ def graph_search(
     return found.withColumn("prank", rank).filter(F.col("prank") <= m).select("qid", "id", "prank", "pdist")
 
 
-def beam_relational(adjacency: DataFrame, points: DataFrame, queries: DataFrame, entry: int, m: int, ef: int, max_hops: int = 200, width: int = 1) -> DataFrame:
-    """(qid, id, prank, pdist) by joins: all queries advance together, one expansion a round."""
+def beam_relational(adjacency: DataFrame, points: DataFrame, queries: DataFrame, entry: int, m: int, ef: int, width: int = 4) -> DataFrame:
+    """(qid, id, prank, pdist) by joins: all queries advance together, ``width`` expansions a round.
+
+    Rounds go on until every query has expanded all it keeps; a node is visited once, so they end.
+    """
     from kinward.functions.vectors import l2
 
     q = queries.select("qid", F.col("vec").alias("qvec"))
     start = points.filter(F.col("id") == entry).select(F.col("id").alias("node"), "vec")
     kept = cut(q.crossJoin(F.broadcast(start)).select("qid", "node", l2(F.col("qvec"), F.col("vec")).alias("d"), F.lit(False).alias("done")))  # one entry
     visited = cut(kept.select("qid", "node"))
-    for _ in range(max_hops):
+    while True:
         by = Window.partitionBy("qid").orderBy("d", "node")
         picks = cut(kept.filter("NOT done").withColumn("r", F.row_number().over(by)).filter(F.col("r") <= width).select("qid", "node"))
         if picks.isEmpty():

@@ -51,6 +51,14 @@ def seed_from_nav(seeds: DataFrame, K: int) -> DataFrame:
     return top_k(both.filter("src <> dst").groupBy("src", "dst").agg(F.min("dist").alias("dist")), K).select("src", "rank", "dst", "dist")
 
 
+def seed_mixed(points: DataFrame, seeds: DataFrame, K: int, share: float = 0.2) -> DataFrame:
+    """Seeds of several cells, which know no neighbour beyond their cell, with a share of each list drawn from all points."""
+    drawn = max(2, int(K * share))
+    far = seed_random(points, drawn).select("src", "dst", "dist")
+    near = seed_from_nav(seeds, max(1, K - drawn)).select("src", "dst", "dist")
+    return top_k(near.unionByName(far).groupBy("src", "dst").agg(F.min("dist").alias("dist")), K).select("src", "rank", "dst", "dist")
+
+
 def _meet(frame: pd.DataFrame, K: int) -> pd.DataFrame:
     frame = frame.sort_values("member")
     ids, new, x = frame["member"].to_numpy(), frame["is_new"].to_numpy(), vx.matrix(frame["vec"])

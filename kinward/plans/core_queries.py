@@ -465,7 +465,7 @@ def _(spark, d):
     s = Set(spark, d, "e", 20)
     both = s.knn.select("src", "dst").unionByName(s.knn.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct().cache()
     entry = s.points.agg(F.min("id")).first()[0]
-    found = navigate.beam_relational(both, s.points, s.queries, entry, 11, 40, 60, 8).filter("qid <> id")
+    found = navigate.beam_relational(both, s.points, s.queries, entry, 11, 40, 8).filter("qid <> id")
     hit = found.join(s.proxies.filter("prank <= 10").select("qid", "id"), ["qid", "id"], "left_semi").count()
     return _fact(spark, recall_ok=hit >= 0.9 * s.queries.count() * 10)
 

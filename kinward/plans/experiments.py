@@ -162,7 +162,7 @@ def scale(spark: SparkSession, d: str, kind: str = "t") -> DataFrame:
 def locality(spark: SparkSession, d: str, kind: str = "t") -> DataFrame:
     """(theta, m, share): what proxies reach, beside which plain expansion of m points would."""
     s = Set(spark, d, kind)
-    ranks = measures.neighbour_ranks(s.truth, exact.exact_knn(s.queries, s.points, 200, True))
+    ranks = exact.ranks_of(s.truth, s.queries, s.points)
     total = s.truth.count()
     plain = ranks.groupBy().agg(*[F.round(F.count_if(F.col("rank") <= m) / total, 6).alias(str(m)) for m in (1, 5, 20)]).first()
     cover = measures.proxy_coverage(s.truth, s.proxies, s.knn, [10, 50, 100], [1, 5, 20])

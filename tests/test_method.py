@@ -203,3 +203,49 @@ def test_queries_in_many_blocks_give_the_same(cloud):
     want = {(r.qid, r.id): r["rank"] for r in one.select("qid", "id").join(every, ["qid", "id"]).collect()}
     for b in (None, 300):
         assert {(r.qid, r.id): r["rank"] for r in exact.ranks_of(one, queries, points, b).collect()} == want
+
+
+def test_index_insertion(spark, cloud, tmp_path):
+    points, queries = cloud
+    index = HybridIndex.build(points.filter("id < 90"), str(tmp_path / "grown"), 20, 8, 40, 4, cell_rows=30)
+    assert len(index.centres) == 3
+    for lo, hi in ((90, 105), (105, 120)):
+        index = index.insert(points.filter(f"id >= {lo} AND id < {hi}"), 15, 20, batch=lo)
+    index.insert(points.filter("id >= 105"), batch=105)  # a batch that is delivered twice
+    with pytest.raises(ValueError):
+        index.insert(points.filter("id = 3"))
+    index = HybridIndex.load(spark, index.path)
+    assert index.manifest["n"] == index.view("points").count() == 120
+    opt, fresh = proxy.SearchOptions(5, 10, 20), exact.ranked_graph_exact(points, 20).cache()
+    truth = exact.exact_rknn(queries, points, exact.k_radii(fresh), 5).cache()
+
+    def consistent(i):
+        knn = i.view("knn").cache()
+        assert knn.count() == 120 * 20 and knn.select("src", "rank").distinct().count() == 2400
+        assert i.view("rev").exceptAll(postings.transpose(knn)).isEmpty() and i.view("rev").count() == 2400
+        assert i.view("radii").exceptAll(exact.k_radii(knn)).isEmpty() and i.view("radii").count() == 120
+        nav = i.view("nav")
+        assert nav.filter("kind = 'edge' AND layer = 0").count() == nav.filter("kind = 'edge' AND layer = 0").select("src").distinct().count() == 120
+        assert nav.filter("kind = 'entry'").count() == nav.select("cell").distinct().count()
+        assert measures.graph_recall(knn, fresh, 10).first()[0] >= 0.9
+        return pairs(i.search(queries, opt))
+
+    before = consistent(index)
+    assert measures.recall(truth, index.search(queries, opt), queries) >= 0.9
+    assert consistent(index.compact()) == before
+    for nav in ("flat", "relational", "nsg"):
+        assert measures.recall(truth, index.search(queries, opt, nav), queries) >= 0.9, nav
+
+
+def test_cells_of_alike_points_are_split(spark):
+    rng = np.random.default_rng(5)
+    points = frame(spark, [(i, (1.0, 1.0)) for i in range(200)] + [(200 + i, v) for i, v in enumerate(rng.normal(size=(100, 2)))]).cache()
+    _, centres = navigate.pivots(points, 4)
+    splits = navigate.splits_of(points, centres, 60)
+    cells = navigate.assign_cells(points, centres, splits).groupBy("cell").count().collect()
+    assert max(r[1] for r in cells) < 120 and splits.max() >= 3
+    q = frame(spark, [(1000, (1.0, 1.0)), (1001, (0.0, 0.0))], "qid")
+    nav = navigate.build_nav(points, centres, 8, 40, 10, splits).cache()
+    near = navigate.graph_search(nav, points, q, centres, 5, 40, len(centres), splits=splits)
+    flat = proxy.flat_proxies(q, points, 5)
+    assert sorted(round(r.pdist, 9) for r in near.collect()) == sorted(round(r.pdist, 9) for r in flat.collect())
