@@ -322,7 +322,7 @@ def build_nsg(points: DataFrame, knn: DataFrame, centres: np.ndarray, R: int = 3
         return pd.DataFrame(rows, columns=["kind", "cell", "layer", "src", "dsts", "dists"])
 
     lists = knn.groupBy("src").agg(F.collect_list("dst").alias("dsts"))
-    held = assign_cells(points, centres).join(lists.withColumnRenamed("src", "id"), "id", "left")
+    held = _in_cells(points, centres).join(lists.withColumnRenamed("src", "id"), "id", "left")
     held = held.withColumn("dsts", F.coalesce("dsts", F.array().cast("array<long>")))
     return held.groupBy("cell").applyInPandas(build, NAV)
 
