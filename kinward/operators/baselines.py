@@ -148,16 +148,32 @@ def hop_candidates(graph: DataFrame, entries: DataFrame, hops: int) -> DataFrame
     return reached
 
 
-def hop_rknn(graph: DataFrame, queries: DataFrame, points: DataFrame, k: int, hops: int) -> DataFrame:
-    """(qid, id, dist): hop expansion from the nearest member, verified online."""
-    entry = proxy.flat_proxies(queries, points, 1).select("qid", "id")
+def hop_rknn(
+    graph: DataFrame, queries: DataFrame, points: DataFrame, k: int, hops: int | None = None, entries: DataFrame | None = None
+) -> DataFrame:
+    """(qid, id, dist): expansion by ``hops`` (default k) from the nearest member, verified online.
+
+    ``entries`` (qid, id) come from the upper layers of a hierarchy (``nav_entries``); without them a scan finds them.
+    """
+    entry = proxy.flat_proxies(queries, points, 1) if entries is None else entries
+    entry, hops = entry.select("qid", "id"), k if hops is None else hops
     found = hop_candidates(graph, entry, hops).filter("qid <> id")
     cands = found.select("qid", "id", F.lit(0.0).alias("low"), F.lit(0.0).alias("high"))
     return filter_verify(lambda: cands, lambda c: proxy.online_radius_rknn(c, queries, points, k))
 
 
+def nav_entries(index, queries: DataFrame, ef: int = 64) -> DataFrame:
+    """(qid, id): each query's nearest member by greedy descent through the layers of a saved index."""
+    return index.proxies(queries, 1, ef).select("qid", "id")
+
+
+SMALL = 3000  # points whose exact relative-neighbour graph may be asked for
+
+
 def relative_neighbours(points: DataFrame, knn_all: DataFrame) -> DataFrame:
-    """(a, b): pairs with no third point nearer to both, from whole neighbour lists (small sets)."""
+    """(a, b): pairs with no third point nearer to both, from whole neighbour lists; cubic, so for small sets only."""
+    if points.limit(SMALL + 1).count() > SMALL:
+        raise ValueError(f"the exact graph is for {SMALL} points at most; build_hop_graph serves larger sets")
     d = knn_all.select("src", "dst", "dist")
     pair = d.filter("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b"), "dist")
     to_a = d.select(F.col("src").alias("a"), F.col("dst").alias("c"), F.col("dist").alias("ac"))

@@ -8,7 +8,7 @@ inserts agree wherever their affected sets do.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinward.operators import exact, postings, proxy
@@ -81,28 +81,28 @@ def insert_one(points: DataFrame, knn: DataFrame, row: DataFrame, K: int, m: int
 
 
 def build_by_insertion(points: DataFrame, K: int, share: float, steps: int = 4, m: int = 20, theta: int = 50) -> DataFrame:
-    """(src, rank, dst, dist): a graph whose first part is built at once and whose rest arrives in steps."""
-    part = F.pmod(F.xxhash64("id", F.lit(5)), F.lit(1000)) / 1000.0
-    marked = cut(points.select("id", "vec", part.alias("part")))
-    first = marked.filter(F.col("part") < max(share, 0.1)).select("id", "vec")
-    knn = cut(exact.ranked_graph_exact(first, K))
-    have = first
-    low = max(share, 0.1)
-    for s in range(steps):
-        high = low + (1 - max(share, 0.1)) / steps
-        new = marked.filter((F.col("part") >= low) & ((F.col("part") < high) | F.lit(s == steps - 1))).select("id", "vec")
+    """(src, rank, dst, dist): a graph whose first ``share`` is built at once and whose rest arrives in batches.
+
+    With a share of 0 the first batch holds one point, and batches double until the last ``steps``.
+    """
+    order = F.row_number().over(Window.partitionBy("b").orderBy(F.xxhash64("id", F.lit(5)), "id"))
+    n = points.count()
+    blocks = max(1, n // 100_000)
+    placed = points.select("id", "vec", F.pmod(F.xxhash64("id", F.lit(9)), F.lit(blocks)).alias("b")).withColumn("r", order)
+    marked = cut(placed.select("id", "vec", ((F.col("r") - 1) * blocks + F.col("b")).alias("at")))
+    ends = [max(1, round(share * n))]
+    while ends[-1] < n:
+        ends.append(min(n, max(ends[-1] + -(-(n - ends[0]) // steps) if ends[-1] * 2 > n / steps else ends[-1] * 2, ends[-1] + 1)))
+    have = marked.filter(F.col("at") < ends[0]).select("id", "vec")
+    knn = cut(exact.ranked_graph_exact(have, K))
+    for i, (low, high) in enumerate(zip(ends, ends[1:])):
+        top = F.lit(True) if high >= n else F.col("at") < high
+        new = marked.filter((F.col("at") >= low) & top).select("id", "vec")
         have, knn = insert_batch(have, knn, new, K, m, theta)
         knn = cut(knn)
-        low = high
     return knn
 
 
-def compact(versions: DataFrame) -> DataFrame:
-    """(src, rank, dst, dist): the lists of each source's latest version, of rows with a version."""
-    last = versions.groupBy("src").agg(F.max("version").alias("version"))
-    return versions.join(last, ["src", "version"]).select("src", "rank", "dst", "dist")
-
-
 def rebuild(points: DataFrame, K: int) -> DataFrame:
     return exact.ranked_graph_exact(points, K)
 

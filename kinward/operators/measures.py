@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,11 +27,6 @@ def recall(truth: DataFrame, answer: DataFrame, queries: DataFrame) -> float:
     return per_query(truth, answer, queries).agg(F.avg("recall")).first()[0]
 
 
-def neighbour_ranks(truth: DataFrame, knn_of_queries: DataFrame) -> DataFrame:
-    """(qid, id, rank): how far out in the query's own order its reverse neighbours lie."""
-    return truth.select("qid", "id").join(knn_of_queries.select("qid", "id", "rank"), ["qid", "id"])
-
-
 def rank_profile(ranks: DataFrame) -> DataFrame:
     """(n, p50, p90, most) of neighbour ranks."""
     disc = lambda p: F.expr(f"percentile_disc({p}) WITHIN GROUP (ORDER BY rank)").cast("long")
@@ -77,3 +74,38 @@ def speed_up(rows: DataFrame, base: str) -> DataFrame:
     """(method, factor): throughput against a base method, of (method, qps) rows."""
     one = rows.filter(F.col("method") == base).select(F.col("qps").alias("base"))
     return rows.join(F.broadcast(one)).select("method", F.round(F.col("qps") / F.col("base"), 6).alias("factor"))
+
+
+def throughput(index, queries: DataFrame, truth: DataFrame, k: int, m: int, theta: int, k_prime: int, methods=("proxy", "one_shot", "one_shot_radii")) -> DataFrame:
+    """(method, m, theta, recall, results, seconds, qps): a batch of queries on a built index, timed without the build.
+
+    ``one_shot`` verifies k' neighbours by searches of their own, ``one_shot_radii`` by the stored radii.
+    """
+    from kinward.operators import baselines, proxy
+
+    def one_shot(radii):
+        near = index.proxies(queries, k_prime, 2 * k_prime)
+        return baselines.one_shot_rknn(queries, index.view("points"), k, k_prime, radii, near)
+
+    runs = {
+        "proxy": (m, theta, lambda: index.search(queries, proxy.SearchOptions(k, m, theta))),
+        "one_shot": (k_prime, 0, lambda: one_shot(None)),
+        "one_shot_radii": (k_prime, 0, lambda: one_shot(index.view("radii"))),
+    }
+    asked, rows = queries.count(), []
+    for name in methods:
+        a, b, make = runs[name]
+        began = time.perf_counter()
+        answer = make().select("qid", "id").persist()
+        n = answer.count()
+        took = time.perf_counter() - began
+        rows.append((name, a, b, recall(truth, answer, queries), n / max(1, asked), took, asked / took))
+        answer.unpersist()
+    return queries.sparkSession.createDataFrame(rows, "method string, m int, theta int, recall double, results double, seconds double, qps double")
+
+
+def best_by_qps(rows: DataFrame, target: float) -> DataFrame:
+    """Of the settings of each method that reach the target recall, the one of most queries a second."""
+    ok = rows.filter(F.col("recall") >= target)
+    cell = F.struct("m", "theta", "recall", "qps")
+    return ok.groupBy("method").agg(F.max_by(cell, F.struct("qps", "m", "theta")).alias("b")).select("method", "b.*")

@@ -24,14 +24,14 @@ def mutual_neighbours(knn: DataFrame, k: int) -> DataFrame:
     return x.intersect(near.select(F.col("dst").alias("a"), F.col("src").alias("b"))).filter("a < b")
 
 
-def density_components(knn: DataFrame, counts: DataFrame, k: int, least: int, max_rounds: int = 50) -> DataFrame:
-    """(id, cluster): core points joined by mutual edges; the cluster is its least id."""
+def density_components(knn: DataFrame, counts: DataFrame, k: int, least: int) -> DataFrame:
+    """(id, cluster): core points joined by mutual edges; the cluster is its least id. Rounds go on until no label moves."""
     core = counts.filter(F.col("n") >= least).select("id")
     edges = mutual_neighbours(knn, k)
     edges = edges.join(core.select(F.col("id").alias("a")), "a", "left_semi").join(core.select(F.col("id").alias("b")), "b", "left_semi")
     both = cut(edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))))
     label = cut(core.select("id", F.col("id").alias("cluster")))
-    for _ in range(max_rounds):
+    while True:
         offer = both.join(label.select(F.col("id").alias("b"), "cluster"), "b").groupBy(F.col("a").alias("id")).agg(F.min("cluster").alias("o"))
         moved = label.join(offer, "id", "left").select("id", F.least("cluster", F.coalesce("o", "cluster")).alias("c1"), "cluster")
         # a label is itself a point: jump to that point's label

@@ -35,12 +35,13 @@ _VECTORS = {
 }
 
 
-def _cte(kind: str, depth: int = K, base: str = "true") -> str:
+def _cte(kind: str, depth: int = K, base: str = "true", listed: bool = False) -> str:
     """b: members; al: all ranked pairs; kn: lists; q, qd: queries and their ranked neighbours."""
     return f"""WITH {_VECTORS[kind]},
       b AS MATERIALIZED (SELECT * FROM v WHERE {base}),
-      al AS MATERIALIZED (SELECT x.id AS src, y.id AS dst, list_distance(x.vec, y.vec) AS dist FROM b x, b y WHERE x.id <> y.id),
-      kn AS MATERIALIZED (SELECT * FROM (SELECT src, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank, dst, dist FROM al) WHERE rank <= {depth}),
+      al AS {"MATERIALIZED" if listed else "NOT MATERIALIZED"} (SELECT x.id AS src, y.id AS dst, list_distance(x.vec, y.vec) AS dist FROM b x, b y WHERE x.id <> y.id),
+      kl AS MATERIALIZED (SELECT src, min({{'dist': dist, 'dst': dst}}, {depth}) AS l FROM al GROUP BY src),
+      kn AS MATERIALIZED (SELECT src, rank, l[rank].dst AS dst, l[rank].dist AS dist FROM (SELECT src, l, unnest(range(1, len(l) + 1)) AS rank FROM kl)),
       q AS (SELECT id AS qid, vec FROM v WHERE id % 20 = 0),
       qd AS MATERIALIZED (SELECT qid, id, dist, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS rank
         FROM (SELECT q.qid, b.id, list_distance(q.vec, b.vec) AS dist FROM q, b WHERE q.qid <> b.id))"""
@@ -251,7 +252,7 @@ query("grid_recall_e", _grid_sql("e"))(_grid("e"))
 query("grid_recall_docs", _grid_sql("t"))(_grid("t"))
 
 
-@query("best_config")
+@query("best_config", f"SELECT m, theta, recall, candidates, scanned FROM ({_grid_sql('t')}) WHERE recall >= 0.5 ORDER BY candidates, scanned, m, theta LIMIT 1")
 def _(spark, d):
     return proxy.best_config(_grid("t")(spark, d), 0.5)
 
@@ -335,7 +336,7 @@ def _(spark, d):
     return _fact(spark, sound=wrong == 0, recall_ok=measures.recall(s.truth, out, s.queries) >= 0.95)
 
 
-@query("hop_graph_exact_edges", _cte("s", 1) + """ SELECT x.src AS a, x.dst AS b FROM al x WHERE x.src < x.dst AND NOT EXISTS (
+@query("hop_graph_exact_edges", _cte("s", 1, listed=True) + """ SELECT x.src AS a, x.dst AS b FROM al x WHERE x.src < x.dst AND NOT EXISTS (
     SELECT 1 FROM al y JOIN al z ON y.dst = z.dst WHERE y.src = x.src AND z.src = x.dst AND y.dist < x.dist AND z.dist < x.dist)""")
 def _(spark, d):
     pts = points(spark, d, "s")
@@ -344,13 +345,39 @@ def _(spark, d):
 
 @query("hop_rknn", "SELECT true AS sound, true AS recall_ok")
 def _(spark, d):
+    """The layers of a nav graph give the entries; from there k hops on the pruned ground links."""
     s = Set(spark, d, "e", K)
-    graph = baselines.build_hop_graph(s.knn, s.points, 16).cache()
-    out = baselines.hop_rknn(graph, s.queries, s.points, 10, 3).cache()
+    graph = baselines.build_hop_graph(s.knn, s.points, 80).cache()
+    out = baselines.hop_rknn(graph, s.queries, s.points, 10, entries=baselines.nav_entries(_index(spark, d), s.queries)).cache()
     wrong = out.join(s.truth, ["qid", "id"], "left_anti").count()
     return _fact(spark, sound=wrong == 0, recall_ok=measures.recall(s.truth, out, s.queries) >= 0.9)
 
 
+@query("hop_property", "SELECT unnest([1, 2, 3]) AS k, true AS within")
+def _(spark, d):
+    """On the exact relative-neighbour graph the k-reverse neighbours of a member lie within k hops of it."""
+    s = Set(spark, d, "s", 3)
+    edges = baselines.relative_neighbours(s.points, exact.ranked_graph_exact(s.points, max(1, s.points.count() - 1)))
+    both = edges.select(F.col("a").alias("src"), F.col("b").alias("dst")).unionByName(edges.select(F.col("b").alias("src"), F.col("a").alias("dst"))).cache()
+    entry = s.points.select(F.col("id").alias("qid"), "id")
+    out = None
+    for k in (1, 2, 3):
+        # among equal distances any k may be the nearest; strictly nearer ones decide the claim
+        far = s.radii.select("id", F.element_at("r", k).alias("radius"))
+        true = s.rev.join(far, F.col("src") == F.col("id")).filter(F.col("rank") <= k).select(F.col("dst").alias("qid"), F.col("src").alias("id"))
+        missed = true.join(baselines.hop_candidates(both, entry, k), ["qid", "id"], "left_anti")
+        row = missed.agg((F.count(F.lit(1)) == 0).alias("within")).select(F.lit(k).alias("k"), "within")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("incremental_lean", "SELECT true AS same")
+def _(spark, d):
+    s = Set(spark, d, "e", 10)
+    lean, full = (baselines.incremental_rknn(s.queries, s.points, 10, 8.0, 200, lean=x).select("qid", "id").cache() for x in (True, False))
+    return _fact(spark, same=lean.exceptAll(full).isEmpty() and full.exceptAll(lean).isEmpty())
+
+
 _OLD = "id % 20 <> 0"
 _NEW = ", nd AS (SELECT q.qid AS new_id, b.id, list_distance(q.vec, b.vec) AS dist FROM q, b), aff AS (SELECT nd.* FROM nd JOIN kn ON kn.src = nd.id AND kn.rank = 20 WHERE nd.dist < kn.dist)"
 
@@ -407,11 +434,11 @@ def _(spark, d):
     return maintain.insertion_cost(old, knn, new, 20, 5, 10)
 
 
-@query("insert_batch_share", "SELECT s, true AS recall_ok FROM (VALUES (0.1), (0.5), (0.9), (1.0)) x(s)")
+@query("insert_batch_share", "SELECT s, true AS recall_ok FROM (VALUES (0.0), (0.1), (0.5), (0.9), (1.0)) x(s)")
 def _(spark, d):
     s = Set(spark, d, "e", 20)
     out = None
-    for share in (0.1, 0.5, 0.9, 1.0):
+    for share in (0.0, 0.1, 0.5, 0.9, 1.0):
         knn = s.knn if share == 1.0 else maintain.build_by_insertion(s.points, 20, share, 2)
         row = measures.graph_recall(knn, s.knn, 10).select(F.lit(share).cast("decimal(2,1)").alias("s"), (F.col("recall") >= 0.9).alias("recall_ok"))
         out = row if out is None else out.unionByName(row)
@@ -485,11 +512,103 @@ def _(spark, d):
     return _fact(spark, recall_ok=measures.recall(s.truth, answer, s.queries) >= 0.9, reload_same=answer.exceptAll(again).isEmpty())
 
 
-@query("index_size", "SELECT 'points' AS view, sum(len(embedding))::BIGINT AS entries FROM embeddings UNION ALL SELECT unnest(['knn', 'rev', 'radii']), (50 * count(*))::BIGINT FROM embeddings")
+@query("index_size", """WITH n AS (SELECT count(*) AS n, any_value(len(embedding)) AS dim FROM embeddings),
+    e AS (SELECT 'points' AS view, n * dim AS entries, 8 AS width FROM n UNION ALL SELECT unnest(['knn', 'rev', 'radii']), 50 * n, unnest([20, 20, 8]) FROM n)
+    SELECT view, entries::BIGINT AS entries, (entries * width)::BIGINT AS bytes,
+    round(CASE WHEN view = 'points' THEN 1.0 ELSE (entries * width + n * dim * 8) / (n * dim * 8)::DOUBLE END, 6) AS ratio FROM e, n""")
 def _(spark, d):
     return _index(spark, d).describe().filter("view <> 'nav'")
 
 
+@query("index_insert", "SELECT count(*) AS points, 50 * count(*) AS entries, 50 * count(*) AS postings, count(*) AS radii, true AS in_step, true AS recall_ok, true AS compact_same FROM embeddings")
+def _(spark, d):
+    """A saved index takes a tenth of the points in two batches: links, own and refreshed lists, postings, radii; then it is compacted."""
+    s = Set(spark, d, "e", 50)
+    path = f"{shared_folder(spark)}/index-{uuid.uuid4().hex}"
+    index = HybridIndex.build(s.points.filter("id % 10 <> 3"), path, 50, 16, 60, 4)
+    late = s.points.filter("id % 10 = 3")
+    for part in (0, 1):
+        index = index.insert(late.filter(F.pmod(F.xxhash64("id"), F.lit(2)) == part), M, 50, batch=part)
+    index = HybridIndex.load(spark, path)
+    knn, rev, opt = index.view("knn"), index.view("rev"), proxy.SearchOptions(10, M, 50)
+    in_step = rev.select("src", "rank", "dst").exceptAll(knn.select("src", "rank", "dst")).isEmpty()
+    answer = index.search(s.queries, opt).select("qid", "id").cache()
+    after = index.compact().search(s.queries, opt).select("qid", "id")
+    return _fact(
+        spark, points=index.view("points").count(), entries=knn.count(), postings=rev.count(), radii=index.view("radii").count(), in_step=in_step,
+        recall_ok=measures.recall(s.truth, answer, s.queries) >= 0.9, compact_same=answer.exceptAll(after).isEmpty(),
+    )
+
+
+@query("index_cells", "SELECT true AS several, true AS lists_ok, true AS search_ok")
+def _(spark, d):
+    """An index of several cells: lists cross their borders, and queries are routed."""
+    s = Set(spark, d, "e", 50)
+    path = f"{shared_folder(spark)}/index-{uuid.uuid4().hex}"
+    index = HybridIndex.build(s.points, path, 50, 16, 60, 8, cell_rows=max(60, s.points.count() // 6))
+    answer = index.search(s.queries, proxy.SearchOptions(10, M, 50))
+    return _fact(
+        spark, several=len(index.centres) > 1, lists_ok=measures.graph_recall(index.view("knn"), s.knn, 10).first()[0] >= 0.9,
+        search_ok=measures.recall(s.truth, answer, s.queries) >= 0.9,
+    )
+
+
+@query("exact_radii_refined", "SELECT true AS recall_equal, true AS no_more_results, true AS radii_never_small")
+def _(spark, d):
+    """Exact radii beside stored ones on a graph refined for one round: the recall stays, false results go."""
+    s = Set(spark, d, "t", 50)
+    rough, _ = ranked_graph.refine(s.points, ranked_graph.seed_random(s.points, 50), 50, 1)
+    rough = rough.cache()
+    opt, rev = proxy.SearchOptions(10, M, 50), postings.transpose(rough)
+    stored, gold = (proxy.proxy_rknn(s.queries, s.points, rev, r, opt, s.proxies).cache() for r in (exact.k_radii(rough), s.radii))
+    a, b = (measures.recall(s.truth, x, s.queries) for x in (stored.join(s.truth, ["qid", "id"], "left_semi"), gold.join(s.truth, ["qid", "id"], "left_semi")))
+    small = exact.radius_at(exact.k_radii(rough), 10).withColumnRenamed("radius", "ra").join(exact.radius_at(s.radii, 10), "id").filter(F.col("ra") < F.col("radius") * (1 - 1e-9))
+    return _fact(spark, recall_equal=abs(a - b) < 1e-9, no_more_results=gold.count() <= stored.count(), radii_never_small=small.isEmpty())
+
+
+@query("ground_truth", _cte("e", 10) + f" SELECT 1 AS k, qid, id FROM {_truth(1)} UNION ALL SELECT 10, qid, id FROM {_truth(10)}")
+def _(spark, d):
+    s = Set(spark, d, "e", 1)
+    return exact.ground_truth(s.points, s.queries, [1, 10], f"{shared_folder(spark)}/truth-{uuid.uuid4().hex}").select("k", "qid", "id")
+
+
+@query("postings_unpacked", _cte("e", 20) + " SELECT dst, rank::INT AS rank, src FROM kn")
+def _(spark, d):
+    return postings.unpack(postings.pack(Set(spark, d, "e", 20).rev))
+
+
+@query("hub_profile", _cte("t", 30) + " SELECT dst, count(*) AS n FROM kn WHERE rank <= 10 GROUP BY dst")
+def _(spark, d):
+    return proxy.hub_profile(Set(spark, d, "t", 30).rev, 10)
+
+
+@query("candidates_with_proxies", _cte("e", K) + f" SELECT qid, id FROM {_cands(5, 10)} UNION SELECT qid, id FROM qd WHERE rank <= 5")
+def _(spark, d):
+    s = Set(spark, d, "e")
+    return proxy.candidates(s.proxies.filter("prank <= 5"), s.rev, 10, include_proxies=True).select("qid", "id")
+
+
+@query("insert_one", _cte("e", 20, "id % 20 <> 0 OR id = 0") + " SELECT src, rank::INT AS rank, dst FROM kn")
+def _(spark, d):
+    """One arrival, with every member as its proxy: the lists are those of a new build."""
+    old, new, knn = _arrivals(spark, d)
+    _, after = maintain.insert_one(old, knn, new.filter("id = 0"), 20, old.count(), 20)
+    return after.select("src", "rank", "dst")
+
+
+@query("speed_up", "SELECT method, factor::DOUBLE AS factor FROM (VALUES ('proxy', 10.0), ('one_shot', 1.0), ('hop', 0.125)) x(method, factor)")
+def _(spark, d):
+    rows = spark.createDataFrame([("proxy", 185.0), ("one_shot", 18.5), ("hop", 2.3125)], "method string, qps double")
+    return measures.speed_up(rows, "one_shot")
+
+
+@query("search_qps", "SELECT unnest(['proxy', 'one_shot', 'one_shot_radii']) AS method, true AS timed, true AS recall_ok")
+def _(spark, d):
+    """Queries a second of a batch on a built index, the build apart; recall beside it."""
+    s = Set(spark, d, "e", 50)
+    rows = measures.throughput(_index(spark, d), s.queries, s.truth, 10, M, 50, 100)
+    return rows.select("method", (F.col("qps") > 0).alias("timed"), (F.col("recall") >= 0.9).alias("recall_ok"))
+
 @query("influence_top", _cte("t", 10) + " SELECT dst AS id, count(*) AS n FROM kn GROUP BY dst ORDER BY n DESC, id LIMIT 20")
 def _(spark, d):
     s = Set(spark, d, "t", 10)

@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from kinward.functions import udfs
-from kinward.operators import exact
+from kinward.operators import exact, measures
+from kinward.operators.index import HybridIndex
+from kinward.operators.proxy import SearchOptions
 from kinward.plans.core_queries import _cte, _truth, points
 from kinward.plans.core_queries import Set
 from kinward.sources.tables import table
@@ -65,9 +67,9 @@ def _(spark, d):
 @query("stream_late", "SELECT true AS dropped")
 def _(spark, d):
     rows = table(spark, d, "events").select((-F.col("event_id")).alias("k"), F.col("ts").cast("timestamp").alias("ts"), "value")
-    st.drained(st.tumbling(st.sliced(rows, "k", 4), "1 hour", "1 hour"), "append")  # newest first, so the rest is late
-    late = sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in st.drained.progress for op in p["stateOperators"])
-    return spark.createDataFrame([(late > 0,)], "dropped boolean")
+    stream = st.tumbling(st.sliced(rows, "k", 4), "1 hour", "1 hour")  # newest first, so the rest is late
+    progress = st.run_out(stream, "append", lambda batch, number: batch.write.format("noop").mode("overwrite").save())
+    return spark.createDataFrame([(st.late_rows(progress) > 0,)], "dropped boolean")
 
 
 @query("stream_static_join", _cte("e", 10) + ", m AS (SELECT count(*) AS n FROM b) SELECT events.user_id, count(*) AS n FROM events, m JOIN kn ON kn.dst = events.event_id % m.n GROUP BY 1")
@@ -90,10 +92,41 @@ def _(spark, d):
     return st.drained(st.running_counts(_events(spark, d)), "update").groupBy("user_id").agg(F.max("n").alias("n"))
 
 
-@query("stream_maintenance", _cte("e", 10) + " SELECT src, rank::INT AS rank, dst FROM kn")
+@query("stream_maintenance", "SELECT count(*) AS points, 20 * count(*) AS entries, 20 * count(*) AS postings, true AS in_step, true AS recall_ok FROM embeddings")
 def _(spark, d):
-    pts = points(spark, d, "e").cache()
-    return st.maintained(pts, pts.filter("id % 2 = 0"), 10).select("src", "rank", "dst")
+    """A third of the members arrives by stream, which is stopped once on the way and goes on from its checkpoint."""
+    s = Set(spark, d, "e", 20)
+    index = HybridIndex.build(s.points.filter("id % 3 > 0"), st.fresh(spark, "index"), 20, 16, 60, 4)
+    rest, folder, check = s.points.filter("id % 3 = 0"), st.fresh(spark, "arrivals"), st.fresh(spark, "check")
+    for part in (0, 1):
+        rest.filter(F.pmod(F.xxhash64("id"), F.lit(2)) == part).coalesce(1).write.mode("append").parquet(folder)
+        arrivals = spark.readStream.schema(rest.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+        index = st.maintained(arrivals, index, check)
+    knn, rev = index.view("knn"), index.view("rev")
+    in_step = rev.select("src", "rank", "dst").exceptAll(knn.select("src", "rank", "dst")).isEmpty()
+    recall = measures.graph_recall(knn, s.knn, 10).first()[0]
+    return spark.createDataFrame(
+        [(index.view("points").count(), knn.count(), rev.count(), in_step, recall >= 0.9)],
+        "points long, entries long, postings long, in_step boolean, recall_ok boolean",
+    )
+
+
+@query("stream_search", """SELECT count(*) AS events, true AS recall_ok FROM events""")
+def _(spark, d):
+    """Events name members; every batch of them is answered by proxy search over the saved index."""
+    s = Set(spark, d, "e", 50)
+    index = HybridIndex.build(s.points, st.fresh(spark, "index"), 50, 16, 60, 4)
+    n = s.points.count()
+    rows = table(spark, d, "events").select("event_id", F.pmod("event_id", F.lit(n)).cast("long").alias("vec_id"))
+    found = st.searched(st.sliced(rows, "event_id", 2), index, SearchOptions(10, 20, 50))
+    true = s.rev.filter("rank <= 10").select(F.col("dst").alias("vec_id"), F.col("src").alias("id")).join(rows, "vec_id").select("event_id", "id")
+    hit = true.join(found, ["event_id", "id"], "left_semi").count()
+    return spark.createDataFrame([(rows.count(), hit >= 0.9 * true.count())], "events long, recall_ok boolean")
+
+
+@query("stream_rate_soak", "SELECT true AS came, 0 AS gaps")
+def _(spark, d):
+    return st.soak(spark).select((F.col("rows") > 0).alias("came"), F.col("gaps").cast("int").alias("gaps"))
 
 
 @query("stream_modes", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")
