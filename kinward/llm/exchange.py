@@ -75,11 +75,11 @@ BLOCK_SCHEMA = "bucket int, block binary"
 _BLOCK_ARROW = pa.schema([("bucket", pa.int32()), ("block", pa.binary())])
 
 
-def deal(records: np.ndarray, key: np.ndarray, buckets: int) -> Iterator[pa.RecordBatch]:
-    """(bucket, block) rows of structured records, by the high bits of a mixed uint64 key."""
+def deal(records: np.ndarray, key: np.ndarray, buckets: int, beyond: int = 0) -> Iterator[pa.RecordBatch]:
+    """(bucket, block) rows of structured records, by the high bits of a mixed uint64 key; buckets are numbered from ``beyond``."""
     if not len(records):
         return
-    to = ((key >> np.uint64(24)) % np.uint64(buckets)).astype(np.int32)
+    to = ((key >> np.uint64(24)) % np.uint64(buckets)).astype(np.int32) + np.int32(beyond)
     order = np.argsort(to, kind="stable")
     sent, records = to[order], records[order]
     at = np.append(np.flatnonzero(np.append(True, sent[1:] != sent[:-1])), len(sent))
@@ -100,21 +100,28 @@ def unpacked(block, dtype: np.dtype) -> np.ndarray:
 
 
 def per_bucket(
-    blocks: DataFrame, dtype: np.dtype, fold: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str, buckets: int
-) -> DataFrame:
-    """Apply ``fold`` to all records of each bucket."""
+    blocks: DataFrame, dtype: np.dtype, fold: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str, buckets: int,
+    beyond: tuple[np.dtype, Callable[[np.ndarray], Iterator[pa.RecordBatch]]] | None = None,
+) -> DataFrame:
+    """Apply ``fold`` to all records of each bucket; ``beyond`` has the type and the function for those numbered from ``buckets``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list] = {}
+        held: list[np.ndarray] = []
         at = None
+
+        def done() -> Iterator[pa.RecordBatch]:
+            records = np.concatenate(held)
+            held.clear()
+            yield from (fold if at < buckets or beyond is None else beyond[1])(records)
+
         for batch in batches:
             for b, block in zip(batch.column(0).to_pylist(), batch.column(1)):
                 if b != at and at is not None:
-                    yield from fold(np.concatenate(held.pop(at)))
+                    yield from done()
                 at = b
-                held.setdefault(b, []).append(unpacked(block.as_buffer(), dtype))
+                held.append(unpacked(block.as_buffer(), dtype if b < buckets or beyond is None else beyond[0]))
         if at is not None:
-            yield from fold(np.concatenate(held.pop(at)))
+            yield from done()
 
     # a bucket's blocks arrive together; one bucket is in memory at a time
     return (

@@ -9,6 +9,9 @@ Round 1 deals (key, context hashes, place) to buckets of keys. Places whose cont
 61-bit hashes (two independent bases, 122 bits: for 10^14 windows a chance under 10^-8 of any false
 match) are settled there; a key with several contexts asks the first place of each. Round 2 deals
 what was asked for, and compares contexts. Answers go back to the documents as runs of window starts.
+A passage that a third of all documents hold is no hot bucket: a task settles the equal contexts of
+its own documents (``folded``) and sends one or two places of each context, so a bucket gets as many
+records of a context as there are tasks, not documents.
 Consecutive anchors with equal contexts (periodic text) travel as one record with a count and stride.
 """
 
@@ -92,6 +95,44 @@ def places(key, at, lo, many, doc, sums, off, ids, tags, width) -> np.ndarray:
     return out
 
 
+#: A run of windows that was settled where it was found.
+PASSED = np.dtype([("doc", "i8"), ("tag", "i4"), ("lo", "i4"), ("many", "i4"), ("n", "i4")])
+FOLD = 400_000  # records that a task folds at a time
+
+
+def folded(rec: np.ndarray, earlier: bool) -> tuple[np.ndarray, np.ndarray]:
+    """(places that others must know of, settled runs) of a task's records.
+
+    ``earlier``: the first place of a context is sent and later ones are settled; else the first two
+    are sent, which tells that there are several, and the rest is settled.
+    """
+    rec = rec[np.lexsort([rec[c] for c in ("n", "pos", "tag", "doc", "many", "left", "ctx2", "ctx", "key")])]
+    twin = np.zeros(len(rec), bool)  # of a row that is stored again
+    twin[1:] = rec[1:] == rec[:-1]
+    rec = rec[~twin]
+    at = ts.group_bounds(rec["key"], rec["ctx"], rec["ctx2"], rec["left"], rec["many"])
+    nth = np.arange(len(rec)) - np.repeat(at[:-1], np.diff(at))
+    gone = rec[nth >= (1 if earlier else 2)]
+    out = np.empty(len(gone), PASSED)
+    for c in ("doc", "tag", "many", "n"):
+        out[c] = gone[c]
+    out["lo"] = gone["pos"] - gone["left"]
+    return rec[nth < (1 if earlier else 2)], out
+
+
+def pass_on(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Settled runs as replies."""
+    rec = rec[np.lexsort((rec["tag"], rec["doc"]))]
+    run = np.empty(len(rec), RUN)
+    for c in ("lo", "many", "n"):
+        run[c] = rec[c]
+    yield from ex.reply_batches(rec["doc"], rec["tag"], run, FULL)
+
+
+def deal_passed(rec: np.ndarray, buckets: int) -> Iterator[pa.RecordBatch]:
+    yield from ex.deal(rec, ts.mix64(rec["doc"].view(np.uint64)), buckets, beyond=buckets)
+
+
 def settle(rec: np.ndarray, earlier: bool) -> Iterator[pa.RecordBatch]:
     """Round-1 bucket: settle equal contexts, ask about keys that have several."""
     rec = rec[np.argsort(rec["key"], kind="stable")]
@@ -159,18 +200,27 @@ def find_runs(
     buckets = ex.bucket_count(docs)
 
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        made: list[np.ndarray] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            rec, passed = folded(np.concatenate(made), earlier)
+            made.clear()
+            yield from ex.deal(rec, rec["key"], buckets)
+            yield from deal_passed(passed, buckets)
+
         for batch in batches:
             buf, off = ts.as_bytes(batch.column(2))
             ids, tags = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            made = [
-                scan(buf[off[i] : off[j]], off[i : j + 1] - off[i], ids[i:j], tags[i:j]) for i, j in ts.pieces(buf, off)
-            ]
-            if made:
-                rec = np.concatenate(made)
-                yield from ex.deal(rec, rec["key"], buckets)
+            for i, j in ts.pieces(buf, off):
+                made.append(scan(buf[off[i] : off[j]], off[i : j + 1] - off[i], ids[i:j], tags[i:j]))
+                if sum(map(len, made)) > FOLD:
+                    yield from flush()
+        if made:
+            yield from flush()
 
     blocks = docs.select("doc_key", "doc_tag", "text").mapInArrow(first, ex.BLOCK_SCHEMA)
-    replies = ex.cut(ex.per_bucket(blocks, PLACE, lambda rec: settle(rec, earlier), ex.REPLY_SCHEMA, buckets))
+    settled = ex.per_bucket(blocks, PLACE, lambda rec: settle(rec, earlier), ex.REPLY_SCHEMA, buckets, (PASSED, pass_on))
+    replies = ex.cut(settled)
     asked = ex.gathered(replies.filter(F.col("kind") == ASK))
     answers = answer(docs.join(asked, ["doc_key", "doc_tag"]).select("doc_key", "doc_tag", "text", "blocks"), buckets)
     runs = replies.filter(F.col("kind") == FULL).select("doc_key", "doc_tag", "block").unionByName(

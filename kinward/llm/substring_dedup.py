@@ -84,13 +84,18 @@ def scan(buf, off, ids, tags) -> np.ndarray:
 CLAIM = np.dtype([("hash", "u8"), ("hash2", "u8"), ("doc", "i8"), ("tag", "i4"), ("start", "i4")])
 
 
+def _first(rec: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The first of equal windows, and the others."""
+    rec = rec[np.lexsort([rec[c] for c in ("start", "tag", "doc", "hash2", "hash")])]
+    at = ts.group_bounds(rec["hash"], rec["hash2"])
+    first = np.repeat(rec[at[:-1]], np.diff(at))  # a row that is stored again has the same place
+    other = (rec["doc"] != first["doc"]) | (rec["tag"] != first["tag"]) | (rec["start"] != first["start"])
+    return rec[at[:-1]], rec[other]
+
+
 def _later(rec: np.ndarray) -> Iterator[pa.RecordBatch]:
     """Round-2 bucket: of equal windows all but the first go."""
-    rec = rec[np.lexsort([rec[c] for c in ("start", "tag", "doc", "hash2", "hash")])]
-    same = np.zeros(len(rec), bool)
-    same[1:] = (rec["hash"][1:] == rec["hash"][:-1]) & (rec["hash2"][1:] == rec["hash2"][:-1])
-    same[1:] &= (rec["doc"][1:] != rec["doc"][:-1]) | (rec["tag"][1:] != rec["tag"][:-1]) | (rec["start"][1:] != rec["start"][:-1]) | same[:-1]
-    gone = rec[same]
+    _, gone = _first(rec)
     gone = gone[np.lexsort([gone[c] for c in ("start", "tag", "doc")])]
     run = np.empty(len(gone), rp.RUN)
     run["lo"], run["many"], run["n"] = gone["start"], 1, 1
@@ -101,10 +106,19 @@ def _answer(asked: DataFrame, buckets: int) -> DataFrame:
     """Deal every window of the contexts asked for by its content, and compare."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        made: list[np.ndarray] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            first, gone = _first(np.concatenate(made))
+            made.clear()
+            yield from ex.deal(first, first["hash"], buckets)
+            passed = np.empty(len(gone), rp.PASSED)
+            passed["doc"], passed["tag"], passed["lo"], passed["many"], passed["n"] = gone["doc"], gone["tag"], gone["start"], 1, 1
+            yield from rp.deal_passed(passed, buckets)
+
         for batch in batches:
             buf, off = ts.as_bytes(batch.column(2))
             ids, tags, cells = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(3)
-            made = []
             for i, j in ts.pieces(buf, off):
                 codes, woff = word_codes(buf[off[i] : off[j]], off[i : j + 1] - off[i])
                 qs = [rp.joined_blocks(cells[k].as_py(), rp.QUESTION) for k in range(i, j)]
@@ -118,11 +132,12 @@ def _answer(asked: DataFrame, buckets: int) -> DataFrame:
                 who = np.repeat(of, many)
                 rec["doc"], rec["tag"], rec["start"] = ids[who], tags[who], begin - woff[who - i]
                 made.append(rec)
-            if made:
-                rec = np.concatenate(made)
-                yield from ex.deal(rec, rec["hash"], buckets)
+                if sum(map(len, made)) > rp.FOLD:
+                    yield from flush()
+        if made:
+            yield from flush()
 
-    return ex.per_bucket(asked.mapInArrow(run, ex.BLOCK_SCHEMA), CLAIM, _later, ex.REPLY_SCHEMA, buckets)
+    return ex.per_bucket(asked.mapInArrow(run, ex.BLOCK_SCHEMA), CLAIM, _later, ex.REPLY_SCHEMA, buckets, (rp.PASSED, rp.pass_on))
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

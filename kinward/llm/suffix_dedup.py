@@ -180,8 +180,10 @@ def _compare(blocks: DataFrame, buckets: int) -> DataFrame:
         head = np.concatenate(heads)
         body = np.concatenate(bodies)
         begin = np.cumsum(head["size"].astype(np.int64)) - head["size"]
-        order = np.argsort(head["key"], kind="stable")
+        order = np.lexsort([head[c] for c in ("many", "left", "lo", "tag", "doc", "key")])
         head, begin = head[order], begin[order]
+        once = np.append(True, head[1:] != head[:-1])  # a row that is stored again asks again
+        head, begin = head[once], begin[once]
         at = ts.group_bounds(head["key"])
         out = []
         groups, bases, held = [], [], 0

@@ -515,3 +515,28 @@ def test_classifier_hands_over_and_scores(spark):
         best = np.sort(1 / (1 + np.exp(-z)))[::-1]
         mine = sorted((r.p for r in sure if r.slot == slot), reverse=True)
         assert np.allclose(mine, best[: len(mine)]) and len(mine) == min(5, int((best >= quality_classifier.SURE).sum()))
+
+
+def test_folding_before_the_shuffle(spark, monkeypatch):
+    """One passage in most documents, rows stored three times, folds of a few records: nothing changes, and little is sent."""
+    import numpy as np
+
+    from kinward.llm import repeats
+
+    rng = random.Random(77)
+    passage = words(rng, 60, 5000)
+    data = [(i, f"{words(rng, rng.randrange(0, 30))} {passage} {words(rng, rng.randrange(0, 30))}") for i in range(60)]
+    data += [(100 + i, passage) for i in range(20)] + [(200, words(rng, 50)), (201, "a b " * 80)]
+    stored = data + data[::3] + data[::3]
+    for fold in (50, repeats.FOLD):
+        monkeypatch.setattr(repeats, "FOLD", fold)
+        frame = spark.createDataFrame(stored, "doc_id long, text string").repartition(5)
+        got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.report(frame).collect()}
+        assert got == substring_dedup.brute_force(data)
+        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.report(frame).collect()}
+        assert got == suffix_dedup.brute_force(data)
+    rec = np.zeros(1000, repeats.PLACE)
+    rec["doc"], rec["n"], rec["many"] = np.arange(1000), 1, 5
+    for earlier, n in ((True, 1), (False, 2)):
+        sent, settled = repeats.folded(rec, earlier)
+        assert len(sent) == n and len(settled) == 1000 - n
