@@ -248,39 +248,41 @@ def _gather(rows: list) -> tuple[Rows, Rows]:
     return text, Rows(np.arange(len(rows) + 1) * 3, meta, np.ones(len(meta)))
 
 
-def _confident(rows: DataFrame, models: dict[str, CoTrained | float], most: dict[str, int]) -> DataFrame:
-    """(slot, p, doc_id): of all unlabelled rows, those that a view is surest of, ``most[slot]`` a slot.
+SALTS = 64
 
-    A slot names target, view and verdict. Every task sends on its best rows of each slot only.
+
+def _confident(rows: DataFrame, labelled: DataFrame, models: dict[str, CoTrained | float], most: dict[str, int]) -> DataFrame:
+    """(slot, p, doc_id): of all rows without a label, those that a view is surest of, ``most[slot]`` a slot.
+
+    A slot names target, view and verdict. The texts are scored where they are read; ids and logits only
+    are shuffled, to leave labelled rows out and to rank, first within salts and then as a whole.
     """
-    arrow = pa.schema([("slot", pa.string()), ("p", pa.float64()), ("doc_id", pa.int64())])
+    targets = [name for name, model in models.items() if isinstance(model, CoTrained)]
+    arrow = pa.schema([("doc_id", pa.int64()), ("z", pa.list_(pa.float64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: dict[str, tuple[np.ndarray, np.ndarray]] = {}
         for batch in batches:
             buf, off = ts.as_bytes(batch.column(1))
-            whole, ids = meta_rows(batch.column(2), batch.column(3), batch.column(4)), batch.column(0).to_numpy()
+            whole = meta_rows(batch.column(2), batch.column(3), batch.column(4))
             for i, j in ts.pieces(buf, off):
                 text, meta = text_rows(buf[off[i] : off[j]], off[i : j + 1] - off[i]), whole.take(np.arange(i, j))
-                for target, model in models.items():
-                    if not isinstance(model, CoTrained):
-                        continue
-                    for view, z in zip(("text", "meta"), model.views(text, meta)):
-                        for side, sure in (("yes", _sigmoid(z)), ("no", _sigmoid(-z))):
-                            slot = f"{target} {view} {side}"
-                            at = np.flatnonzero(sure >= SURE)
-                            have = best.get(slot, (np.zeros(0), np.zeros(0, np.int64)))
-                            p, d = np.append(have[0], sure[at]), np.append(have[1], ids[i:j][at])
-                            order = np.lexsort((ts.mix64(d.view(np.uint64)), -p))[: most[slot]]
-                            best[slot] = p[order], d[order]
-        for slot, (p, d) in best.items():
-            if len(p):
-                yield pa.RecordBatch.from_arrays([pa.array([slot] * len(p)), pa.array(p), pa.array(d)], schema=arrow)
-
-    found = rows.mapInArrow(run, "slot string, p double, doc_id long").dropDuplicates(["slot", "doc_id"])
+                z = np.stack([x for name in targets for x in models[name].views(text, meta)], axis=1)
+                at = pa.array(np.arange(0, z.size + 1, z.shape[1], dtype=np.int32))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.ListArray.from_arrays(at, pa.array(z.ravel()))], schema=arrow)
+
+    scored = rows.mapInArrow(run, "doc_id long, z array<double>").join(labelled.select("doc_id").distinct(), "doc_id", "left_anti")
+    views = F.array(*[F.lit(f"{name} {view}") for name in targets for view in ("text", "meta")])
+    each = scored.select("doc_id", F.explode(F.arrays_zip(views.alias("slot"), F.col("z"))).alias("v")).select("doc_id", "v.slot", "v.z")
+    p = F.lit(1.0) / (F.exp(-F.abs("z")) + 1)
+    slot = F.concat("slot", F.when(F.col("z") > 0, F.lit(" yes")).otherwise(F.lit(" no")))
+    found = each.select("doc_id", slot.alias("slot"), p.alias("p")).filter(F.col("p") >= SURE).dropDuplicates(["slot", "doc_id"])
     limit = F.create_map(*[F.lit(x) for pair in most.items() for x in pair])
-    rank = F.row_number().over(Window.partitionBy("slot").orderBy(F.desc("p"), F.xxhash64("doc_id"), "doc_id"))
-    return found.withColumn("r", rank).filter(F.col("r") <= max(most.values())).filter(F.col("r") <= limit[F.col("slot")]).drop("r")
+    best = (F.desc("p"), F.xxhash64("doc_id"), F.col("doc_id"))
+    for by in (("slot", "salt"), ("slot",)):
+        rank = F.row_number().over(Window.partitionBy(*by).orderBy(*best))
+        found = found.withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(SALTS)))
+        found = found.withColumn("r", rank).filter(F.col("r") <= max(most.values())).filter(F.col("r") <= limit[F.col("slot")]).drop("r", "salt")
+    return found
 
 
 def train(
@@ -315,8 +317,7 @@ def train(
             out[name] = fit_views(*data[name])
     if not data:
         return out
-    free = rows.join(F.broadcast(lab.select("doc_id")) if lab.count() <= labelled else lab.select("doc_id"), "doc_id", "left_anti")
-    free = free.filter("doc_id IS NOT NULL").select("doc_id", "text", "source", "lang", "n_chars")
+    free = rows.filter("doc_id IS NOT NULL").select("doc_id", "text", "source", "lang", "n_chars")
     given: dict[str, tuple[dict, dict]] = {name: ({}, {}) for name in data}
     spark = docs.sparkSession
     for _ in range(rounds):
@@ -324,7 +325,7 @@ def train(
         for name, (_, _, y) in data.items():
             for side, share in (("yes", y.mean()), ("no", 1 - y.mean())):
                 most |= {f"{name} {view} {side}": int(handed * share) + 1 for view in ("text", "meta")}
-        sure = _confident(free, out, most).collect()
+        sure = _confident(free, lab, out, most).collect()
         if not sure:
             break
         asked = spark.createDataFrame([(d, None, None) for d in sorted({r.doc_id for r in sure})], "doc_id long, y1 double, y2 double")
