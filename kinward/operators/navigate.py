@@ -129,13 +129,21 @@ class Layers:
         return at
 
     def pick(self, found: list[tuple[float, int]], room: int) -> list[int]:
-        """Diverse neighbours: one is kept if it is nearer to the node than to any kept before it."""
+        """Diverse neighbours: one is kept if it is nearer to the node than to any kept before it.
+
+        A copy of the node is kept once and hides nothing: all else is as far from the copy as from the node.
+        """
         kept: list[int] = []
+        apart: list[int] = []
         for d, v in found:
             if len(kept) >= room:
                 break
-            if not kept or d < self.far(self.x[v], kept).min():
+            if d == 0:
+                if not kept:
+                    kept.append(v)
+            elif not apart or d < self.far(self.x[v], apart).min():
                 kept.append(v)
+                apart.append(v)
         for _, v in found:  # fill up with the nearest of the rest
             if len(kept) >= room:
                 break

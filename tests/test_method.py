@@ -245,7 +245,8 @@ def test_cells_of_alike_points_are_split(spark):
     cells = navigate.assign_cells(points, centres, splits).groupBy("cell").count().collect()
     assert max(r[1] for r in cells) < 120 and splits.max() >= 3
     q = frame(spark, [(1000, (1.0, 1.0)), (1001, (0.0, 0.0))], "qid")
-    nav = navigate.build_nav(points, centres, 8, 40, 10, splits).cache()
-    near = navigate.graph_search(nav, points, q, centres, 5, 40, len(centres), splits=splits)
+    # a beam must be wider than the copies of a cell, or it sees nothing else
+    nav = navigate.build_nav(points, centres, 8, 120, 10, splits).cache()
+    near = navigate.graph_search(nav, points, q, centres, 5, 120, len(centres), splits=splits)
     flat = proxy.flat_proxies(q, points, 5)
     assert sorted(round(r.pdist, 9) for r in near.collect()) == sorted(round(r.pdist, 9) for r in flat.collect())
