@@ -189,6 +189,47 @@ def cascade(text: Column, q, rules) -> Column:
     return F.lit(None).cast("string") if chain is None else chain
 
 
+#: Measures that are read off the list of words or of inked lines, and how.
+LISTED: dict[str, tuple[str, Callable[[Column], Column]]] = {
+    "n_words": ("words", lambda w: F.size(w).cast("long")),
+    "word_chars": ("words", lambda w: F.length(F.array_join(w, "")).cast("long")),
+    "n_repeat_words": ("words", lambda w: let(F.transform(w, lambda x: F.xxhash64(x)), lambda h: repeat_words(h, F.size(h)))),
+    "n_lines": ("lines", lambda x: F.size(x).cast("long")),
+    "n_dup_lines": ("lines", lambda x: (F.size(x) - F.size(F.array_distinct(x))).cast("long")),
+}
+
+
+def short_circuit(text: Column, rules) -> Column:
+    """``cascade`` of a text alone: lists and measures are made when the first rule asks, once, and none after a rejection."""
+    made = {"words": words_of, "lines": _inked_lines}
+
+    def bind(names: list[str], known: dict[str, Column], then: Callable[[dict[str, Column]], Column]) -> Column:
+        if not names:
+            return then(known)
+        name, rest = names[0], names[1:]
+        if name in known:
+            return bind(rest, known, then)
+        if name in made:
+            value = made[name](text)
+        elif name in LISTED:
+            source, read = LISTED[name]
+            if source not in known:
+                return bind([source, *names], known, then)
+            value = read(known[source])
+        else:
+            value = MEASURES[name](text)
+        return let(value, lambda c: bind(rest, known | {name: c}, then))
+
+    def step(i: int, known: dict[str, Column]) -> Column:
+        if i == len(rules):
+            return F.lit(None).cast("string")
+        rule = rules[i]
+        judged = lambda q: F.when(rule.rejects(text, q), F.lit(rule.name)).otherwise(step(i + 1, q))
+        return bind(list(rule.reads), known, judged)
+
+    return step(0, {})
+
+
 def _extra(text: Column) -> dict[str, Column]:
     """Measures that the contract's struct lacks, computed where a rule asks."""
     return {name: f(text) for name, f in MEASURES.items() if name not in CONTRACT}
@@ -210,9 +251,7 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules
 def keep_passing(docs: DataFrame, text_col: str = "text", rules=RULES, sample_rows: int = 1000) -> DataFrame:
     """The documents that pass, with all their columns."""
     ordered = order_rules(docs, text_col, rules, sample_rows)
-    text = _text(text_col)
-    first = cascade(text, {name: f(text) for name, f in MEASURES.items()}, ordered)
-    return docs.filter(first.isNull()).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return docs.filter(short_circuit(_text(text_col), ordered).isNull()).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 ORACLE = rf"""
