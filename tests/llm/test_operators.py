@@ -411,6 +411,124 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     assert frame.filter(F.col("doc_id") == 20).count() == 1
 
 
+def pipeline_by_hand(data, items):
+    """What every stage leaves of (doc_id, text) rows of different ids, stage by stage, in plain Python."""
+    import unicodedata
+    from collections import Counter
+
+    import public_tokenizers
+    import tiktoken
+
+    ink = re.compile(r"[^\x20\x09-\x0D]+")
+
+    def passes(t):
+        w, lines = ink.findall(t), [x for x in t.split("\n") if ink.search(x)]
+        wins = [tuple(w[k : k + 8]) for k in range(len(w) - 7)]
+        times = Counter(wins)
+        repeated = {p for k, x in enumerate(wins) if times[x] > 1 for p in range(k, k + 8)}
+        chars, upper = sum(map(len, w)), sum(unicodedata.category(c) == "Lu" for c in t)
+        bullets = sum(x.lstrip(" \t")[:1] in ("-", "•") and x.strip(" \t") != "" for x in t.split("\n"))
+        return not (
+            len(w) < 20 or 100 * len(repeated) > 30 * len(w) or 100 * len(re.findall(r"[#*$%&|<>]", t)) > 10 * len(w)
+            or 100 * (len(lines) - len(set(lines))) > 30 * len(lines) or not 2 * len(w) <= chars <= 15 * len(w)
+            or 100 * upper > 40 * chars or (len(lines) > 5 and 100 * bullets > 90 * len(lines)) or "lorem ipsum" in t.lower()
+        )
+
+    passed = [(i, t) for i, t in data if passes(t or "")]
+    seen, lined = set(), []
+    for i, t in sorted(passed):
+        kept = []
+        for x in t.split("\n"):
+            if x not in seen or not ink.search(x):
+                kept.append(x)
+            seen.add(x)
+        if ink.search("\n".join(kept)):
+            lined.append((i, "\n".join(kept)))
+    of = near_dedup.brute_force(lined)
+    single = [(i, t) for i, t in lined if of[i] == i]
+    dirty = {r[0] for r in decontaminate.brute_force(single, items) if r[1]}
+    clean = [(i, t) for i, t in single if i not in dirty]
+    ranks = byte_bpe.Vocabulary(vocabulary_path()).ranks
+    known = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    digest = lambda b: hashlib.sha256(b).hexdigest()
+    coded = [(i, known.encode_ordinary(t), t) for i, t in clean]
+    return passed, lined, single, clean, [(i, len(x), digest(" ".join(map(str, x)).encode()), digest(t.encode())) for i, x, t in coded]
+
+
+def test_pipeline_equals_stages_by_hand(spark, tmp_path):
+    import corpus_pipeline
+
+    rng = random.Random(33)
+    fresh = lambda n=40: words(rng, n, 50_000)
+    items = [(1, fresh(40)), (2, fresh(30)), (3, None), (4, "one")]
+    moved = items[0][1].split()
+    texts = [fresh(rng.randrange(20, 70)) for _ in range(25)]
+    texts += [" ".join([*texts[k].split(), "more"][1:] if k % 2 else texts[k].split()[:-1]) for k in range(8)]  # near copies
+    boiler = fresh(12)
+    texts += [f"{fresh(25)}\n{boiler}\n\n{fresh(6)}" for _ in range(6)] + [texts[3], texts[4] + "\n" + boiler]
+    texts += [f"{fresh(30)} {items[0][1]}", f"{fresh(9)} {' '.join(moved[20:])} and {' '.join(moved[:20])} {fresh(9)}", f"{fresh(30)} {' '.join(moved[:12])}"]
+    texts += [f"{fresh(20)}\n{items[1][1].upper()[:60]}\n{fresh(20)}", "the one and only " + fresh(30)]
+    # each fails one rule
+    texts += ["short one", None, "", " \n\t ", " ".join([fresh(8)] * 4 + [fresh(2)]), " ".join(x + "##" for x in fresh(30).split())]
+    texts += ["\n".join(x for k in range(6) for x in (fresh(3), f"same {k % 2}", fresh(4))), " ".join(f"{x}{'y' * 20}" for x in fresh(30).split())]
+    texts += [" ".join(rng.choice("abcdefghijklm") for _ in range(40)), " ".join(f"LOUD{x}".upper() for x in fresh(30).split())]
+    texts += ["\n".join("- " + fresh(4) for _ in range(7)), fresh(30) + " Lorem Ipsum " + fresh(5), fresh(30) + "\n- " + fresh(5)]
+    data = [(7 * i % 101, t) for i, t in enumerate(texts)]
+    frame = spark.createDataFrame([(i, t, None, "s", None) for i, t in data], DOCS).repartition(5)
+    frame.write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    by_stage = pipeline_by_hand(data, items)
+    sizes = [len(data), *map(len, by_stage)]
+    assert sizes[0] > sizes[1] > sizes[2] > sizes[3] > sizes[4] == sizes[5] > 20  # every stage acts
+    docs = spark.read.parquet(str(tmp_path / "documents.parquet"))
+    for (name, stage), want in zip(corpus_pipeline.STAGES[:4], by_stage):
+        out = stage(spark, docs, str(tmp_path))
+        assert out.columns == docs.columns, name
+        assert sorted((r.doc_id, r.text) for r in out.collect()) == sorted(want), name
+        docs = spark.createDataFrame([(i, t, None, "s", None) for i, t in want], DOCS)
+    got = corpus_pipeline.run(spark, str(tmp_path)).select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256").collect()
+    assert sorted(map(tuple, got)) == sorted(by_stage[4])
+
+
+def test_pipeline_stages_on_awkward_rows(spark, odd, tmp_path):
+    """Null ids and texts, repeated rows, one id with two texts, clashing columns; and empty tables."""
+    import corpus_pipeline
+
+    at = str(tmp_path)
+    spark.createDataFrame([(1, "twice told tale"), (None, None)], "item_id long, text string").write.parquet(f"{at}/benchmark.parquet")
+    left = {"quality_rules": 0, "line_dedup": 7, "near_dedup": 6, "decontamination": 5, "byte_bpe": 7}
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, odd, at)
+        assert out.count() == left[name], name
+        assert name == "byte_bpe" or out.columns == odd.columns, name
+        assert stage(spark, odd.limit(0), at).collect() == [], name
+    odd.limit(0).write.parquet(f"{at}/documents.parquet")
+    assert corpus_pipeline.run(spark, at).collect() == []
+
+
+def test_texts_of_more_than_a_million_bytes(spark):
+    rng = random.Random(52)
+    one = words(rng, 160_000, 90_000).split()
+    other = one[:100_000] + ["changed"] + one[100_000:159_000]
+    data = [(1, " ".join(one)), (2, "start\n" + " ".join(other)), (3, words(rng, 40)), (4, "x" * 1_200_000)]
+    assert len(data[0][1]) > 10**6
+    frame = spark.createDataFrame(data, "doc_id long, text string")
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.report(frame).collect()}
+    assert got == substring_dedup.brute_force(data)
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.report(frame).collect()}
+    assert got == suffix_dedup.brute_force(data)
+    assert {r.doc_id: r.class_id for r in near_dedup.report(frame).collect()} == {1: 1, 2: 1, 3: 3, 4: 4}
+    bench = spark.createDataFrame([(1, " ".join(one[5000:5030])), (2, "nowhere to be found")], "item_id long, text string")
+    assert {r.doc_id for r in decontaminate.judge(frame, bench).filter("contaminated").collect()} == {1, 2}
+    assert {r.doc_id: r.kw_removed for r in line_dedup.dedup_lines(frame, min_run=1).collect()} == dict.fromkeys((1, 2, 3, 4), 0)
+    got = {r.doc_id: (r.n_words, r.n_repeat_words, r.kept) for r in quality_rules.judge(frame).collect()}
+    assert got == {1: (160_000, 0, True), 2: (159_002, 0, True), 3: (40, 0, True), 4: (1, 0, False)}
+    assert {r.doc_id for r in quality_rules.keep_passing(frame).collect()} == {1, 2, 3}
+    assert {r.n_known for r in license_scan.scan(frame).collect()} == {0}
+    coded = byte_bpe.encode_and_digest(frame, vocabulary_path()).collect()
+    assert {r.doc_id: r.decoded_sha256 for r in coded} == {i: hashlib.sha256(t.encode()).hexdigest() for i, t in data}
+
+
 def test_parity_words_do_not_collide(spark):
     """Two unlike words of 2048 letters whose polynomial hashes agree modulo any power of two."""
     odd = [bin(i).count("1") & 1 for i in range(2048)]
