@@ -2,6 +2,13 @@
 
 Quality rules, line dedup, MinHash near-dedup, benchmark decontamination, byte-level BPE. Every
 stage works on all that the one before kept; all but the last return the columns of documents.
+
+Cases, besides those of the operators: null and empty texts fall to the quality rules, and as input of
+a later stage they stay; rows that repeat a document (id and text) are one document to the line
+stage, which keeps them all, and one class to the near-copy stage, which keeps one; rows of one id
+with unlike texts, and rows without an id, are documents of their own; columns of any other name
+pass through all but the last stage (the prefix ``kw_`` is reserved); no documents give no rows, and
+an empty benchmark removes nothing.
 """
 
 from __future__ import annotations
@@ -56,7 +63,7 @@ STAGES = [
     ("byte_bpe", tokens),
 ]
 
-#: SQL has no byte-level BPE; tests hold run() against a brute-force version.
+#: SQL has no byte-level BPE; a test holds every stage and run() against plain Python.
 ORACLE_SQL = None
 
 
@@ -65,8 +72,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     exchange.checkpoint_folder(spark)
     base = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for name, stage in STAGES:
-        at = f"{base}/pipeline-{uuid.uuid4().hex}/{name}"
-        stage(spark, docs, sf_dir).write.parquet(at)
-        docs = spark.read.parquet(at)
+    with exchange.small_batches(spark):  # all stages are written inside, so the session's own setting comes back
+        for name, stage in STAGES:
+            at = f"{base}/pipeline-{uuid.uuid4().hex}/{name}"
+            stage(spark, docs, sf_dir).write.parquet(at)
+            docs = spark.read.parquet(at)
     return docs
