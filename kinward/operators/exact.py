@@ -81,6 +81,23 @@ def against(
     return left.cogroup(right).applyInPandas(meet, schema)
 
 
+def beside(queries: DataFrame, points: DataFrame, vec: str, block_bytes: int | None = None) -> DataFrame:
+    """Rows of a query set (vectors in ``vec``) beside all points, for functions over pairs of columns.
+
+    A set of one block is broadcast; a larger one meets the points block by block, as rows of an equi-join.
+    """
+    limit = block_bytes or QUERY_BLOCK
+    total = queries.agg(F.sum((F.size(vec).cast("long") + 2) * 8).alias("b")).first().b or 0
+    if total <= limit:
+        return points.join(F.broadcast(queries))  # of a checked size
+    nq, np_ = -(-total // limit), int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    to = lambda df, mine, n, other, m: df.withColumn(mine, F.pmod(F.xxhash64(*df.columns), F.lit(n)).cast("int")).withColumn(
+        other, F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
+    )
+    left = to(points, "kw_j", np_, "kw_i", nq)
+    return left.join(to(queries, "kw_i", nq, "kw_j", np_).hint("merge"), ["kw_i", "kw_j"]).drop("kw_i", "kw_j")
+
+
 def exact_knn(queries: DataFrame, points: DataFrame, k: int, exclude_self: bool = False, block_bytes: int | None = None) -> DataFrame:
     """(qid, rank, id, dist): the k nearest points of every query, ties by id."""
 

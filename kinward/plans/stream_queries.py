@@ -139,7 +139,7 @@ def _(spark, d):
 def _(spark, d):
     p = points(spark, d, "e")
     q = p.filter("id % 20 = 0").select(F.col("id").alias("src"), F.col("vec").alias("a"))
-    pairs = F.broadcast(q).join(p.select(F.col("id").alias("dst"), F.col("vec").alias("b")), F.col("src") != F.col("dst"))  # the query set
+    pairs = exact.beside(q, p.select(F.col("id").alias("dst"), F.col("vec").alias("b")), "a").filter("src <> dst")
     return pairs.select("src", "dst", F.round(udfs.l2_udf("a", "b"), 6).alias("dist"))
 
 

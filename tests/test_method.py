@@ -205,6 +205,15 @@ def test_queries_in_many_blocks_give_the_same(cloud):
         assert {(r.qid, r.id): r["rank"] for r in exact.ranks_of(one, queries, points, b).collect()} == want
 
 
+def test_a_large_query_set_stands_beside_the_points_by_blocks(cloud):
+    points, queries = cloud
+    q = queries.select(F.col("qid").alias("src"), F.col("vec").alias("a"))
+    one, many = exact.beside(q, points, "a"), exact.beside(q, points, "a", block_bytes=150)
+    assert "Broadcast" in one._jdf.queryExecution().executedPlan().toString()
+    assert not any(x in many._jdf.queryExecution().executedPlan().toString() for x in ("Broadcast", "Cartesian"))
+    assert pairs(one, "src") == pairs(many, "src") and one.count() == 12 * 120
+
+
 def test_index_insertion(spark, cloud, tmp_path):
     points, queries = cloud
     index = HybridIndex.build(points.filter("id < 90"), str(tmp_path / "grown"), 20, 8, 40, 4, cell_rows=30)
