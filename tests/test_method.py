@@ -259,3 +259,18 @@ def test_cells_of_alike_points_are_split(spark):
     near = navigate.graph_search(nav, points, q, centres, 5, 120, len(centres), splits=splits)
     flat = proxy.flat_proxies(q, points, 5)
     assert sorted(round(r.pdist, 9) for r in near.collect()) == sorted(round(r.pdist, 9) for r in flat.collect())
+
+
+def test_reverse_neighbours_lie_within_k_hops_of_the_monotonic_graph(spark):
+    rng = np.random.default_rng(3)
+    points = frame(spark, enumerate(rng.integers(0, 60, size=(80, 2)))).cache()
+    lists = exact.ranked_graph_exact(points, 79).cache()
+    own = points.select(F.col("id").alias("qid"), "id")
+    lunes = baselines.relative_neighbours(points, lists)
+    lunes = lunes.selectExpr("a AS src", "b AS dst").union(lunes.selectExpr("b AS src", "a AS dst")).cache()
+    missed = {}
+    for name, graph in (("monotonic", baselines.monotonic_neighbours(points, lists).cache()), ("lunes", lunes)):
+        for k in (1, 2, 3):
+            true = lists.filter(F.col("rank") <= k).select(F.col("dst").alias("qid"), F.col("src").alias("id"))
+            missed[name, k] = true.join(baselines.hop_candidates(graph, own, k), ["qid", "id"], "left_anti").count()
+    assert not any(missed["monotonic", k] for k in (1, 2, 3)) and missed["lunes", 3]
