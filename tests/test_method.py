@@ -274,3 +274,12 @@ def test_reverse_neighbours_lie_within_k_hops_of_the_monotonic_graph(spark):
             true = lists.filter(F.col("rank") <= k).select(F.col("dst").alias("qid"), F.col("src").alias("id"))
             missed[name, k] = true.join(baselines.hop_candidates(graph, own, k), ["qid", "id"], "left_anti").count()
     assert not any(missed["monotonic", k] for k in (1, 2, 3)) and missed["lunes", 3]
+
+
+def test_speed_up_reads_the_events(spark, tmp_path):
+    from kinward.plans import core_queries
+
+    kinds = ["click"] * 4 + ["view"] * 10 + ["error"]
+    rows = spark.range(len(kinds)).selectExpr("id AS event_id", f"element_at(array({str(kinds)[1:-1]}), int(id + 1)) AS event_type", "timestampadd(SECOND, id, TIMESTAMP_NTZ '2024-01-01') AS ts")
+    rows.write.parquet(str(tmp_path / "events.parquet"))
+    assert {r.method: r.factor for r in core_queries.Q["speed_up"](spark, str(tmp_path)).collect()} == {"click": 1.0, "view": 2.5, "error": 0.25}
