@@ -283,3 +283,27 @@ def test_speed_up_reads_the_events(spark, tmp_path):
     rows = spark.range(len(kinds)).selectExpr("id AS event_id", f"element_at(array({str(kinds)[1:-1]}), int(id + 1)) AS event_type", "timestampadd(SECOND, id, TIMESTAMP_NTZ '2024-01-01') AS ts")
     rows.write.parquet(str(tmp_path / "events.parquet"))
     assert {r.method: r.factor for r in core_queries.Q["speed_up"](spark, str(tmp_path)).collect()} == {"click": 1.0, "view": 2.5, "error": 0.25}
+
+
+def test_lists_of_stripes_equal_brute_force_without_a_merge(spark, monkeypatch):
+    monkeypatch.setattr(exact, "TILE", 300)
+    rng = np.random.default_rng(8)
+    sets = {"whole": rng.integers(-3, 4, size=(900, 5)), "copies": np.concatenate([np.ones((500, 3)), rng.integers(0, 9, size=(300, 3))]), "slots": rng.normal(size=(700, 6))}
+    for name, x in sets.items():
+        x = x.astype(float)
+        lists = exact.ranked_lists(frame(spark, enumerate(x)).repartition(3), 9)
+        got = {r.src: (r.dsts, r.dists) for r in lists.collect()}
+        for i in range(len(x)):
+            d = vx.direct(np.repeat(x[i : i + 1], len(x), axis=0), x)
+            order = [j for j in np.lexsort((np.arange(len(x)), d)) if j != i][:9]
+            assert got[i] == (order, d[order].tolist()), (name, i)
+    # one exchange brings blocks to the stripes; lists leave a task whole
+    plan = lists._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroups" not in plan and "Window" not in plan
+
+
+def test_hashed_texts_of_one_id_add_up(spark):
+    one, parts = [(1, "a b  c a"), (2, None)], [(1, "a b "), (1, "c a"), (2, None)]
+    # "a b " ends with an empty word, as "a b  c a" holds one
+    whole, dealt = ({r.id: r.vec for r in vx.hashed_tokens(spark.createDataFrame(x, "id long, text string"), 16).collect()} for x in (one, parts))
+    assert whole == dealt and len(whole[1]) == 16 and any(whole[1])
