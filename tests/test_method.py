@@ -307,3 +307,12 @@ def test_hashed_texts_of_one_id_add_up(spark):
     # "a b " ends with an empty word, as "a b  c a" holds one
     whole, dealt = ({r.id: r.vec for r in vx.hashed_tokens(spark.createDataFrame(x, "id long, text string"), 16).collect()} for x in (one, parts))
     assert whole == dealt and len(whole[1]) == 16 and any(whole[1])
+
+
+def test_refinement_by_shared_vectors_equals_that_by_joined_ones(spark, cloud, monkeypatch):
+    points, _ = cloud
+    start = ranked_graph.seed_random(points, 10).cache()
+    lists = lambda: sorted(map(tuple, ranked_graph.refine(points, start, 10, 2)[0].select("src", "rank", "dst").collect()))
+    shared = lists()
+    monkeypatch.setattr(exact, "QUERY_BLOCK", 100)
+    assert shared == lists() and len(shared) == 1200
