@@ -254,7 +254,7 @@ def locality(spark: SparkSession, d: str, kind: str = "t") -> DataFrame:
     plain = ranks.groupBy().agg(*[F.round(F.count_if(F.col("rank") <= m) / total, 6).alias(str(m)) for m in (1, 5, 20)]).first()
     for m in (1, 5, 20):
         log.note("plain", k=10, m=m, recall=plain[str(m)])
-    for c in measures.proxy_coverage(s.truth, s.proxies, s.knn, [10, 50, 100], [1, 5, 20]).collect():
+    for c in measures.proxy_coverage(s.truth, s.proxies, s.lists, [10, 50, 100], [1, 5, 20]).collect():
         log.note("proxy", k=10, m=c.m, theta=c.theta, recall=c.share)
     return log.table()
 
